@@ -29,6 +29,14 @@ def op3_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_digests(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
+def op4_site_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The documents that the classifier keeps, with their posteriors."""
+    from .quality import classified
+
+    rows = classified(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), ["doc_id"])
+    return rows.filter("keep").select("doc_id", "source", "lang", "quality_evidence", "toxic_evidence", "p_quality", "p_toxic", "keep")
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_counts import token_counts
 
@@ -47,6 +55,12 @@ def op8_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_digests(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"))
 
 
+def op9_lexical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .packing import packed
+
+    return packed(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"))
+
+
 def op10_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .exact_topk import quantised, top_k
 
@@ -63,5 +77,5 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 """
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_warc_archives, op3_token_files, op5_token_counts, op7_telephony_audio, op8_piece_codec, op10_exact_top_k)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_warc_archives, op3_token_files, op4_site_quality, op5_token_counts, op7_telephony_audio, op8_piece_codec, op9_lexical_packing, op10_exact_top_k)}
 ORACLES: dict[str, str] = {"op10_exact_top_k": OP10_SQL}
