@@ -43,6 +43,12 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
+def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .jaccard_join import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op7_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .audio import media_digests, stored
 
@@ -77,5 +83,5 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 """
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_warc_archives, op3_token_files, op4_site_quality, op5_token_counts, op7_telephony_audio, op8_piece_codec, op9_lexical_packing, op10_exact_top_k)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_warc_archives, op3_token_files, op4_site_quality, op5_token_counts, op6_jaccard_join, op7_telephony_audio, op8_piece_codec, op9_lexical_packing, op10_exact_top_k)}
 ORACLES: dict[str, str] = {"op10_exact_top_k": OP10_SQL}
