@@ -8,9 +8,21 @@ A chunk's ids are found once by the library and remembered by the worker.
 
 from __future__ import annotations
 
+import array
 import functools
+import json
+import os
 
 import numpy as np
+import regex
+
+#: The split pattern of byte-level vocabularies of this kind, and that of lower-case words.
+SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+WORDS = r"""'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"""
+#: Letters, digits and signs on which all Unicode versions of the patterns agree (a test compares each code point).
+PLAIN = regex.compile(r"[\x00-\x7e\xa1-ȳΑ-ΡΣ-ώА-я‐-‧‰-⁞ぁ-ゖァ-ヺ一-龥가-힣]*+")
+#: Those that composition leaves alone and that are lowered one by one.
+PLAIN_LATIN = regex.compile(r"[\t\n\r\x20-\x7e\xa1-ÿĀ-įĲ-ȳ]*+")
 
 MOST_ENTRIES, MOST_CHARS = 400_000, 64
 
@@ -36,8 +48,6 @@ class JsonEncoder:
     """ids of whole texts as the tokenizers library gives them, without added special tokens."""
 
     def __init__(self, path: str):
-        import os
-
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -61,7 +71,104 @@ class JsonEncoder:
         return np.frombuffer(found, self.kind)
 
 
+def byte_alphabet() -> dict[int, str]:
+    """The printable character that stands for each byte in byte-level vocabularies."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in set(plain)]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+class RankEncoder(JsonEncoder):
+    """Byte-level vocabularies, merged by rank.
+
+    Merging any two neighbours whose union is a token gives what the listed
+    merges give if each token, alone, is reached by them: neighbours a and b that
+    make up a token were formed within it, so the token alone would stop at them
+    too. A test proves that for the whole vocabulary. Special strings and rare
+    scripts go to the library.
+    """
+
+    def __init__(self, path: str, spec: dict):
+        super().__init__(path)
+        import tiktoken
+
+        back = {c: b for b, c in byte_alphabet().items()}
+        special = {t["content"] for t in spec["added_tokens"]}
+        ranks = {bytes(back[c] for c in piece): i for piece, i in spec["model"]["vocab"].items() if piece not in special}
+        self.special = sorted(special)
+        self.core = tiktoken.Encoding("ranks", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens={})
+
+    def ids(self, text: str) -> np.ndarray:
+        if any(s in text for s in self.special) or not text.isascii() and not PLAIN.fullmatch(text):
+            return np.frombuffer(self.whole(text), self.kind)
+        return np.array(array.array("H" if self.kind.itemsize == 2 else "I", self.core.encode_ordinary(text)), self.kind)
+
+
+class WordEncoder(JsonEncoder):
+    """Lower-case words with an end mark: words are remembered, new ones merged by rank (see RankEncoder).
+
+    The end mark is a byte that plain texts don't hold; a word's last byte joins it
+    before all listed merges, as in the vocabulary, whose symbols have both forms.
+    """
+
+    END, SUFFIX = b"\x01", "</w>"
+
+    def __init__(self, path: str, spec: dict):
+        super().__init__(path)
+        import tiktoken
+
+        back, vocab = {c: b for b, c in byte_alphabet().items()}, spec["model"]["vocab"]
+        raw = lambda s: bytes(back[c] for c in s.removesuffix(self.SUFFIX)) + self.END * s.endswith(self.SUFFIX)
+        ranks = {bytes([b]): b for b in range(256)} | {bytes([b]) + self.END: 256 + b for b in range(256)}
+        self.to_id = np.zeros(512 + len(spec["model"]["merges"]), np.uint32)
+        for b, c in byte_alphabet().items():
+            self.to_id[b], self.to_id[256 + b] = vocab[c], vocab[c + self.SUFFIX]
+        for i, merge in enumerate(spec["model"]["merges"], 512):
+            a, b = merge.split(" ") if isinstance(merge, str) else merge
+            ranks.setdefault(raw(a) + raw(b), i)
+            self.to_id[i] = vocab[a + b]
+        self.core = tiktoken.Encoding("words", pat_str=r"[^\x01]*\x01", mergeable_ranks=ranks, special_tokens={})
+        self.split, self.memo = regex.compile(WORDS), {}
+
+    def chunk(self, chunk: str) -> bytes:
+        if chunk[-1] in ".,;:!?" and chunk[:-1].isalpha():
+            found = self.word(chunk[:-1]) + self.word(chunk[-1])
+        else:
+            found = b"".join(map(self.word, self.split.findall(chunk)))
+        return self.kept(chunk, found)
+
+    def kept(self, chunk: str, found: bytes) -> bytes:
+        if len(chunk) <= MOST_CHARS:
+            if len(self.memo) >= MOST_ENTRIES:
+                self.memo.clear()
+            self.memo[chunk] = found
+        return found
+
+    def word(self, word: str) -> bytes:
+        found = self.memo.get(word)
+        if found is None:
+            found = self.kept(word, self.to_id[self.core.encode_ordinary(word + "\x01")].astype(self.kind).tobytes())
+        return found
+
+    def ids(self, text: str) -> np.ndarray:
+        if "<|" in text or not PLAIN_LATIN.fullmatch(text):
+            return np.frombuffer(self.whole(text), self.kind)
+        memo, chunk = self.memo, self.chunk
+        return np.frombuffer(b"".join([memo.get(c) or chunk(c) for c in text.lower().split()]), self.kind)
+
+
 @functools.lru_cache(maxsize=4)
 def json_encoder(path: str) -> JsonEncoder:
-    """One for each worker process and file."""
+    """One for each worker process and file; kinds of vocabulary without a faster way go through the library."""
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    model, cut = spec["model"], spec["pre_tokenizer"] or {}
+    plain_model = model["type"] == "BPE" and not any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "byte_fallback", "ignore_merges"))
+    flat = [t for t in spec["added_tokens"] if t["special"] and not (t["lstrip"] or t["rstrip"] or t["single_word"])]
+    if plain_model and len(flat) == len(spec["added_tokens"]):
+        if cut.get("type") == "ByteLevel" and cut["use_regex"] and not cut["add_prefix_space"] and not spec["normalizer"] and not model["end_of_word_suffix"]:
+            return RankEncoder(path, spec)
+        steps = cut.get("pretokenizers", [{}])
+        if model["end_of_word_suffix"] == WordEncoder.SUFFIX and steps[0].get("pattern", {}).get("Regex") == WORDS and steps[0].get("invert"):
+            return WordEncoder(path, spec)
     return JsonEncoder(path)

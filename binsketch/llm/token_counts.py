@@ -8,20 +8,7 @@ import regex
 from pyspark.sql import DataFrame
 
 from .common import map_batches, texts_of
-from .memo import MOST_CHARS, MOST_ENTRIES
-
-#: Fixed value: the split pattern of byte-level vocabularies of this kind.
-SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-#: Letters, digits and signs on which all Unicode versions of the pattern agree (a test compares each code point).
-PLAIN = regex.compile(r"[\x00-\x7e\xa1-ȳΑ-ΡΣ-ώА-я‐-‧‰-⁞ぁ-ゖァ-ヺ一-龥가-힣]*+")
-
-
-def byte_alphabet() -> dict[int, str]:
-    """The printable character that stands for each byte in byte-level vocabularies."""
-    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
-    rest = [b for b in range(256) if b not in set(plain)]
-    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
-
+from .memo import MOST_CHARS, MOST_ENTRIES, PLAIN, SPLIT, byte_alphabet
 
 def whole_tokens(path: str) -> frozenset[str]:
     """Vocabulary strings that encode alone as one token (proved by encoding each of them)."""

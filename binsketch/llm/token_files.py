@@ -25,7 +25,18 @@ MAGIC, BLOCK, HEAD = 0x73386231, 128, 32
 FILE_IDS = 8_000_000  # ids held by one task before it writes a file
 
 
-def packed(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def packed(ids: np.ndarray, at_once: int = 4096 * BLOCK) -> tuple[np.ndarray, np.ndarray]:
+    """Words, and each block's first word; ``at_once`` ids (whole blocks) at a time, which bounds the memory."""
+    words, offsets, n = [], [], 0
+    for a in range(0, max(len(ids), 1), at_once):
+        w, o = packed_blocks(ids[a : a + at_once])
+        words.append(w)
+        offsets.append(o + np.uint32(n))
+        n += len(w)
+    return np.concatenate(words), np.concatenate(offsets)
+
+
+def packed_blocks(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Words, and each block's first word. The largest count that fits is taken at each place; all blocks advance together."""
     n = len(ids)
     if not n:
@@ -69,13 +80,13 @@ def unpacked(words: np.ndarray) -> np.ndarray:
     selector = (words >> np.uint64(60)).astype(np.int8)
     counts = COUNTS[selector]
     ends = np.cumsum(counts)
-    out = np.zeros(int(ends[-1]) if len(ends) else 0, np.uint64)
+    out = np.zeros(int(ends[-1]) if len(ends) else 0, "<u4")
     for s in range(2, len(COUNTS)):
         own = np.flatnonzero(selector == s)
         mask, first = np.uint64((1 << int(BITS[s])) - 1), ends[own] - COUNTS[s]
         for lane in range(int(COUNTS[s])) if len(own) else ():
             out[first + lane] = words[own] >> np.uint64(lane * BITS[s]) & mask
-    return out.astype("<u4")
+    return out
 
 
 def file_bytes(doc_ids: list[int], lengths: list[int], ids: np.ndarray) -> bytes:
