@@ -17,6 +17,12 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import removal_digests
+
+    return removal_digests(table(spark, sf_dir, "documents"))
+
+
 def op2_warc_archives(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .warc import archive_digests
 
@@ -83,5 +89,5 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 """
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op2_warc_archives, op3_token_files, op4_site_quality, op5_token_counts, op6_jaccard_join, op7_telephony_audio, op8_piece_codec, op9_lexical_packing, op10_exact_top_k)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_suffix_dedup, op2_warc_archives, op3_token_files, op4_site_quality, op5_token_counts, op6_jaccard_join, op7_telephony_audio, op8_piece_codec, op9_lexical_packing, op10_exact_top_k)}
 ORACLES: dict[str, str] = {"op10_exact_top_k": OP10_SQL}
