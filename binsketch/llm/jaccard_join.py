@@ -1,10 +1,10 @@
 """Exact self-join of word-shingle sets at a Jaccard similarity of 0.8 or more.
 
 Sets are ordered rare shingles first, and sets that link share a shingle of their
-prefixes. An inverted list is walked in order of set size; entries are skipped
-in blocks by size and by position (too little of either set is left behind the
-shared place). In a long list, most sets are answers of its first one: each is
-compared with that one, and from those answers the rest follows, since one minus
+prefixes. An inverted list is walked with the sets of fewest rare shingles first;
+entries are skipped in blocks by size and by position (too little of either set
+is left behind the shared place). In a long list, most sets are answers of its
+first one, which has least of its own: each is compared with that one, and from those answers the rest follows, since one minus
 the similarity is a metric: sets already connected need no comparison, and sets
 whose distances to the first differ by more than 0.2 can't link.
 """
@@ -25,6 +25,7 @@ from .shingles import fingerprint, shingle_sets
 SHORT_LIST = 32  # lists up to this long compare all their pairs
 COMMON_LOCAL, COMMON_CHUNK, MOST_COMMON = 4, 4_000_000, 1 << 20
 MOST_BROADCAST_IDS = 4_000_000
+SPREAD = 128
 PAIRS = "hash long, a long, b long, n_a int, n_b int, at_b int"
 
 
@@ -34,7 +35,7 @@ def least_overlap(n: np.ndarray) -> np.ndarray:
 
 
 def set_table(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(id, n, f1, f2) of each row, and (hash, n) of shingles that are common within some stretch of the corpus.
+    """(id, n, f1, f2, spread) of each row, and (hash, n) of shingles that are common within some stretch of the corpus.
 
     The second only orders shingles; a stretch counts equal sets once.
     """
@@ -47,12 +48,12 @@ def set_table(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         def common() -> pa.RecordBatch:
             values, n = np.unique(np.concatenate(held) if held else np.empty(0, np.uint64), return_counts=True)
             far = np.flatnonzero(n >= COMMON_LOCAL)
-            return row_batch(values[far].view(np.int64), n[far], None, None)
+            return row_batch(values[far].view(np.int64), n[far], None, None, None)
 
         for batch in batches:
             sets = [s for i in range(0, batch.num_rows, 512) for s in shingle_sets(texts_of(batch.slice(i, 512), "text"))]
             prints = [fingerprint(s) for s in sets]
-            yield row_batch(batch.column("doc_id"), [len(s) for s in sets], [p[0] for p in prints], [p[1] for p in prints])
+            yield row_batch(batch.column("doc_id"), [len(s) for s in sets], [p[0] for p in prints], [p[1] for p in prints], [spread(s) for s in sets])
             for s, p in zip(sets, prints, strict=True):
                 if p not in seen:
                     seen.add(p)
@@ -63,14 +64,36 @@ def set_table(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
                 held, seen, size = [], set(), 0
         yield common()
 
-    both = written(docs.select("doc_id", "text").mapInArrow(run, "id long, n long, f1 long, f2 long"), "shingle-sets")
+    both = written(docs.select("doc_id", "text").mapInArrow(run, "id long, n long, f1 long, f2 long, spread binary"), "shingle-sets")
     return both.filter("f1 is not null"), both.filter("f1 is null").groupBy(F.col("id").alias("hash")).agg(F.sum("n").alias("n"))
 
 
-def row_batch(ids, n, f1, f2) -> pa.RecordBatch:
+def row_batch(ids, n, f1, f2, bins) -> pa.RecordBatch:
     size = len(ids)
     cols = [c if isinstance(c, pa.Array) else pa.array(c if c is not None else [None] * size, pa.int64()) for c in (ids, n, f1, f2)]
-    return pa.RecordBatch.from_arrays(cols, names=["id", "n", "f1", "f2"])
+    return pa.RecordBatch.from_arrays([*cols, pa.array(bins if bins is not None else [None] * size, pa.binary())], names=["id", "n", "f1", "f2", "spread"])
+
+
+def spread(s: np.ndarray) -> bytes:
+    """How many shingles fall in each of SPREAD bins (255: or more): two sets share at most the sum of the lesser counts."""
+    return np.minimum(np.bincount((s >> np.uint64(64 - SPREAD.bit_length() + 1)).astype(np.int64), minlength=SPREAD), 255).astype(np.uint8).tobytes()
+
+
+def possible(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """Pairs that the bound by bins leaves; no link is lost, and most others go without their texts being read."""
+    of = lambda c: sets.select(F.col("id").alias(c), F.col("n").alias(f"n_{c}"), F.col("spread").alias(f"s_{c}")).dropDuplicates([c, f"s_{c}"])
+    both = pairs.select("a", "b").join(of("a"), "a").join(of("b"), "b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, SPREAD) for c in ("s_a", "s_b"))
+            n_a, n_b = (batch.column(c).to_numpy() for c in ("n_a", "n_b"))
+            most = np.minimum(x, y).sum(axis=1, dtype=np.int64)
+            full = ((x == 255) & (y == 255)).any(axis=1)
+            keep = full | (9 * most >= 4 * (n_a + n_b))
+            yield batch.select(["a", "b"]).filter(pa.array(keep))
+
+    return both.mapInArrow(run, "a long, b long").distinct()
 
 
 def common_order(common: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -95,7 +118,7 @@ def prefix(s: np.ndarray, common: np.ndarray, place: np.ndarray) -> np.ndarray:
 
 
 def postings(docs: DataFrame, order: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """hash, n, id, at: one row per shingle of a prefix."""
+    """hash, own, n, id, at: one row per shingle of a prefix; own: how many rare shingles the set has."""
     shared = docs.sparkSession.sparkContext.broadcast(order)
 
     def run(batch):
@@ -105,9 +128,10 @@ def postings(docs: DataFrame, order: tuple[np.ndarray, np.ndarray]) -> DataFrame
         sizes = np.array([len(k) for k in keys])
         ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
         at = np.arange(sizes.sum()) - np.repeat(np.r_[0, np.cumsum(sizes)[:-1]], sizes)
-        yield {"hash": np.concatenate(keys).view(np.int64), "n": np.repeat([len(s) for s in sets], sizes).astype(np.int32), "id": np.repeat(ids, sizes).astype(np.int64), "at": at.astype(np.int32)}
+        own = [len(s) - int(np.isin(s, common, assume_unique=True).sum()) for s in sets]
+        yield {"hash": np.concatenate(keys).view(np.int64), "own": np.repeat(own, sizes).astype(np.int32), "n": np.repeat([len(s) for s in sets], sizes).astype(np.int32), "id": np.repeat(ids, sizes).astype(np.int64), "at": at.astype(np.int32)}
 
-    return map_batches(docs.filter("doc_id is not null"), run, "hash long, n int, id long, at int")
+    return map_batches(docs.filter("doc_id is not null"), run, "hash long, own int, n int, id long, at int")
 
 
 def may_link(n_a, at_a, n_b, at_b):
@@ -119,7 +143,7 @@ def may_link(n_a, at_a, n_b, at_b):
 def listed_pairs(lists: DataFrame) -> DataFrame:
     """Pairs to compare. Rows of long lists bear their hash: ``a`` is the list's first set, ``b`` any other.
 
-    A list is walked once, in order of size, keeping SHORT_LIST entries at most.
+    A list is walked once, keeping SHORT_LIST entries at most.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -225,13 +249,15 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     copies = written(sets.join(many, ["f1", "f2"]).filter("id <> rep").select(F.col("id").alias("doc_id")).distinct(), "copies")
     ones = some_docs(docs, copies, "left_anti")
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    lists = postings(ones, common_order(common)).repartition(parts, "hash").sortWithinPartitions("hash", "n", "id")
+    lists = postings(ones, common_order(common)).repartition(parts, "hash").sortWithinPartitions("hash", "own", "n", "id")
     listed = written(listed_pairs(lists), "listed-pairs")
-    found = compared(ones, listed.select("a", "b").distinct())
+    stars = listed.filter("hash is not null").select("a", "b").distinct()
+    others = possible(listed.filter("hash is null").select("a", "b").distinct(), sets)
+    found = compared(ones, written(stars.union(others).distinct(), "pairs"))
     edges = links(found)
-    if listed.filter("hash is not null").limit(1).count():
+    if stars.limit(1).count():
         rest = skipped_pairs(listed, found, components(edges))
-        edges = edges.union(links(compared(ones, rest)))
+        edges = edges.union(links(compared(ones, written(possible(rest, sets), "pairs"))))
     parent = written(components(edges), "components")
     own = sets.join(classes.select("f1", "f2", "rep"), ["f1", "f2"], "left").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce(F.when(F.col("n") > 0, F.col("rep")), "id").alias("rep"))
     own = written(own, "class-members")
