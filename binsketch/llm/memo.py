@@ -12,6 +12,7 @@ import array
 import functools
 import json
 import os
+import re
 
 import numpy as np
 import regex
@@ -22,9 +23,9 @@ WORDS = r"""'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"""
 #: Letters, digits and signs on which all Unicode versions of the patterns agree (a test compares each code point).
 PLAIN = regex.compile(r"[\x00-\x7e\xa1-ȳΑ-ΡΣ-ώА-я‐-‧‰-⁞ぁ-ゖァ-ヺ一-龥가-힣]*+")
 #: Those that composition leaves alone and that are lowered one by one.
-PLAIN_LATIN = regex.compile(r"[\t\n\r\x20-\x7e\xa1-ÿĀ-įĲ-ȳ]*+")
+PLAIN_LATIN = re.compile(r"[\t\n\r\x20-\x7e\xa1-ÿĀ-įĲ-ȳ]*+")
 
-MOST_ENTRIES, MOST_CHARS = 400_000, 64
+MOST_ENTRIES, MOST_CHARS = 500_000, 64
 
 
 class ChunkMemo(dict):
@@ -120,7 +121,7 @@ class WordEncoder(JsonEncoder):
         back, vocab = {c: b for b, c in byte_alphabet().items()}, spec["model"]["vocab"]
         raw = lambda s: bytes(back[c] for c in s.removesuffix(self.SUFFIX)) + self.END * s.endswith(self.SUFFIX)
         ranks = {bytes([b]): b for b in range(256)} | {bytes([b]) + self.END: 256 + b for b in range(256)}
-        self.to_id = np.zeros(512 + len(spec["model"]["merges"]), np.uint32)
+        self.to_id = [0] * (512 + len(spec["model"]["merges"]))
         for b, c in byte_alphabet().items():
             self.to_id[b], self.to_id[256 + b] = vocab[c], vocab[c + self.SUFFIX]
         for i, merge in enumerate(spec["model"]["merges"], 512):
@@ -128,9 +129,15 @@ class WordEncoder(JsonEncoder):
             ranks.setdefault(raw(a) + raw(b), i)
             self.to_id[i] = vocab[a + b]
         self.core = tiktoken.Encoding("words", pat_str=r"[^\x01]*\x01", mergeable_ranks=ranks, special_tokens={})
-        self.split, self.memo = regex.compile(WORDS), {}
+        self.split, self.memo, self.older = regex.compile(WORDS), {}, {}
+        self.code = "H" if self.kind.itemsize == 2 else "I"
 
     def chunk(self, chunk: str) -> bytes:
+        found = self.older.get(chunk)
+        if found is not None:
+            return self.kept(chunk, found)
+        if chunk.isalpha():
+            return self.word(chunk)
         if chunk[-1] in ".,;:!?" and chunk[:-1].isalpha():
             found = self.word(chunk[:-1]) + self.word(chunk[-1])
         else:
@@ -138,8 +145,10 @@ class WordEncoder(JsonEncoder):
         return self.kept(chunk, found)
 
     def kept(self, chunk: str, found: bytes) -> bytes:
+        """Remembered; when the memory is full, what was used since the last time stays."""
         if len(chunk) <= MOST_CHARS:
             if len(self.memo) >= MOST_ENTRIES:
+                self.older = dict(self.memo)
                 self.memo.clear()
             self.memo[chunk] = found
         return found
@@ -147,7 +156,10 @@ class WordEncoder(JsonEncoder):
     def word(self, word: str) -> bytes:
         found = self.memo.get(word)
         if found is None:
-            found = self.kept(word, self.to_id[self.core.encode_ordinary(word + "\x01")].astype(self.kind).tobytes())
+            found = self.older.get(word)
+            if found is None:
+                found = array.array(self.code, map(self.to_id.__getitem__, self.core.encode_ordinary(word + "\x01"))).tobytes()
+            self.kept(word, found)
         return found
 
     def ids(self, text: str) -> np.ndarray:
