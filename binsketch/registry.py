@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from .plans import base, generic, laws, learning, search, sketches, streams, surfaces, toy
+
+__all__ = ["generic", "laws", "learning", "oracles", "queries", "search", "sketches", "streams", "surfaces", "toy"]
+
 
 def queries() -> dict:
-    return {}
+    return dict(base.QUERIES)
 
 
 def oracles() -> dict:
-    return {}
+    return dict(base.ORACLES)

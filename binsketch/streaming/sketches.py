@@ -42,8 +42,8 @@ def session_sketch(elements: DataFrame, permuter, k: int, gap: str, watermark: s
     return s.select(F.col("s.start").alias("session_start"), F.col("s.end").alias("session_end"), "set_id", "n", least.alias("sketch"))
 
 
-def running_sketch(elements: DataFrame, permuter, k: int) -> DataFrame:
-    """set_id, filled, updates: each set's sketch kept as state for an hour of quiet; a row whenever it changes.
+def running_sketch(elements: DataFrame, permuter, k: int, ttl_ms: int | None = None) -> DataFrame:
+    """set_id, filled, updates: each set's sketch kept as state (``ttl_ms`` of quiet drop it); a row whenever it changes.
 
     State is k values a set at most; minima make replays harmless.
     """
@@ -62,10 +62,11 @@ def running_sketch(elements: DataFrame, permuter, k: int) -> DataFrame:
                     now[int(b)] = int(o)
                     updates += 1
         state.update((list(now), list(now.values()), updates))
-        state.setTimeoutDuration(3_600_000)
+        if ttl_ms:
+            state.setTimeoutDuration(ttl_ms)
         yield pd.DataFrame({"set_id": [key[0]], "filled": [len(now)], "updates": [updates]})
 
-    return cells.groupBy("set_id").applyInPandasWithState(step, "set_id long, filled int, updates long", "bins array<int>, offsets array<long>, updates long", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    return cells.groupBy("set_id").applyInPandasWithState(step, "set_id long, filled int, updates long", "bins array<int>, offsets array<long>, updates long", "update", GroupStateTimeout.ProcessingTimeTimeout if ttl_ms else GroupStateTimeout.NoTimeout)
 
 
 def events_stream(spark: SparkSession, folder: str, files_at_once: int = 1) -> DataFrame:
