@@ -5,9 +5,10 @@ Equal strings pick the same anchor: the least-hashed 28 bytes within them. Only
 anchors that occur twice matter; the stretch of text around each of them, with
 all strings that picked it, goes where equal anchors meet. Equal stretches
 collapse to the earliest; what differs is suffix-sorted in blocks, and
-neighbours in the order that share 100 bytes are repeats. Strings of anchors
-too frequent for one block are told apart by their full 100 bytes instead, which
-is sorting into buckets of full depth, summed before they are sent.
+neighbours in the order that share 100 bytes are repeats. Stretches of
+anchors too frequent for one block are cut in short parts instead; what is left
+after equal parts collapse is told apart by its full 100 bytes, which is sorting
+into buckets of full depth, summed before they are sent.
 """
 
 from __future__ import annotations
@@ -20,15 +21,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts_of, written
+from .common import claim, map_batches, scratch, texts_of, written
 from .jaccard_join import MOST_BROADCAST_IDS
 from .shingles import _table, mixed
 from .suffix_order import agree, two_stage_order, words_at
 
 LENGTH, GRAM = 100, 28
 PICKS = LENGTH - GRAM + 1
-AT_ONCE, BLOCK_BYTES, HELD = 1 << 21, 1 << 20, 400_000
-HOT_LEAST, HOT_KEYS = 1024, 4_000_000
+AT_ONCE, BLOCK_BYTES, HELD = 1 << 19, 1 << 20, 120_000
+HOT_LEAST, HOT_KEYS, SUB = 1024, 4_000_000, 4
 MIX = _table(20240103, 6)
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
 SURE = 1 << 62
@@ -90,6 +91,7 @@ def repeated_anchors(docs: DataFrame) -> DataFrame:
     kind = "route long, key long, doc_id long, packed long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("anchors")
         held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         size = 0
 
@@ -110,7 +112,7 @@ def repeated_anchors(docs: DataFrame) -> DataFrame:
                 blob, start, count, far, key = anchors(blobs)
                 held.append((key, ids[a + blob], start << 16 | far << 8 | count))
                 size += len(key)
-            if size >= HELD:
+            if size >= 4 * HELD:
                 yield sent()
                 held, size = [], 0
         if held:
@@ -136,26 +138,42 @@ def repeated_anchors(docs: DataFrame) -> DataFrame:
 
 
 def stretches(docs: DataFrame, found: DataFrame, hot: np.ndarray) -> DataFrame:
-    """Of each repeated anchor its stretch of text: kind 0 (key, doc_id, start, count, bytes); kind 1: one of the strings
-    of a hot anchor (key and count: its 128-bit hash); kind 2: a stretch that an equal one in this task comes before (no bytes)."""
+    """Of each repeated anchor its stretch of text: kind 0 (key, doc_id, start, count, bytes); kind 1: a part of the stretch
+    of a hot anchor, SUB strings in step with the anchor; kind 2: what an equal stretch or part in this task comes before (no bytes)."""
     shared = docs.sparkSession.sparkContext.broadcast(hot)
     lists = found.groupBy("doc_id").agg(F.collect_list(F.struct("key", "packed")).alias("found"))
     kind = "kind int, key long, doc_id long, start long, count long, bytes binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[bytes, tuple[int, int, int, int]] = {}
+        seen: dict[bytes, tuple[int, ...]] = {}
         out: list[tuple] = []
 
+        def put(where: dict[bytes, tuple[int, ...]], content: bytes, own: tuple[int, ...]) -> None:
+            """The earliest of equal contents stays; the other one is a repeat."""
+            other = where.get(content)
+            if other is None:
+                where[content] = own
+                return
+            if own < other:
+                where[content], own = own, other
+            out.append((2, 0, own[0], own[1], own[2], None))
+
         def sent() -> Iterator[pa.RecordBatch]:
             frequent = np.isin(np.array([v[3] for v in seen.values()], np.int64), shared.value)
-            rows = list(out)
-            for (content, (doc, start, count, key)), is_hot in zip(seen.items(), frequent, strict=True):
-                if is_hot:
-                    for k in range(count):
-                        a, b = np.frombuffer(hashlib.blake2b(content[k : k + LENGTH], digest_size=16).digest(), np.int64)
-                        rows.append((1, int(a), doc, start + k, int(b), None))
-                else:
+            parts: dict[bytes, tuple[int, ...]] = {}
+            rows = []
+            for (content, (doc, start, count, key, far)), is_hot in zip(seen.items(), frequent, strict=True):
+                if not is_hot:
                     rows.append((0, key, doc, start, count, content))
+                    continue
+                k = 0
+                while k < count:
+                    n = min(SUB - (k - far) % SUB, count - k)
+                    core = k + SUB - 1 - (k - far) % SUB  # what all strings of a place in step have in common
+                    put(parts, content[k : k + n + LENGTH - 1], (doc, start + k, n, hashlib.blake2b(content[core : core + LENGTH - SUB + 1], digest_size=8).digest()))
+                    k += n
+            rows += [(1, int.from_bytes(core, "little", signed=True), *own, content) for content, (*own, core) in parts.items()]
+            rows += out
             for i in range(0, len(rows), 20_000):
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[i : i + 20_000], strict=True), (pa.int32(), *[pa.int64()] * 4, pa.binary()), strict=True)], names=["kind", "key", "doc_id", "start", "count", "bytes"])
             seen.clear()
@@ -169,14 +187,7 @@ def stretches(docs: DataFrame, found: DataFrame, hot: np.ndarray) -> DataFrame:
                 for key, p in zip(keys, packed, strict=True):
                     start, count = p >> 16, p & 255
                     content = raw[start : start + count + LENGTH - 1]
-                    own = (doc, start, count, key)
-                    other = seen.get(content)
-                    if other is None:
-                        seen[content] = own
-                    else:
-                        if own < other:
-                            seen[content], own = own, other
-                        out.append((2, 0, own[0], own[1], count, None))
+                    put(seen, content, (doc, start, count, key, p >> 8 & 255))
                 if len(seen) >= HELD:
                     yield from sent()
         if seen or out:
@@ -272,36 +283,56 @@ def block_repeats(block: list[tuple[bytes, tuple[int, int, int]]]) -> np.ndarray
 
 
 def hot_repeats(rows: DataFrame) -> DataFrame:
-    """The same for strings of hot anchors, by their 128-bit hashes."""
-    strings = rows.filter("kind = 1").select(F.col("key").alias("h1"), F.col("count").alias("h2"), "doc_id", "start")
-    first = written(strings.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "start")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("h1", "h2", "first"), "hot-strings")
-    later = strings.join(first, ["h1", "h2"]).filter((F.col("doc_id") != F.col("first.doc_id")) | (F.col("start") != F.col("first.start")))
-    return later.select("doc_id", "start", (F.col("start") + LENGTH).alias("end"))
+    """The same for hot anchors: equal parts collapse to the earliest; of those that share their middle
+    with another part, the strings by 128-bit hashes."""
+    part = rows.filter("kind = 1").select("key", "bytes", "doc_id", "start", "count")
+    first = written(part.groupBy("bytes").agg(F.min("key").alias("core"), F.min(F.struct("doc_id", "start", "count")).alias("first"), F.count(F.lit(1)).alias("n")), "hot-parts")
+    spans = later(part, first, ["bytes"]).select("doc_id", "start", (F.col("start") + F.col("count") + LENGTH - 1).alias("end"))
+
+    def strings(batch):
+        out: list[tuple] = []
+        for content, own in zip(batch.column("bytes").to_pylist(), batch.column("first").to_pylist(), strict=True):
+            for k in range(own["count"]):
+                a, b = np.frombuffer(hashlib.blake2b(content[k : k + LENGTH], digest_size=16).digest(), np.int64)
+                out.append((int(a), int(b), own["doc_id"], own["start"] + k))
+        yield dict(zip(("h1", "h2", "doc_id", "start"), zip(*out, strict=True) if out else [[]] * 4, strict=True))
+
+    shared = written(first.groupBy("core").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("core"), "hot-cores")
+    open_parts = first.join(shared, "core", "left_semi").select("bytes", "first")
+    string = written(map_batches(open_parts, strings, "h1 long, h2 long, doc_id long, start long"), "hot-strings")
+    once = written(string.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "start")).alias("first"), F.count(F.lit(1)).alias("n")), "hot-firsts")
+    return spans.unionByName(later(string, once, ["h1", "h2"]).select("doc_id", "start", (F.col("start") + LENGTH).alias("end")))
+
+
+def later(rows: DataFrame, first: DataFrame, key: list[str]) -> DataFrame:
+    """Rows whose key has an earlier row."""
+    both = rows.join(first.filter("n > 1"), key)
+    return both.filter((F.col("doc_id") != F.col("first.doc_id")) | (F.col("start") != F.col("first.start")))
 
 
 def repeats(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """facts (doc_id, n_bytes, sha, copy_of: the smallest doc_id with the same text if smaller), spans (doc_id, start, end; they may overlap)
     of documents that are no copies, and those documents' rows."""
-    spark = docs.sparkSession
     docs = docs.filter("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    facts = written(docs.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2(F.col("text").cast("binary"), 256).alias("sha")), "facts")
-    many = written(facts.groupBy("sha").agg(F.min("doc_id").alias("copy_of"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("sha", "copy_of"), "copied")
-    facts = written(facts.join(many, "sha", "left").withColumn("copy_of", F.when(F.col("copy_of") < F.col("doc_id"), F.col("copy_of"))), "facts")
-    copies = facts.filter("copy_of is not null").select("doc_id").distinct()
-    ones = some_docs(docs, copies, "left_anti")
-    found = repeated_anchors(ones)
-    counts = found.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
-    limit = max(HOT_LEAST, found.count() // HOT_KEYS)
-    hot = np.array(sorted(r.key for r in counts.filter(F.col("n") > limit).collect()), np.int64)
-    near = some_docs(ones, written(found.select("doc_id").distinct(), "near-ids"), "left_semi")
-    rows = stretches(near, found, hot)
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    cold = sorted_repeats(rows.filter("kind = 0").drop("kind").repartition(parts, "key").sortWithinPartitions("key"))
-    local = rows.filter("kind = 2").select("doc_id", "start", (F.col("start") + F.col("count") + LENGTH - 1).alias("end"))
-    spans = cold.unionByName(local)
-    if len(hot):
-        spans = spans.unionByName(hot_repeats(rows))
-    return facts, written(spans, "spans"), ones
+    with scratch(docs.sparkSession) as temp:
+        facts = written(docs.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2(F.col("text").cast("binary"), 256).alias("sha")), "facts")
+        many = written(facts.groupBy("sha").agg(F.min("doc_id").alias("copy_of"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("sha", "copy_of"), "copied")
+        facts = written(facts.join(many, "sha", "left").withColumn("copy_of", F.when(F.col("copy_of") < F.col("doc_id"), F.col("copy_of"))), "facts")
+        copies = facts.filter("copy_of is not null").select("doc_id").distinct()
+        ones = some_docs(docs, temp.keep(written(copies, "copies")), "left_anti")
+        found = repeated_anchors(ones)
+        counts = found.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
+        limit = max(HOT_LEAST, found.count() // HOT_KEYS)
+        hot = np.array(sorted(r.key for r in counts.filter(F.col("n") > limit).collect()), np.int64)
+        near = some_docs(ones, written(found.select("doc_id").distinct(), "near-ids"), "left_semi")
+        rows = stretches(near, found, hot)
+        parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        cold = sorted_repeats(rows.filter("kind = 0").drop("kind").repartition(parts, "key").sortWithinPartitions("key"))
+        local = rows.filter("kind = 2").select("doc_id", "start", (F.col("start") + F.col("count") + LENGTH - 1).alias("end"))
+        spans = cold.unionByName(local)
+        if len(hot):
+            spans = spans.unionByName(hot_repeats(rows))
+        return temp.keep(facts), temp.keep(written(spans, "spans")), ones
 
 
 def some_docs(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
@@ -353,6 +384,11 @@ def removal_digests(docs: DataFrame) -> DataFrame:
     doc_id none is earlier. Other columns are ignored; an empty table gives no rows.
     A copy of an earlier document goes as a whole if it has 100 bytes.
     """
+    with scratch(docs.sparkSession) as temp:
+        return temp.keep(written(_removal_digests(docs), "removals"))
+
+
+def _removal_digests(docs: DataFrame) -> DataFrame:
     facts, spans, ones = repeats(docs)
     cut = written(cut_texts(ones, spans).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256")), "cut")
     whole = some_docs(facts, cut.select("doc_id").distinct(), "left_anti")
