@@ -108,7 +108,7 @@ class PieceCodec:
 
     def spans_of(self, text: str):
         """The library's own spans, in bytes of the text."""
-        return self.lib.encode(text, out_type="immutable_proto").pieces
+        return self.lib.encode(text, return_type="proto").pieces
 
     def encode(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         """ids, and the byte offsets in the original text where pieces end.
@@ -132,13 +132,10 @@ class PieceCodec:
 
     def general(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         """Any model and text: the library's pieces over the mapped text, projected through the alignment."""
-        proto = self.lib.encode(text, out_type="immutable_proto")
+        proto = self.lib.encode(text, return_type="proto")
         ids = np.array([p.id for p in proto.pieces], self.kind)
         if not len(self.chars.units) and not self.trims:
-            at = np.zeros(len(text) + 1, np.int64)
-            at[1:] = np.cumsum([len(c.encode()) for c in text])
-            ends = np.array([p.end for p in proto.pieces], np.int64)
-            return ids, at[np.minimum(ends, len(text))] if len(ends) and ends[-1] <= len(text) else ends
+            return ids, np.array([p.end for p in proto.pieces], np.int64)
         mapped, source = self.chars.normalise(text.encode())
         return ids, self.projected(proto.pieces, mapped, source)
 
