@@ -28,9 +28,9 @@ def bin_minima(sets: DataFrame, permuter, k: int, reindex: bool = True) -> DataF
         least = p.groupBy("set_id", "bin").agg(F.min(unsigned_order(F.col("pos"))).alias("o"))
         return least.select("set_id", "bin", unsigned_order(F.col("o")).alias("offset"))
     if size % k == 0:
-        bin_of, start = F.expr(f"pos div {size // k}"), F.col("bin") * F.lit(size // k)
+        bin_of, start = F.expr(f"pos div {size // k}"), F.col("bin").cast("long") * F.lit(size // k)
     else:
-        bin_of, start = F.expr(f"pos * {k} div {size}"), F.ceil(F.col("bin") * F.lit(size) / F.lit(k))
+        bin_of, start = F.expr(f"pos * {k} div {size}"), F.ceil(F.col("bin").cast("long") * F.lit(size) / F.lit(k))
     least = p.withColumn("bin", bin_of.cast("int")).groupBy("set_id", "bin").agg(F.min("pos").alias("pos"))
     return least.select("set_id", "bin", ((F.col("pos") - start) if reindex else F.col("pos")).cast("long").alias("offset"))
 
@@ -45,7 +45,7 @@ def striped(sets: DataFrame, permuters: list, k: int) -> DataFrame:
     rows = sets.select("set_id", pos.alias("p")).select("set_id", "p.stripe", "p.pos")
     bin_of = F.expr(f"stripe * {each} + pos * {each} div {size}").cast("int")
     least = rows.withColumn("bin", bin_of).groupBy("set_id", "bin").agg(F.min("pos").alias("pos"))
-    return least.select("set_id", "bin", (F.col("pos") - F.ceil(F.expr(f"(bin % {each}) * {size}") / F.lit(each))).cast("long").alias("offset"))
+    return least.select("set_id", "bin", (F.col("pos") - F.ceil(F.expr(f"cast(bin % {each} as bigint) * {size}") / F.lit(each))).cast("long").alias("offset"))
 
 
 def ragged_bounds(size: int, k: int, seed: int) -> list[int]:
@@ -87,7 +87,7 @@ def coarsen(raw: DataFrame, size: int, k_from: int, k_to: int) -> DataFrame:
     if k_from % k_to or size % k_from:
         raise ValueError("k_to must divide k_from, and k_from D")
     least = raw.withColumn("bin", F.expr(f"bin div {k_from // k_to}").cast("int")).groupBy("set_id", "bin").agg(F.min("offset").alias("pos"))
-    return least.select("set_id", "bin", (F.col("pos") - F.col("bin") * F.lit(size // k_to)).cast("long").alias("offset"))
+    return least.select("set_id", "bin", (F.col("pos") - F.col("bin").cast("long") * F.lit(size // k_to)).cast("long").alias("offset"))
 
 
 def sparsify(sets: DataFrame, permuter, k: int) -> DataFrame:
