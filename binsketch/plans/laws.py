@@ -60,6 +60,23 @@ _law("theory_unbiased_var", {"v": "round(unbiased_var, 8)", "classic": "round(cl
 _law("theory_ratio_g", {"g": "round(ratio, 6)"}, {"g": "round(f / ((f - 1) * (1 - p1)) - k / (f - 1)::DOUBLE, 6)"})
 _law("theory_ragged", {"gap": "round((ragged_mean - empty_mean) / k, 6)"}, {"gap": "round((k * p1 - empty_mean) / k, 6)"})
 
+_law("theory_empty_sparse", {"share": "round(sparse_share, 6)", "v": "round((sparse_share * (1 - sparse_share) - (k - 1) * (sparse_share * sparse_share - pow(1 - 2 / k, f))) , 4)"}, {"share": "round(p1, 6)", "v": "round(p1 * (1 - p1) - (k - 1) * (p1 * p1 - p2), 4)"})
+
+
+@query()
+def theory_empty_expanded(spark, sf_dir):
+    """The refined expansion beside the exact share of holes."""
+    rows = [(p, k, theory.empty_share_expanded(d, k, f), theory.empty_mean(d, k, f) / k) for p, d, k, f, _ in GRID if k <= 64]
+    return spark.createDataFrame(rows, "pair string, k int, expanded double, exact double")
+
+
+@query()
+def theory_inv_nonempty(spark, sf_dir):
+    """E[1 / filled bins] exactly and by its bound, on small cases."""
+    rows = [(d, k, f, theory.inv_nonempty(d, k, f, exact=True), theory.inv_nonempty(d, k, f)) for d, k, f, _ in SMALL]
+    return spark.createDataFrame(rows, "d int, k int, f int, exact double, bound double")
+
+
 #: A small case in which every law is an exact fraction.
 SMALL = [(16, 4, 5, 2), (12, 4, 4, 2), (12, 3, 5, 2), (12, 6, 6, 1)]
 

@@ -88,6 +88,47 @@ def sql_learner(spark, sf_dir):
     return learn.evaluate(scored).select("n", r6("accuracy", "accuracy"), r6("balanced", "balanced"), r6("majority", "majority"))
 
 
+@query()
+def stream_scored_points(spark, sf_dir):
+    """New documents arrive in files; each batch is sketched, coded, expanded and scored by a stored model."""
+    from ..streaming.sketches import drained
+
+    y = labelled(spark, sf_dir)
+    v = written(sketched(spark, sf_dir, 64, 4).join(y, "set_id"), "vectors")
+    train, test = learn.split(v, 0.5, SEED)
+    model = learn.logistic(train)
+    folder = fresh_path(spark, "arrivals")
+    test.repartition(3, "set_id").write.parquet(folder)
+    stream = spark.readStream.schema(v.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    return drained(learn.score(stream, model).select("set_id", "label", "prediction"), "scored")
+
+
+@query()
+def training_times(spark, sf_dir):
+    """Seconds to fit on codes of one permutation and of k permutations, the same k and b."""
+    import time
+
+    y, rows = labelled(spark, sf_dir), []
+    for classic in (False, True):
+        v = written(sketched(spark, sf_dir, 64, 4, classic=classic).join(y, "set_id"), "vectors")
+        t = time.perf_counter()
+        learn.logistic(v)
+        rows.append(("classic" if classic else "one permutation", time.perf_counter() - t))
+    return spark.createDataFrame(rows, "method string, seconds double")
+
+
+@query()
+def sketching_times(spark, sf_dir):
+    """Seconds and hash evaluations to sketch all documents: one permutation, three, k = 64."""
+    from ..sources.tables import timed
+
+    words = written(doc_words(spark, sf_dir), "words")
+    n = words.count()
+    many = [Digest(D, 300 + j) for j in range(64)]
+    rows = [(m, n * p, timed(df)) for m, p, df in (("one permutation", 1, sketch.bin_minima(words, many[0], 64)), ("striped", 4, sketch.striped(words, many[:4], 64)), ("classic", 64, sketch.classic(words, many)))]
+    return spark.createDataFrame(rows, "method string, hashes long, seconds double")
+
+
 @query()
 def loading_times(spark, sf_dir):
     """Seconds to load the same expanded vectors from the sparse text format and from Parquet."""

@@ -199,3 +199,29 @@ def signed_dot(spark, sf_dir):
 def random_projections(spark, sf_dir):
     _, near = near_docs(spark, sf_dir)
     return linear_sketch.projected_intersection(linear_sketch.random_projection(doc_shingles(spark, sf_dir), 5, 128), near, 128)
+
+
+@query()
+def element_frequencies(spark, sf_dir):
+    """The classical counting structure over all words (bounded in size): estimates beside the ten largest counts."""
+    words = doc_words_of(spark, sf_dir)
+    top = words.groupBy("elem").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "elem").limit(10)
+    sketched = words.agg(F.count_min_sketch(F.col("elem"), F.lit(0.001), F.lit(0.99), F.lit(7)).alias("s")).select(F.length("s").alias("sketch_bytes"))
+    return top.crossJoin(F.broadcast(sketched))
+
+
+@query()
+def skipped_bands(spark, sf_dir):
+    """Share of (document, table) places that holes leave out of the index, by hole policy."""
+    sk = written(shingle_sketch(spark, sf_dir), "sketch")
+    out = None
+    for policy in ("skip_band", "sentinel"):
+        one = lsh.skipped_share(lsh.build_index(sk, B, BAND, TABLES, policy), sk, TABLES).withColumn("policy", F.lit(policy))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def doc_words_of(spark, sf_dir):
+    from .base import doc_words
+
+    return doc_words(spark, sf_dir)
