@@ -17,16 +17,18 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts_of, written
+from .common import claim, map_batches, texts_of, written
 
 BUCKETS, RESERVED = 1 << 18, 64  # hashed words; places below 64 are for shapes
-MOST_ENTRIES, MOST_CHARS, SAMPLE = 300_000, 64, 20_000
+MOST_ENTRIES, MOST_CHARS, SAMPLE = 150_000, 64, 20_000
 UNITS = re.compile(r"\w+|[^\w\s]+")
 HEADS = ("quality", "toxic")
+CAPITALS, SIGNS = 0, 1  # marks of a chunk
+LEAST_CHI, LEAST_DOCS = 25.0, 5
 
 
 class Featurizer:
-    """Which features a text has: its words and runs of signs (hashed), shares of capitals and of repeats, length."""
+    """Which features a text has: its words and runs of signs (hashed), shares of capitals, signs and repeats, length."""
 
     def __init__(self):
         self.memo: dict[str, bytes] = {}
@@ -34,9 +36,12 @@ class Featurizer:
     def chunk(self, chunk: str) -> bytes:
         import xxhash
 
-        found = [RESERVED + xxhash.xxh64_intdigest(u.lower()) % (BUCKETS - RESERVED) for u in UNITS.findall(chunk)]
+        units = UNITS.findall(chunk)
+        found = [RESERVED + xxhash.xxh64_intdigest(u.lower()) % (BUCKETS - RESERVED) for u in units]
         if len(chunk) > 1 and chunk.isupper():
-            found.append(0)
+            found.append(CAPITALS)
+        if any(len(u) > 1 and not u[0].isalnum() or u == "|" for u in units):
+            found.append(SIGNS)
         out = np.array(found, np.uint32).tobytes()
         if len(chunk) <= MOST_CHARS:
             if len(self.memo) >= MOST_ENTRIES:
@@ -45,33 +50,45 @@ class Featurizer:
         return out
 
     def features(self, text: str) -> np.ndarray:
+        claim("quality", self.memo.clear)
         chunks = text.split(" ")
         memo, chunk = self.memo, self.chunk
         ids, times = np.unique(np.frombuffer(b"".join([memo.get(c) or chunk(c) for c in chunks]), np.uint32), return_counts=True)
-        total = int(times.sum())
-        upper = int(times[0]) if len(ids) and ids[0] == 0 else 0
-        shapes = 1 + 10 * upper // len(chunks), 16 + int(15 * len(ids) / max(total, 1)), 32 + min(len(text).bit_length(), 20)
-        return np.concatenate([np.array(shapes, np.uint32), ids[ids > 0]])
+        count = {int(i): int(n) for i, n in zip(ids[:2], times[:2], strict=True) if i <= SIGNS}
+        share = lambda n, of, steps: min(steps, steps * n // max(of, 1))
+        words = ids[ids > SIGNS]
+        shapes = 2 + share(count.get(CAPITALS, 0), len(chunks), 10), 13 + share(len(words), int(times.sum()) - sum(count.values()), 15), 29 + min(len(text).bit_length(), 20), 50 + share(count.get(SIGNS, 0), len(chunks), 10)
+        return np.concatenate([np.array(shapes, np.uint32), words])
 
 
 _featurizer = Featurizer()
 
 
-def fit(rows: list[np.ndarray], labels: np.ndarray, rounds: int = 60, rate: float = 0.3, decay: float = 1e-4) -> np.ndarray:
-    """Weights (the last is the intercept) of a logistic regression; steps are scaled for each weight."""
+def telling(rows: list[np.ndarray], labels: np.ndarray) -> np.ndarray:
+    """Which features go with the label: in LEAST_DOCS documents or more, and a chi-square that chance doesn't reach among all of them."""
+    of = lambda label: np.bincount(np.concatenate([r for r, y in zip(rows, labels, strict=True) if y == label]), minlength=BUCKETS).astype(float)
+    a, b, n, ones = of(1), of(0), len(labels), labels.sum()
+    c, d = ones - a, n - ones - b
+    chi = n * np.maximum(np.abs(a * d - b * c) - n / 2, 0) ** 2 / np.maximum((a + b) * (c + d) * ones * (n - ones), 1e-9)
+    return (chi >= LEAST_CHI) & (a + b >= LEAST_DOCS)
+
+
+def fit(rows: list[np.ndarray], labels: np.ndarray, rounds: int = 400, rate: float = 0.5, decay: float = 1e-4) -> np.ndarray:
+    """Weights (the last is the intercept) of a logistic regression on telling features; steps are scaled for each weight."""
     w = np.zeros(BUCKETS + 1)
     if not len(rows) or labels.min() == labels.max():
         w[-1] = 0.0 if not len(rows) else 8.0 if labels[0] else -8.0
         return w
-    index, sizes = np.concatenate(rows).astype(np.int64), np.array([len(r) for r in rows])
-    used, index = np.unique(index, return_inverse=True)
-    starts, v, bias = np.r_[0, np.cumsum(sizes)[:-1]], np.zeros(len(used)), 0.0
-    scale = 1 / np.sqrt(sizes)
-    seen, seen_bias = np.full(len(used), 1e-8), 1e-8
+    keep = telling(rows, labels)
+    number = np.cumsum(keep) - 1
+    few = [number[r[keep[r]]] for r in rows]
+    doc, index = np.repeat(np.arange(len(rows)), [len(f) for f in few]), np.concatenate(few)
+    used, n = np.flatnonzero(keep), len(rows)
+    v, bias, seen, seen_bias = np.zeros(len(used)), 0.0, np.full(len(used), 1e-8), 1e-8
     for _ in range(rounds):
-        z = np.add.reduceat(v[index], starts) * scale * 4 + bias
+        z = np.bincount(doc, v[index], n) + bias
         off = 1 / (1 + np.exp(-np.clip(z, -30, 30))) - labels
-        g = np.bincount(index, np.repeat(off * scale * 4, sizes), len(used)) + decay * len(rows) * v / 100
+        g = np.bincount(index, off[doc], len(used)) + decay * v
         seen += g * g
         v -= rate * g / np.sqrt(seen)
         seen_bias += off.sum() ** 2
@@ -81,7 +98,7 @@ def fit(rows: list[np.ndarray], labels: np.ndarray, rounds: int = 60, rate: floa
 
 
 def evidence(w: np.ndarray, features: np.ndarray) -> float:
-    return float(w[features].sum() * 4 / np.sqrt(len(features)) + w[-1])
+    return float(w[features].sum() + w[-1])
 
 
 @dataclass
@@ -101,11 +118,11 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
         yield {"features": [_featurizer.features(t).tobytes() for t in texts_of(batch, text_col)]} | {h: batch.column(h) for h in HEADS}
 
     rows = map_batches(joined.select(text_col, *(F.col(h).cast("int").alias(h) for h in HEADS)), run, "features binary, quality int, toxic int").collect()
-    rows.sort(key=lambda r: bytes(r.features))
+    rows = sorted(((np.frombuffer(r.features, np.uint32), *(r[h] for h in HEADS)) for r in rows), key=lambda r: r[0].tobytes())
     found = []
-    for h in HEADS:
-        own = [r for r in rows if r[h] is not None]
-        found.append(fit([np.frombuffer(r.features, np.uint32) for r in own], np.array([r[h] for r in own], float)))
+    for k in range(1, len(HEADS) + 1):
+        own = [r for r in rows if r[k] is not None]
+        found.append(fit([r[0] for r in own], np.array([r[k] for r in own], float)))
     return Model(np.array(found))
 
 
