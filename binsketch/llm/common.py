@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from ..tables import fresh_path, shared_dir, written
+from ..tables import fresh_path, scratch, shared_dir, written
 
-__all__ = ["as_array", "fresh_path", "map_batches", "shared_dir", "table", "texts_of", "written"]
+__all__ = ["as_array", "claim", "fresh_path", "map_batches", "scratch", "shared_dir", "table", "texts_of", "tidy", "written"]
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A given table, read by Spark only, so that any store works."""
@@ -29,7 +31,7 @@ def map_batches(df: DataFrame, f: Callable[[pa.RecordBatch], Iterable[dict]], sc
                 for cols in f(part):
                     yield pa.RecordBatch.from_arrays([as_array(cols[x.name], x.type) for x in out], schema=out)
 
-    return df.mapInArrow(run, schema)
+    return df.mapInArrow(tidy(run), schema)
 
 
 def as_array(values, kind: pa.DataType) -> pa.Array:
@@ -41,3 +43,38 @@ def as_array(values, kind: pa.DataType) -> pa.Array:
 def texts_of(batch: pa.RecordBatch, name: str = "text") -> list[str]:
     """Texts of a batch; null counts as empty."""
     return ["" if t is None else t for t in batch.column(name).to_pylist()]
+
+
+_memos: dict[str, Callable[[], None]] = {}
+_owner: str | None = None
+
+
+def claim(owner: str, forget: Callable[[], None] | None = None) -> None:
+    """What an operator remembers in a worker goes (``forget``) when another one starts there: workers serve many stages."""
+    global _owner
+    if owner == _owner:
+        return
+    for name, f in _memos.items():
+        if name != owner:
+            f()
+    trim()
+    _owner = owner
+    if forget:
+        _memos[owner] = forget
+
+
+def trim() -> None:
+    """Give memory that is free within the process back to the machine: idle workers stay beside busy ones."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # where the C library has it
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def tidy(f: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``f``, with memory given back at the end of the task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from f(batches)
+        trim()
+
+    return run

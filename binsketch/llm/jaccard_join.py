@@ -19,11 +19,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import map_batches, texts_of, written
+from .common import map_batches, scratch, texts_of, tidy, written
 from .shingles import fingerprint, shingle_sets
 
 SHORT_LIST = 32  # lists up to this long compare all their pairs
-COMMON_LOCAL, COMMON_CHUNK, MOST_COMMON = 4, 4_000_000, 1 << 20
+COMMON_LOCAL, COMMON_CHUNK, MOST_COMMON = 2, 2_000_000, 1 << 18
 MOST_BROADCAST_IDS = 4_000_000
 SPREAD = 128
 PAIRS = "hash long, a long, b long, n_a int, n_b int, at_b int"
@@ -50,8 +50,8 @@ def set_table(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
             far = np.flatnonzero(n >= COMMON_LOCAL)
             return row_batch(values[far].view(np.int64), n[far], None, None, None)
 
-        for batch in batches:
-            sets = [s for i in range(0, batch.num_rows, 512) for s in shingle_sets(texts_of(batch.slice(i, 512), "text"))]
+        for batch in (b.slice(i, 512) for b in batches for i in range(0, b.num_rows, 512)):
+            sets = shingle_sets(texts_of(batch, "text"))
             prints = [fingerprint(s) for s in sets]
             yield row_batch(batch.column("doc_id"), [len(s) for s in sets], [p[0] for p in prints], [p[1] for p in prints], [spread(s) for s in sets])
             for s, p in zip(sets, prints, strict=True):
@@ -64,7 +64,7 @@ def set_table(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
                 held, seen, size = [], set(), 0
         yield common()
 
-    both = written(docs.select("doc_id", "text").mapInArrow(run, "id long, n long, f1 long, f2 long, spread binary"), "shingle-sets")
+    both = written(docs.select("doc_id", "text").mapInArrow(tidy(run), "id long, n long, f1 long, f2 long, spread binary"), "shingle-sets")
     return both.filter("f1 is not null"), both.filter("f1 is null").groupBy(F.col("id").alias("hash")).agg(F.sum("n").alias("n"))
 
 
@@ -93,28 +93,29 @@ def possible(pairs: DataFrame, sets: DataFrame) -> DataFrame:
             keep = full | (9 * most >= 4 * (n_a + n_b))
             yield batch.select(["a", "b"]).filter(pa.array(keep))
 
-    return both.mapInArrow(run, "a long, b long").distinct()
+    return both.mapInArrow(tidy(run), "a long, b long").distinct()
 
 
 def common_order(common: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """The most common shingles (sorted), and each one's place among them from rare to common; at most MOST_COMMON reach the driver."""
-    rows = common.orderBy(F.desc("n"), "hash").limit(MOST_COMMON).toPandas()
-    hashes = rows["hash"].to_numpy(np.int64).view(np.uint64) if len(rows) else np.empty(0, np.uint64)
+    rows = common.orderBy(F.desc("n"), "hash").limit(MOST_COMMON).select("hash").toArrow()
+    hashes = rows.column("hash").to_numpy().view(np.uint64)
     order = np.argsort(hashes)
     return hashes[order], (len(hashes) - np.arange(len(hashes)))[order]
 
 
-def prefix(s: np.ndarray, common: np.ndarray, place: np.ndarray) -> np.ndarray:
-    """The first n - ceil(0.8 n) + 1 shingles: rare ones by hash, then common ones, the commonest last."""
+def prefix(s: np.ndarray, common: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, int]:
+    """The first n - ceil(0.8 n) + 1 shingles: rare ones by hash, then common ones, the commonest last; and how many are rare."""
     p = len(s) - int(least_overlap(np.int64(len(s)))) + 1
     at = np.searchsorted(common, s)
     at[at == len(common)] = 0
     is_common = common[at] == s if len(common) else np.zeros(len(s), bool)
-    rare = s[~is_common][:p]
+    rare = s[~is_common]
+    own, rare = len(rare), rare[:p]
     if len(rare) < p:
         rest = np.flatnonzero(is_common)
         rare = np.r_[rare, s[rest[np.argsort(place[at[rest]], kind="stable")][: p - len(rare)]]]
-    return rare
+    return rare, own
 
 
 def postings(docs: DataFrame, order: tuple[np.ndarray, np.ndarray]) -> DataFrame:
@@ -124,11 +125,11 @@ def postings(docs: DataFrame, order: tuple[np.ndarray, np.ndarray]) -> DataFrame
     def run(batch):
         common, place = shared.value
         sets = shingle_sets(texts_of(batch))
-        keys = [prefix(s, common, place) if len(s) else s for s in sets]
+        found = [prefix(s, common, place) if len(s) else (s, 0) for s in sets]
+        keys, own = [k for k, _ in found], [o for _, o in found]
         sizes = np.array([len(k) for k in keys])
         ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
         at = np.arange(sizes.sum()) - np.repeat(np.r_[0, np.cumsum(sizes)[:-1]], sizes)
-        own = [len(s) - int(np.isin(s, common, assume_unique=True).sum()) for s in sets]
         yield {"hash": np.concatenate(keys).view(np.int64), "own": np.repeat(own, sizes).astype(np.int32), "n": np.repeat([len(s) for s in sets], sizes).astype(np.int32), "id": np.repeat(ids, sizes).astype(np.int64), "at": at.astype(np.int32)}
 
     return map_batches(docs.filter("doc_id is not null"), run, "hash long, own int, n int, id long, at int")
@@ -193,7 +194,7 @@ def listed_pairs(lists: DataFrame) -> DataFrame:
             short_pairs(last)
             yield pair_batch(last)
 
-    return lists.mapInArrow(run, PAIRS)
+    return lists.mapInArrow(tidy(run), PAIRS)
 
 
 def pair_batch(out: list) -> pa.RecordBatch:
@@ -242,7 +243,11 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     so that copies cost nothing. Rows with one doc_id count as one document
     with several texts. Other columns are ignored; an empty table gives no rows.
     """
-    docs = docs.select("doc_id", "text")
+    with scratch(docs.sparkSession) as temp:
+        return temp.keep(written(_near_duplicates(docs.select("doc_id", "text")), "near-duplicates"))
+
+
+def _near_duplicates(docs: DataFrame) -> DataFrame:
     sets, common = set_table(docs)
     classes = written(sets.filter("n > 0").groupBy("f1", "f2").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("copies")), "classes")
     many = classes.filter("copies > 1").select("f1", "f2", "rep")

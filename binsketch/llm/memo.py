@@ -17,6 +17,8 @@ import re
 import numpy as np
 import regex
 
+from .common import claim
+
 #: The split pattern of byte-level vocabularies of this kind, and that of lower-case words.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 WORDS = r"""'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"""
@@ -25,7 +27,7 @@ PLAIN = regex.compile(r"[\x00-\x7e\xa1-ȳΑ-ΡΣ-ώА-я‐-‧‰-⁞ぁ-ゖァ
 #: Those that composition leaves alone and that are lowered one by one.
 PLAIN_LATIN = re.compile(r"[\t\n\r\x20-\x7e\xa1-ÿĀ-įĲ-ȳ]*+")
 
-MOST_ENTRIES, MOST_CHARS = 500_000, 64
+MOST_ENTRIES, MOST_CHARS = 250_000, 64
 
 
 class ChunkMemo(dict):
@@ -169,9 +171,15 @@ class WordEncoder(JsonEncoder):
         return np.frombuffer(b"".join([memo.get(c) or chunk(c) for c in text.lower().split()]), self.kind)
 
 
-@functools.lru_cache(maxsize=4)
 def json_encoder(path: str) -> JsonEncoder:
-    """One for each worker process and file; kinds of vocabulary without a faster way go through the library."""
+    """One for each worker process and file."""
+    claim("ids", _encoder.cache_clear)
+    return _encoder(path)
+
+
+@functools.lru_cache(maxsize=4)
+def _encoder(path: str) -> JsonEncoder:
+    """Kinds of vocabulary without a faster way go through the library."""
     with open(path, encoding="utf-8") as f:
         spec = json.load(f)
     model, cut = spec["model"], spec["pre_tokenizer"] or {}

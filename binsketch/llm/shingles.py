@@ -6,9 +6,11 @@ import functools
 
 import numpy as np
 
+from .common import claim
+
 WIDTH = 5
 U64 = np.uint64
-AT_ONCE = 1 << 21  # bytes hashed together
+AT_ONCE = 1 << 19  # bytes hashed together
 
 
 def _table(seed: int, n: int) -> np.ndarray:
@@ -30,7 +32,7 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U64(31))
 
 
-@functools.lru_cache(maxsize=2)
+@functools.lru_cache(maxsize=1)
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     base = np.full(n, BASE)
     base[0] = 1
@@ -42,7 +44,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 def _sets(blobs: list[bytes]) -> list[np.ndarray]:
     joined = np.frombuffer(b"\n".join(blobs) + b"\n", np.uint8)
     n = len(joined)
-    up, down = _powers(1 << max(int(n).bit_length(), 21))
+    up, down = _powers(1 << max(int(n).bit_length(), 20))
     apart = SEPARATOR[joined]
     edge = np.flatnonzero(apart[1:] != apart[:-1]) + 1
     if not apart[0]:
@@ -61,7 +63,8 @@ def _sets(blobs: list[bytes]) -> list[np.ndarray]:
             g = np.sort(grams[a : b - WIDTH + 1])
             out.append(g[np.r_[True, g[1:] != g[:-1]]])
         elif b > a:
-            out.append(mixed(np.array([(words[a:b] * PLACE[: b - a]).sum() + PLACE[WIDTH] * U64(b - a)], np.uint64)))
+            short = np.concatenate([words[a:b] * PLACE[: b - a], PLACE[WIDTH:] * np.array([b - a], np.uint64)])
+            out.append(mixed(short.sum(dtype=np.uint64, keepdims=True)))
         else:
             out.append(np.empty(0, np.uint64))
     return out
@@ -69,6 +72,7 @@ def _sets(blobs: list[bytes]) -> list[np.ndarray]:
 
 def shingle_sets(texts: list[str]) -> list[np.ndarray]:
     """Of each text its distinct five-word shingles; fewer words: all of them as one; none: empty."""
+    claim("shingles")
     out: list[np.ndarray] = []
     held: list[bytes] = []
     size = 0

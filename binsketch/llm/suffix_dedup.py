@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import claim, map_batches, scratch, texts_of, written
+from .common import claim, map_batches, scratch, texts_of, tidy, written
 from .jaccard_join import MOST_BROADCAST_IDS
 from .shingles import _table, mixed
 from .suffix_order import agree, two_stage_order, words_at
@@ -132,8 +132,8 @@ def repeated_anchors(docs: DataFrame) -> DataFrame:
             yield batch.select(["key", "doc_id", "packed"]).filter(pa.array(keep))
 
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = docs.mapInArrow(run, kind).repartition(parts, "route").sortWithinPartitions("route")
-    found = rows.mapInArrow(told, "key long, doc_id long, packed long")
+    rows = docs.mapInArrow(tidy(run), kind).repartition(parts, "route").sortWithinPartitions("route")
+    found = rows.mapInArrow(tidy(told), "key long, doc_id long, packed long")
     return written(found.withColumn("packed", F.col("packed").bitwiseAND(F.lit(SURE - 1))), "anchors")
 
 
@@ -193,7 +193,7 @@ def stretches(docs: DataFrame, found: DataFrame, hot: np.ndarray) -> DataFrame:
         if seen or out:
             yield from sent()
 
-    return written(docs.join(lists, "doc_id").select("doc_id", "text", "found").mapInArrow(run, kind), "stretches")
+    return written(docs.join(lists, "doc_id").select("doc_id", "text", "found").mapInArrow(tidy(run), kind), "stretches")
 
 
 SPAN = "doc_id long, start long, end long"
@@ -242,7 +242,7 @@ def sorted_repeats(rows: DataFrame) -> DataFrame:
         closed()
         yield sent()
 
-    return rows.mapInArrow(run, SPAN)
+    return rows.mapInArrow(tidy(run), SPAN)
 
 
 def span_batch(spans: np.ndarray) -> pa.RecordBatch:

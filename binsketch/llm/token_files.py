@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import as_array, fresh_path, texts_of, written
+from .common import as_array, fresh_path, texts_of, tidy, written
 from .memo import json_encoder
 
 #: Fixed values of the word format: ids in a word by selector (0 and 1: runs of the id 0); 60 bits are shared out evenly.
@@ -167,7 +167,7 @@ def write_token_files(docs: DataFrame, vocabulary: str, id_col: str = "doc_id",
     spark = docs.sparkSession
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     dealt = docs.select(id_col, text_col).repartitionByRange(parts, id_col).sortWithinPartitions(id_col, text_col)
-    return written(dealt.mapInArrow(run, kind), "token-files")
+    return written(dealt.mapInArrow(tidy(run), kind), "token-files")
 
 
 def read_token_files(files: DataFrame) -> DataFrame:
@@ -193,7 +193,7 @@ def read_token_files(files: DataFrame) -> DataFrame:
                 cols = docs, shared.value[part, seq] + ends - lengths, lengths, crc
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return files.select("part", "seq", "blob").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.select("part", "seq", "blob").mapInArrow(tidy(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def token_digests(docs: DataFrame, vocabulary: str, end_id: int = 0) -> DataFrame:

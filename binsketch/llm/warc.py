@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh_path, written
+from .common import fresh_path, tidy, written
 
 FILE_BYTES, LEVEL, STEP = 24_000_000, 1, 1 << 16
 #: The profile of a revisit, and the date all records bear (the tables have none).
@@ -115,7 +115,7 @@ def write_warc(pages: DataFrame, folder: str, file_bytes: int = FILE_BYTES) -> D
             close()
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*done, strict=True) if done else ([], [], []), (pa.string(), pa.int64(), pa.int64()), strict=True)], names=["name", "pages", "bytes"])
 
-    return written(rows.join(first, "hex", "left").mapInArrow(run, kind), "warc-names")
+    return written(rows.join(first, "hex", "left").mapInArrow(tidy(run), kind), "warc-names")
 
 
 def members(blob: bytes) -> Iterator[bytes]:
@@ -169,7 +169,7 @@ def read_warc(archives: DataFrame, with_payload: bool = False) -> DataFrame:
                 if rows:
                     yield _rows(rows, names)
 
-    return archives.select("content").mapInArrow(run, kind)
+    return archives.select("content").mapInArrow(tidy(run), kind)
 
 
 def _rows(rows: list[tuple], names: list[str]) -> pa.RecordBatch:
