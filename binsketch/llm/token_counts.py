@@ -8,7 +8,7 @@ import regex
 from pyspark.sql import DataFrame
 
 from .common import map_batches, texts_of
-from .memo import MOST_CHARS, MOST_ENTRIES, PLAIN, SPLIT, byte_alphabet
+from .memo import MOST_CHARS, MOST_ENTRIES, PLAIN, SPLIT, RankEncoder, byte_alphabet, json_encoder
 
 def whole_tokens(path: str) -> frozenset[str]:
     """Vocabulary strings that encode alone as one token (proved by encoding each of them)."""
@@ -53,15 +53,18 @@ class TokenCounter:
         self.whole, self.split = whole_tokens(path), regex.compile(SPLIT)
         self.added = [t.content for t in self.tok.get_added_tokens_decoder().values()]
         self.first, self.rest = self.Chunks(self, ""), self.Chunks(self, " ")
+        ranks = json_encoder(path)
+        # a plain pre-token is merged by rank where the vocabulary allows it (see RankEncoder)
+        self.plain = (lambda p: len(ranks.core.encode_ordinary(p))) if isinstance(ranks, RankEncoder) else self.merged
 
     def merged(self, text: str) -> int:
         return len(self.tok.encode(text, add_special_tokens=False).ids)
 
     def by_pretokens(self, text: str) -> int:
         """Of a text with any white space; special strings and rare scripts go to the library."""
-        if any(a in text for a in self.added) or not PLAIN.fullmatch(text):
+        if any(a in text for a in self.added) or not text.isascii() and not PLAIN.fullmatch(text):
             return self.merged(text)
-        return sum(1 if p in self.whole else self.merged(p) for p in self.split.findall(text))
+        return sum(1 if p in self.whole else self.plain(p) for p in self.split.findall(text))
 
     def count(self, text: str) -> int:
         if not text:
