@@ -27,7 +27,7 @@ PLAIN = regex.compile(r"[\x00-\x7e\xa1-ȳΑ-ΡΣ-ώА-я‐-‧‰-⁞ぁ-ゖァ
 #: Those that composition leaves alone and that are lowered one by one.
 PLAIN_LATIN = re.compile(r"[\t\n\r\x20-\x7e\xa1-ÿĀ-įĲ-ȳ]*+")
 
-MOST_ENTRIES, MOST_CHARS = 250_000, 64
+MOST_ENTRIES, MOST_CHARS = 350_000, 64
 
 
 class ChunkMemo(dict):
