@@ -178,3 +178,12 @@ def test_neighbours_share_words():
     assert score[2] > score[1] == score[3] == 0
     windows = list(packing.pack_shard(docs, index, 7))
     assert [d for d, *_ in windows[0]] == [0, 2]
+
+
+def test_neighbours_are_scored_with_all_terms():
+    docs = [np.array(d, np.uint16) for d in (range(100), range(60, 100), [*range(3), *range(200, 237)], [300])]
+    idf = np.linspace(2, 1, 65536) * np.where(np.arange(65536) < 32, 1.5, 1)
+    got = packing.Index(docs, idf, 60.0).neighbours(0)
+    damp = packing.K1 * (1 - packing.B + packing.B * np.array([len(d) for d in docs]) / 60.0)
+    want = [sum(idf[t] * (packing.K1 + 1) / (1 + damp[i]) for t in set(d) & set(docs[0])) for i, d in enumerate(docs)]
+    assert got == pytest.approx(want, rel=1e-5) and got[1] > got[2] > got[3] == 0
