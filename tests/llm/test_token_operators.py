@@ -187,3 +187,38 @@ def test_neighbours_are_scored_with_all_terms():
     damp = packing.K1 * (1 - packing.B + packing.B * np.array([len(d) for d in docs]) / 60.0)
     want = [sum(idf[t] * (packing.K1 + 1) / (1 + damp[i]) for t in set(d) & set(docs[0])) for i, d in enumerate(docs)]
     assert got == pytest.approx(want, rel=1e-5) and got[1] > got[2] > got[3] == 0
+
+
+def test_neighbours_come_from_the_whole_table(spark):
+    """Each window is filled with the best unused documents, in whichever part of the table they lie."""
+    r = np.random.default_rng(4)
+    words = [f"{a}{b}{c}" for a in "bdfg" for b in "aeio" for c in ("lm", "nt", "rs", "x")]
+    topics = [r.choice(words, 12, replace=False) for _ in range(40)]
+    texts = [(100 * k + i, " ".join(r.choice(topics[i], 25))) for k in range(6) for i in range(40)]
+    docs = spark.createDataFrame(texts, "doc_id long, text string").repartition(6).cache()
+    window = 256
+    ids = {i: np.array([*library(WORD, t), 2]) for i, t in texts}
+    n, mean = len(ids), sum(map(len, ids.values())) / len(ids)
+    df = {t: sum(t in set(d) for d in map(np.ndarray.tolist, ids.values())) for t in set(np.concatenate(list(ids.values())).tolist())}
+
+    def bm25(seed, d):
+        tf = dict(zip(*(x.tolist() for x in np.unique(ids[d], return_counts=True)), strict=True))
+        damp = packing.K1 * (1 - packing.B + packing.B * len(ids[d]) / mean)
+        return sum(np.log1p((n - df[t] + 0.5) / (df[t] + 0.5)) * tf[t] * (packing.K1 + 1) / (tf[t] + damp) for t in set(ids[seed].tolist()) & set(tf))
+
+    rows = packing.packed(docs, WORD, window=window, shard_tokens=1000).collect()
+    by_seq, left = {}, {i: len(d) for i, d in ids.items()}
+    for x in rows:
+        by_seq.setdefault(x.sequence_id, []).append(x)
+    assert sorted(by_seq) == list(range(len(by_seq)))
+    for s in sorted(by_seq):
+        pieces = sorted(by_seq[s], key=lambda x: x.offset)
+        seed = pieces[0].doc_id
+        left[seed] -= pieces[0].length
+        score = {d: bm25(seed, d) for d, m in left.items() if m and d != seed}
+        for x in pieces[1:]:
+            assert score[x.doc_id] >= max(score.values()) - 1e-3
+            left[x.doc_id] -= x.length
+            del score[x.doc_id]
+        assert s == len(by_seq) - 1 or sum(x.length for x in pieces) == window
+    assert not any(left.values())
