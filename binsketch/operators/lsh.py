@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..tables import written
 from .components import components
+from .estimate import pair_resemblance
 
 
 def signatures(codes: DataFrame, b: int, k: int, L: int, hole_policy: str = "skip_band") -> DataFrame:
@@ -57,10 +59,45 @@ def near_pairs(index: DataFrame) -> DataFrame:
     return x.join(y, ["table_no", "bucket"]).filter("i < j").select("i", "j").distinct()
 
 
-def star_pairs(index: DataFrame) -> DataFrame:
-    """j and its bucket's smallest set i: linear in a bucket's size, for hot buckets of near copies; connects as near_pairs does."""
-    head = index.groupBy("table_no", "bucket").agg(F.min("set_id").alias("i"))
-    return index.join(head, ["table_no", "bucket"]).filter("set_id > i").select("i", F.col("set_id").alias("j")).distinct()
+def star_pairs(index: DataFrame, *more: str) -> DataFrame:
+    """j and its bucket's smallest set i: linear in a bucket's size, for hot buckets of near copies. It connects as near_pairs does only if nothing is verified afterwards."""
+    key = ["table_no", "bucket", *more]
+    head = index.groupBy(key).agg(F.min("set_id").alias("i"))
+    return index.join(head, key).filter("set_id > i").select("i", F.col("set_id").alias("j")).distinct()
+
+
+def linked_pairs(index: DataFrame, sets: DataFrame, min_r: float) -> DataFrame:
+    """i < j with r >= min_r that connect as all near_pairs with r >= min_r do, and exact copies (whether or not they have a bucket).
+
+    Copies collapse first. Pairs of a bucket's smallest set, and of those that share two
+    neighbouring buckets, link most near copies; after that only sets of one bucket that
+    are not connected yet are compared, each with each, so a bucket of near copies costs no
+    square, but one of unrelated sets does.
+    """
+    own = written(sets.distinct(), "own")
+    whole = own.groupBy("set_id").agg(F.sort_array(F.collect_list("elem")).alias("e"))
+    same = written(whole.groupBy("e").agg(F.min("set_id").alias("i"), F.collect_list("set_id").alias("js"), F.size(F.first("e")).alias("f")).select("i", "f", F.explode("js").alias("j")), "same")
+    sizes = same.filter("i = j").select(F.col("i").alias("set_id"), "f")
+    own = written(own.join(sizes.select("set_id"), "set_id", "left_semi"), "singles")
+    index = written(index.join(sizes, "set_id"), "index")
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        f = lambda s: sizes.select(F.col("set_id").alias(s), F.col("f").alias(f"f{s}"))
+        fit = pairs.join(f("i"), "i").join(f("j"), "j").filter(F.least("fi", "fj") >= F.lit(min_r) * F.greatest("fi", "fj")).select("i", "j")
+        return written(pair_resemblance(own, written(fit, "fit")).filter(F.col("r_exact") >= min_r).select("i", "j"), "linked")
+
+    both = index.join(index.select("set_id", (F.col("table_no") - 1).alias("table_no"), F.col("bucket").alias("next")), ["set_id", "table_no"])
+    tried = written(star_pairs(index).union(star_pairs(both, "next")).distinct(), "tried")
+    links = verified(tried)
+    known = components(links, "i", "j").withColumnRenamed("node", "set_id")
+    members = written(index.join(known, "set_id", "left").select("table_no", "bucket", F.coalesce("component", "set_id").alias("c"), "set_id", "f"), "members")
+    groups = members.select("table_no", "bucket", "c").distinct()
+    key = ["table_no", "bucket"]
+    apart = groups.withColumnRenamed("c", "ci").join(groups.withColumnRenamed("c", "cj"), key).filter("ci < cj")
+    x, y = (members.select(*key, F.col("c").alias(f"c{s}"), F.col("set_id").alias(s), F.col("f").alias(f"f{s}")) for s in "ij")
+    rest = apart.join(x, [*key, "ci"]).join(y, [*key, "cj"]).filter(F.least("fi", "fj") >= F.lit(min_r) * F.greatest("fi", "fj"))
+    rest = rest.select(F.least("i", "j").alias("i"), F.greatest("i", "j").alias("j")).distinct().join(tried, ["i", "j"], "left_anti")
+    return links.union(verified(rest)).union(same.filter("i < j").select("i", "j"))
 
 
 def top_k(scored: DataFrame, k: int, score: str = "score") -> DataFrame:

@@ -83,10 +83,8 @@ def lsh_top5(spark, sf_dir):
 
 @query()
 def lsh_clusters(spark, sf_dir):
-    """Near-duplicate clusters by the star pairs of buckets, each verified at 0.5."""
-    star = written(lsh.star_pairs(doc_index(spark, sf_dir)), "star")
-    e = estimate.pair_resemblance(doc_shingles(spark, sf_dir), star).filter("r_exact >= 0.5")
-    return lsh.clusters(e.select("i", "j"))
+    """Near-duplicate clusters: components of the pairs that share a bucket and have a resemblance of 0.5 or more, and of exact copies."""
+    return lsh.clusters(lsh.linked_pairs(doc_index(spark, sf_dir), doc_shingles(spark, sf_dir), 0.5))
 
 
 BENCH = shingle_sql("benchmark", "item_id", "text", 3, "bn")

@@ -131,3 +131,44 @@ def test_pipeline_stage_is_saved(spark, tmp_path):
     model.write().overwrite().save(str(tmp_path / "m"))
     a, b = model.transform(df).collect(), PipelineModel.load(str(tmp_path / "m")).transform(df).collect()
     assert a == b and a[1].v.numNonzeros() == 0
+
+
+def components_of(df):
+    """Sets of nodes that pairs connect."""
+    at = {}
+    for i, j in df.select("i", "j").collect():
+        both = at.get(i, {i}) | at.get(j, {j})
+        at.update(dict.fromkeys(both, both))
+    return {frozenset(c) for c in at.values()}
+
+
+def clusters_of(df):
+    at = {}
+    for r in df.collect():
+        at.setdefault(r.cluster, set()).add(r.set_id)
+    return {frozenset(c) for c in at.values()}
+
+
+def test_clusters_do_not_depend_on_bucket_heads(spark):
+    """Unrelated smallest sets, chains and copies in the buckets: as all verified pairs of a bucket connect."""
+    r = np.random.default_rng(8)
+    data = {1: set(range(1000, 1100)), 2: set(range(100)), 3: set(range(5, 105)), 4: set(range(40, 140)), 5: set(range(5, 105)), 6: set(range(2000, 2100)), 7: set(range(2020, 2110))}
+    data |= {10 + i: set(range(50 * i, 50 * i + 140)) | set(r.integers(9000, 9900, 3).tolist()) for i in range(30)}
+    index = [(0, 7, i) for i in range(1, 8)] + [(1, 9, i) for i in (1, 6, 7)] + [(2, i % 3, i) for i in range(10, 40)] + [(3, 0, i) for i in range(10, 40)]
+    sets_ = spark.createDataFrame([(i, e) for i, x in data.items() for e in map(int, x)], "set_id long, elem long")
+    index = spark.createDataFrame(index, "table_no int, bucket long, set_id long")
+    want = estimate.pair_resemblance(sets_, lsh.near_pairs(index)).filter("r_exact >= 0.4")
+    got = lsh.clusters(lsh.linked_pairs(index, sets_, 0.4))
+    assert clusters_of(got) == components_of(want) and frozenset({6, 7}) in clusters_of(got)
+
+
+def test_lsh_clusters_hold_all_verified_pairs(spark, sf):
+    from binsketch.plans import search
+    from binsketch.plans.base import doc_shingles
+    from binsketch.session import ship
+
+    ship(spark)
+    sh = doc_shingles(spark, sf).cache()
+    cluster = {r.set_id: r.cluster for r in search.lsh_clusters(spark, sf).collect()}
+    pairs = estimate.pair_resemblance(sh, lsh.near_pairs(search.doc_index(spark, sf))).filter("r_exact >= 0.5").collect()
+    assert pairs and all(cluster[r.i] == cluster[r.j] for r in pairs)
