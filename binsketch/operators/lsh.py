@@ -100,6 +100,22 @@ def linked_pairs(index: DataFrame, sets: DataFrame, min_r: float) -> DataFrame:
     return links.union(verified(rest)).union(same.filter("i < j").select("i", "j"))
 
 
+def short_index(index: DataFrame, sets: DataFrame, L: int, min_r: float) -> DataFrame:
+    """Index rows (table_no -1, bucket = an element) by which each set that lacks one of the L bands meets all sets with r >= min_r.
+
+    An exact prefix filter: with one order of the elements, rare ones first, two such
+    sets share one of the first f - ceil(min_r f) + 1 of each. Elements that are in no
+    short set's prefix have no row.
+    """
+    own = written(sets.distinct(), "own")
+    ranked = own.join(own.groupBy("elem").agg(F.count(F.lit(1)).alias("df")), "elem").groupBy("set_id").agg(F.sort_array(F.collect_list(F.struct("df", "elem"))).alias("e"))
+    first = F.slice("e", F.lit(1), (F.size("e") - F.ceil(F.lit(min_r) * F.size("e") - 1e-9) + 1).cast("int"))
+    bands = index.groupBy("set_id").agg(F.count(F.lit(1)).alias("bands"))
+    head = written(ranked.select("set_id", F.explode(F.transform(first, lambda s: s["elem"])).alias("bucket")).join(bands, "set_id", "left"), "prefix")
+    short = head.filter(F.coalesce("bands", F.lit(0)) < L).select("bucket").distinct()
+    return head.join(short, "bucket", "left_semi").select(F.lit(-1).alias("table_no"), "bucket", "set_id")
+
+
 def top_k(scored: DataFrame, k: int, score: str = "score") -> DataFrame:
     """The k best of each query_id: rank from 1, ties to smaller set_id."""
     w = Window.partitionBy("query_id").orderBy(F.desc(score), "set_id")

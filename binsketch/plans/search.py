@@ -83,8 +83,10 @@ def lsh_top5(spark, sf_dir):
 
 @query()
 def lsh_clusters(spark, sf_dir):
-    """Near-duplicate clusters: components of the pairs that share a bucket and have a resemblance of 0.5 or more, and of exact copies."""
-    return lsh.clusters(lsh.linked_pairs(doc_index(spark, sf_dir), doc_shingles(spark, sf_dir), 0.5))
+    """Near-duplicate clusters: components of the pairs with a resemblance of 0.5 or more that share a bucket, or one of which lacks a band."""
+    sh = written(doc_shingles(spark, sf_dir).distinct(), "shingles")
+    index = written(lsh.build_index(sketch.bin_minima(sh, DIGEST, K), B, BAND, TABLES), "index")
+    return lsh.clusters(lsh.linked_pairs(index.unionByName(lsh.short_index(index, sh, TABLES, 0.5)), sh, 0.5))
 
 
 BENCH = shingle_sql("benchmark", "item_id", "text", 3, "bn")

@@ -172,3 +172,30 @@ def test_lsh_clusters_hold_all_verified_pairs(spark, sf):
     cluster = {r.set_id: r.cluster for r in search.lsh_clusters(spark, sf).collect()}
     pairs = estimate.pair_resemblance(sh, lsh.near_pairs(search.doc_index(spark, sf))).filter("r_exact >= 0.5").collect()
     assert pairs and all(cluster[r.i] == cluster[r.j] for r in pairs)
+
+
+def test_sets_without_a_band_are_found(spark):
+    """Copies and near copies of every size, down to one element."""
+    from binsketch.functions.permute import Digest
+
+    r = np.random.default_rng(3)
+    data, n = {}, 0
+    for f in (1, 2, 3, 5, 10, 20, 40, 80, 160):
+        base = r.choice(D, f, replace=False).tolist()
+        for drop in (0, 0, f // 5):
+            data[n], n = base[drop:], n + 1
+    sets_ = spark.createDataFrame([(i, int(e)) for i, x in data.items() for e in x], "set_id long, elem long")
+    index = lsh.build_index(sketch.bin_minima(sets_, Digest(D, 7), 128), 4, 4, 32)
+    assert index.filter("set_id < 12").count() == 0
+    got = lsh.clusters(lsh.linked_pairs(index.unionByName(lsh.short_index(index, sets_, 32, 0.5)), sets_, 0.5))
+    assert clusters_of(got) == components_of(estimate.all_pairs(sets_).filter("r_exact >= 0.5")) and len(clusters_of(got)) == 9
+
+
+def test_lsh_clusters_hold_short_documents(spark, tmp_path):
+    from binsketch.plans import search
+    from binsketch.session import ship
+
+    ship(spark)
+    texts = ["one two three", "one two three", "a b c d e f g", "a b c d e f g", "x a b c d e f g", "alone in the world", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert {(r.set_id, r.cluster) for r in search.lsh_clusters(spark, str(tmp_path)).collect()} == {(0, 0), (1, 0), (2, 2), (3, 2), (4, 2)}
