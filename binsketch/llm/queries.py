@@ -58,7 +58,7 @@ def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op7_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .audio import media_digests, stored
 
-    return media_digests(stored(table(spark, sf_dir, "documents")))
+    return media_digests(written(stored(table(spark, sf_dir, "documents")), "media"))
 
 
 def op8_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:

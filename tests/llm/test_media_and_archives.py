@@ -102,3 +102,12 @@ def test_damage_is_seen():
         list(warc.members(warc.record("request", "<x>", b"abc", {})[:-4]))
     with pytest.raises(ValueError):
         warc.parsed(b"no record")
+
+
+def test_stored_media_is_read_back(spark, sf):
+    from binsketch.llm import queries
+
+    got = queries.op7_telephony_audio(spark, sf)
+    assert got.inputFiles() and all("/media-" in f for f in got.inputFiles())
+    flight = audio.media_digests(audio.stored(spark.read.parquet(f"{sf}/documents.parquet")))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, flight.collect()))
