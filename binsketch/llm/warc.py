@@ -80,7 +80,8 @@ def put(folder: str, name: str, blob: bytes) -> None:
 def write_warc(pages: DataFrame, folder: str, file_bytes: int = FILE_BYTES) -> DataFrame:
     """Archives of all pages in ``folder``; returns one row per archive (name, pages, bytes) of the finished job.
 
-    ``pages`` has page_id, url, html. Null html counts as empty. Of equal payloads
+    ``pages`` has page_id, url, html. Null html counts as empty; pages without a
+    page_id are left out; equal rows are written again with the same record ids. Of equal payloads
     the largest page_id (then url) is the response and the others revisit it.
     Payloads meet by their digest, and a hot one is a skewed join that Spark
     splits. An empty table writes nothing.
@@ -191,7 +192,11 @@ def captures(records: DataFrame) -> DataFrame:
 
 
 def archive_digests(pages: DataFrame, folder: str | None = None) -> DataFrame:
-    """Write, read back and assemble: page_id, payload_bytes, payload_digest, record_type, refers_to (the response's page_id)."""
+    """Write, read back and assemble: page_id, payload_bytes, payload_digest, record_type, refers_to (the response's page_id).
+
+    Pages without a page_id are not archived. Equal rows (page_id, url, html) have the
+    same record ids, so they are one capture and give one row.
+    """
     spark = pages.sparkSession
     folder = folder or fresh_path(spark, "warc")
     names = write_warc(pages, folder)

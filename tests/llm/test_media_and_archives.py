@@ -111,3 +111,10 @@ def test_stored_media_is_read_back(spark, sf):
     assert got.inputFiles() and all("/media-" in f for f in got.inputFiles())
     flight = audio.media_digests(audio.stored(spark.read.parquet(f"{sf}/documents.parquet")))
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, flight.collect()))
+
+
+def test_pages_without_id_and_repeated_pages(spark):
+    rows = [(1, "http://a.example/", "<p>one</p>"), (1, "http://a.example/", "<p>one</p>"), (None, "http://b.example/", "<p>two</p>"), (3, "http://c.example/", None)]
+    got = warc.archive_digests(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert sorted((r.page_id, r.record_type) for r in got) == [(1, "response"), (3, "response")]
+    assert "without a page_id" in warc.archive_digests.__doc__ and "Equal rows" in warc.archive_digests.__doc__
