@@ -188,6 +188,31 @@ def test_search_edges(spark):
     assert exact_topk.top_k(exact_topk.quantised(few.filter("vec_id > 0")), F.col("vec_id") % 50 == 0).count() == 0
 
 
+def test_search_scores_few_in_full():
+    """Local lists, a cutoff, and full scores for what reaches it only."""
+    r = np.random.default_rng(4)
+    c = np.floor(256 * r.normal(size=(4000, 64)) * r.choice([0.2, 1.0], (4000, 1)))
+    q, ids = np.floor(256 * r.normal(size=(50, 64))), np.arange(4000)
+    want = np.sort(q @ c.T, axis=1)[:, -5:]
+    first = exact_topk.Block(ids, c, 2)
+    row, _, score = first.heads(q, 5)
+    cutoffs = np.array([np.sort(score[row == i])[-5] for i in range(50)]).astype(np.int64)
+    assert (cutoffs <= want[:, 0]).all() and first.scored <= 50 * 2 * 6
+    second = exact_topk.Block(ids, c, 2)
+    row, at, score = second.entries(q, cutoffs)
+    assert [sorted(score[row == i])[-5:] for i in range(50)] == want.tolist()
+    assert first.read < 50 * 4000 / 2 and second.scored < 50 * 4000 / 10 and second.read < 2 * 50 * 4000
+
+
+def test_search_of_repeated_rows(spark):
+    """Rows of one vec_id are one query; a candidate row that is there twice ranks twice."""
+    rows = [(0, [1.0, 0.0]), (0, [0.0, 1.0]), (0, [1.0, 0.0]), (1, [2.0, 0.0]), (1, [2.0, 0.0]), (2, [0.0, 3.0]), *((3, [0.5, 0.5]) for _ in range(9)), (4, [0.5, 0.5])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [tuple(r) for r in exact_topk.top_k(exact_topk.quantised(df), F.col("vec_id") % 50 == 0).orderBy("rank").collect()]
+    one = 256 * 256
+    assert got == [(0, 1, 2, 3 * one), (0, 2, 1, 2 * one), (0, 3, 1, 2 * one), (0, 4, 3, one // 2), (0, 5, 3, one // 2)]
+
+
 def test_pipeline_stages(spark, sf):
     import corpus_pipeline
     from binsketch.llm.common import table, written
