@@ -114,7 +114,23 @@ def test_stored_media_is_read_back(spark, sf):
 
 
 def test_pages_without_id_and_repeated_pages(spark):
-    rows = [(1, "http://a.example/", "<p>one</p>"), (1, "http://a.example/", "<p>one</p>"), (None, "http://b.example/", "<p>two</p>"), (3, "http://c.example/", None)]
+    rows = [(1, "http://a.example/", "<p>one</p>")] * 3 + [(None, "http://b.example/", "<p>two</p>")] * 2 + [(None, None, "<p>one</p>"), (3, "http://c.example/", None), (2, "u", "")]
     got = warc.archive_digests(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
-    assert sorted((r.page_id, r.record_type) for r in got) == [(1, "response"), (3, "response")]
-    assert "without a page_id" in warc.archive_digests.__doc__ and "Equal rows" in warc.archive_digests.__doc__
+    assert sorted(((r.page_id, r.record_type, r.refers_to, r.payload_bytes) for r in got), key=str) == sorted([(1, "response", None, 10), (1, "revisit", 1, 10), (1, "revisit", 1, 10), (None, "response", None, 10), (None, "revisit", None, 10), (None, "revisit", 1, 10), (3, "response", None, 0), (2, "revisit", 3, 0)], key=str)
+    assert "without a page_id" in warc.archive_digests.__doc__ and "equal" in warc.archive_digests.__doc__
+
+
+def test_leftovers_of_lost_attempts_are_not_read(spark):
+    from binsketch.llm.common import shared_dir
+
+    folder = f"{shared_dir(spark)}/warc-leftovers"
+    warc.put(folder, "part-000000-99-0000.warc.gz", warc.capture(77, "http://x/", b"lost", "00", None))
+    warc.put(folder, "part-000001-99-0000.warc.gz", b"half a rec")
+    got = warc.archive_digests(pages(spark), folder).collect()
+    assert sorted(r.page_id for r in got) == [1, 2, 3, 4, 5, 7]
+
+
+def test_members_across_chunks(monkeypatch):
+    monkeypatch.setattr(warc, "STEP", 7)
+    blob = b"".join(warc.record("resource", f"<{i}>", bytes([i]) * 50, {}) for i in range(5))
+    assert [warc.parsed(m)[1] for m in warc.members(blob)] == [bytes([i]) * 50 for i in range(5)]
