@@ -64,15 +64,17 @@ def adpcm_decode(data: np.ndarray, block: int = BLOCK) -> np.ndarray:
     return out.T
 
 
-def resampled(pcm: np.ndarray, up: int, down: int) -> np.ndarray:
+def resampled(pcm: np.ndarray, up: int, down: int, at_once: int = 1 << 20) -> np.ndarray:
     """Linear interpolation at ``up/down`` times the rate, in whole numbers (rounded down), so that it is the same everywhere."""
     if not len(pcm):
         return pcm.astype(np.int16)
-    n = (len(pcm) * up - 1) // down + 1
-    at = np.arange(n, dtype=np.int64) * down
-    left, part = at // up, at % up
-    a, b = pcm[left].astype(np.int64), pcm[np.minimum(left + 1, len(pcm) - 1)].astype(np.int64)
-    return ((a * (up - part) + b * part) // up).astype(np.int16)
+    out = np.empty((len(pcm) * up - 1) // down + 1, np.int16)
+    for i in range(0, len(out), at_once):  # which bounds the memory
+        at = np.arange(i, min(i + at_once, len(out)), dtype=np.int64) * down
+        left, part = at // up, at % up
+        a, b = pcm[left].astype(np.int64), pcm[np.minimum(left + 1, len(pcm) - 1)].astype(np.int64)
+        out[i : i + at_once] = (a * (up - part) + b * part) // up
+    return out
 
 
 def container(payload: bytes, codec: str, rate: int = 8000, block: int = BLOCK) -> bytes:
@@ -104,11 +106,26 @@ def parsed(media: bytes) -> tuple[str, int, bytes]:
     raise ValueError("no telephony audio in the file")
 
 
-def pcm_of(media: bytes) -> tuple[np.ndarray, int]:
-    """int16 samples and their rate."""
-    codec, rate, payload = parsed(media)
-    data = np.frombuffer(payload, np.uint8)
-    return (adpcm_decode(data[: len(data) // BLOCK * BLOCK]).ravel() if codec == "adpcm" else TABLES[codec][data]), rate
+def pcm_of(files: list[bytes | None]) -> list[tuple[np.ndarray | None, int, bytes, str | None]]:
+    """int16 samples, rate, payload and error of each file; the ADPCM blocks of all files are decoded together."""
+    out: list = [(None, 0, b"", "no file")] * len(files)
+    blocks: list[tuple[int, np.ndarray]] = []
+    for i, media in enumerate(files):
+        try:
+            codec, rate, payload = parsed(media or b"")
+        except (ValueError, struct.error) as e:
+            out[i] = None, 0, b"", str(e)
+            continue
+        data = np.frombuffer(payload, np.uint8)
+        if codec == "adpcm":
+            blocks.append((i, data[: len(data) // BLOCK * BLOCK]))
+        out[i] = None if codec == "adpcm" else TABLES[codec][data], rate, payload, None
+    if blocks:
+        samples = adpcm_decode(np.concatenate([d for _, d in blocks]))
+        cuts = np.cumsum([len(d) // BLOCK for _, d in blocks])[:-1]
+        for (i, _), own in zip(blocks, np.split(samples, cuts), strict=True):
+            out[i] = own.ravel(), *out[i][1:]
+    return out
 
 
 def decoded(audio: DataFrame, id_col: str = "doc_id", media_col: str = "media", rate: int = 16000) -> DataFrame:
@@ -120,13 +137,10 @@ def decoded(audio: DataFrame, id_col: str = "doc_id", media_col: str = "media",
 
     def run(batch):
         out = {k: [] for k in ("n_samples", "pcm", "error")}
-        for media in batch.column(media_col).to_pylist():
-            try:
-                pcm, own = pcm_of(media or b"")
+        for pcm, own, _, error in pcm_of(batch.column(media_col).to_pylist()):
+            if pcm is not None:
                 g = np.gcd(own, rate)
-                pcm, error = resampled(pcm, int(rate // g), int(own // g)), None
-            except ValueError as e:
-                pcm, error = None, str(e)
+                pcm = resampled(pcm, int(rate // g), int(own // g))
             out["n_samples"].append(None if pcm is None else len(pcm))
             out["pcm"].append(None if pcm is None else pcm.astype("<i2").tobytes())
             out["error"].append(error)
@@ -135,42 +149,59 @@ def decoded(audio: DataFrame, id_col: str = "doc_id", media_col: str = "media",
     return map_batches(audio.select(id_col, media_col), run, f"{id_col} long, n_samples long, pcm binary, error string")
 
 
-def stored(docs: DataFrame, codec: str = "mulaw", id_col: str = "doc_id", text_col: str = "text", rate: int = 8000) -> DataFrame:
-    """Each text's bytes, with zeros up to a positive multiple of 64, as the samples of one file: id, n_bytes, media.
+def codec_of(payload: bytes) -> str:
+    """One of the formats, by the payload alone: equal payloads are stored alike."""
+    return sorted(TAGS)[zlib.crc32(payload) % len(TAGS)]
 
-    Null or empty text: 64 zero bytes. Repeated rows stay; other columns are ignored.
+
+def padded(raw: bytes) -> bytes:
+    return raw + b"\0" * (max(BLOCK, -(-len(raw) // BLOCK) * BLOCK) - len(raw))
+
+
+def stored(docs: DataFrame, codec: str | None = None, id_col: str = "doc_id", text_col: str = "text", rate: int = 8000) -> DataFrame:
+    """Each text's bytes, with zeros up to a positive multiple of 64, as the samples (or ADPCM blocks) of one file: id, n_bytes, media.
+
+    Without a ``codec`` each payload gets one of the three by its checksum, as in a
+    mixed collection. Null or empty text: 64 zero bytes. Repeated rows stay; other
+    columns are ignored.
     """
 
     def run(batch):
         raw = [t.encode() for t in texts_of(batch, text_col)]
-        yield {id_col: batch.column(id_col), "n_bytes": [len(r) for r in raw], "media": [container(r + b"\0" * (max(BLOCK, -(-len(r) // BLOCK) * BLOCK) - len(r)), codec, rate) for r in raw]}
+        payloads = [padded(r) for r in raw]
+        yield {id_col: batch.column(id_col), "n_bytes": [len(r) for r in raw], "media": [container(p, codec or codec_of(p), rate) for p in payloads]}
 
     return map_batches(docs.select(id_col, text_col), run, f"{id_col} long, n_bytes long, media binary")
 
 
-def features(pcm: np.ndarray) -> str:
+def features(pcm: np.ndarray, at_once: int = 1 << 20) -> str:
     """Peak, energy (sum of squares), sign changes and a checksum of 16-bit samples, as text."""
-    wide = pcm.astype(np.int64)
-    negative = pcm < 0
-    return f"n={len(pcm)};peak={int(np.abs(wide).max(initial=0))};energy={int(wide @ wide)};turns={int(np.count_nonzero(negative[1:] != negative[:-1]))};crc={zlib.crc32(pcm.astype('<i2').tobytes())}"
+    negative, peak, energy = pcm < 0, 0, 0
+    for i in range(0, len(pcm), at_once):
+        wide = pcm[i : i + at_once].astype(np.int64)
+        peak, energy = max(peak, int(np.abs(wide).max())), energy + int(wide @ wide)
+    return f"n={len(pcm)};peak={peak};energy={energy};turns={int(np.count_nonzero(negative[1:] != negative[:-1]))};crc={zlib.crc32(pcm.astype('<i2').tobytes())}"
 
 
-def media_digests(media: DataFrame, id_col: str = "doc_id", rate: int = 16000) -> DataFrame:
-    """Reads ``stored`` files back: id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature.
+def media_digests(media: DataFrame, id_col: str = "doc_id", rate: int = 16000, with_pcm: bool = False) -> DataFrame:
+    """Reads ``stored`` files back: id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature,
+    codec, and with ``with_pcm`` the resampled samples (pcm, 16-bit little-endian, a row of 2 GB at most) for the caller to store.
 
     The feature is that of the resampled samples. Empty tables give no rows.
     """
 
     def run(batch):
-        names = ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
+        names = ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "codec", "pcm")
         out = {k: [] for k in names}
-        for blob in batch.column("media").to_pylist():
-            _, own, payload = parsed(blob)
-            pcm, _ = pcm_of(blob)
+        files = batch.column("media").to_pylist()
+        for blob, (pcm, own, payload, error) in zip(files, pcm_of(files), strict=True):
+            if error:
+                raise ValueError(error)
             g = int(np.gcd(own, rate))
-            found = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(blob), hashlib.sha256(blob).hexdigest(), features(resampled(pcm, rate // g, own // g)))
+            pcm = resampled(pcm, rate // g, own // g)
+            found = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-BLOCK:]), len(blob), hashlib.sha256(blob).hexdigest(), features(pcm), parsed(blob)[0], pcm.astype("<i2").tobytes() if with_pcm else None)
             for k, v in zip(names, found, strict=True):
                 out[k].append(v)
         yield {id_col: batch.column(id_col), "n_bytes": batch.column("n_bytes")} | out
 
-    return map_batches(media, run, f"{id_col} long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return map_batches(media, run, f"{id_col} long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, codec string" + ", pcm binary" * with_pcm)

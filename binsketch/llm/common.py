@@ -13,13 +13,16 @@ from ..tables import fresh_path, scratch, shared_dir, written
 
 __all__ = ["as_array", "claim", "fresh_path", "map_batches", "scratch", "shared_dir", "table", "texts_of", "tidy", "written"]
 
+MOST_BYTES = 8_000_000  # of a batch that is worked on at once; a longer text is alone in it
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A given table, read by Spark only, so that any store works."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def map_batches(df: DataFrame, f: Callable[[pa.RecordBatch], Iterable[dict]], schema: str) -> DataFrame:
-    """``f`` gives column dictionaries for each Arrow batch; nothing is held between batches."""
+    """``f`` gives column dictionaries for each Arrow batch, cut to some rows and bytes; nothing is held between batches."""
     from pyspark.sql.pandas.types import to_arrow_schema
     from pyspark.sql.types import _parse_datatype_string
 
@@ -27,7 +30,8 @@ def map_batches(df: DataFrame, f: Callable[[pa.RecordBatch], Iterable[dict]], sc
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in (batch.slice(i, 1024) for i in range(0, batch.num_rows, 1024)):
+            rows = max(1, min(1024, batch.num_rows * MOST_BYTES // max(batch.nbytes, 1)))
+            for part in (batch.slice(i, rows) for i in range(0, batch.num_rows, rows)):
                 for cols in f(part):
                     yield pa.RecordBatch.from_arrays([as_array(cols[x.name], x.type) for x in out], schema=out)
 

@@ -56,9 +56,10 @@ def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_telephony_audio(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All three formats; the resampled samples are a column of the result, stored with it."""
     from .audio import media_digests, stored
 
-    return media_digests(written(stored(table(spark, sf_dir, "documents")), "media"))
+    return media_digests(written(stored(table(spark, sf_dir, "documents")), "media"), with_pcm=True)
 
 
 def op8_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
