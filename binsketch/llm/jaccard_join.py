@@ -1,12 +1,14 @@
 """Exact self-join of word-shingle sets at a Jaccard similarity of 0.8 or more.
 
 Sets are ordered rare shingles first, and sets that link share a shingle of their
-prefixes. An inverted list is walked with the sets of fewest rare shingles first;
-entries are skipped in blocks by size and by position (too little of either set
-is left behind the shared place). In a long list, most sets are answers of its
-first one, which has least of its own: each is compared with that one, and from those answers the rest follows, since one minus
-the similarity is a metric: sets already connected need no comparison, and sets
-whose distances to the first differ by more than 0.2 can't link.
+prefixes. The entries of an inverted list lie in blocks by size and by the shared
+shingle's position in the set; a block pair whose sizes are too far apart, or
+which leaves too little of either set behind its first position, is skipped as a
+whole. In a long list, most sets are answers of its first one, which has least of
+its own: each is compared with that one, and from those answers the rest follows,
+since one minus the similarity is a metric: sets already connected need no
+comparison, and sets whose distances to the first differ by more than 0.2 can't
+link. Lists of shingles known to be frequent never meet in one task.
 """
 
 from __future__ import annotations
@@ -19,14 +21,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import map_batches, scratch, texts_of, tidy, written
-from .shingles import fingerprint, shingle_sets
+from .common import map_batches, parts_for, scratch, texts_of, tidy, written
+from .shingles import fingerprint, mixed, shingle_sets
 
-SHORT_LIST = 32  # lists up to this long compare all their pairs
+#: Lists up to this long are compared block by block; entries of a block; a frequent shingle's list is dealt out in parts of so many sets.
+SHORT_LIST, BLOCK, PART = 32, 4, 8192
 COMMON_LOCAL, COMMON_CHUNK, MOST_COMMON = 2, 2_000_000, 1 << 18
-MOST_BROADCAST_IDS = 4_000_000
-SPREAD = 128
-PAIRS = "hash long, a long, b long, n_a int, n_b int, at_b int"
+MOST_BROADCAST_IDS = 1_000_000
+SPREAD, FAR = 128, 0.2001  # bins of a set; width of a distance band, a little over 0.2
+#: A pair to compare (a, b), or an entry of a long list (hash, own, b, n, at).
+PAIRS = "hash long, own int, a long, b long, n int, at int"
 
 
 def least_overlap(n: np.ndarray) -> np.ndarray:
@@ -96,12 +100,13 @@ def possible(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.mapInArrow(tidy(run), "a long, b long").distinct()
 
 
-def common_order(common: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """The most common shingles (sorted), and each one's place among them from rare to common; at most MOST_COMMON reach the driver."""
-    rows = common.orderBy(F.desc("n"), "hash").limit(MOST_COMMON).select("hash").toArrow()
+def common_order(common: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The most common shingles (sorted), each one's place among them from rare to common, and how many sets have it at least;
+    at most MOST_COMMON reach the driver."""
+    rows = common.orderBy(F.desc("n"), "hash").limit(MOST_COMMON).toArrow()
     hashes = rows.column("hash").to_numpy().view(np.uint64)
     order = np.argsort(hashes)
-    return hashes[order], (len(hashes) - np.arange(len(hashes)))[order]
+    return hashes[order], (len(hashes) - np.arange(len(hashes)))[order], rows.column("n").to_numpy()[order]
 
 
 def prefix(s: np.ndarray, common: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, int]:
@@ -118,21 +123,28 @@ def prefix(s: np.ndarray, common: np.ndarray, place: np.ndarray) -> tuple[np.nda
     return rare, own
 
 
-def postings(docs: DataFrame, order: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """hash, own, n, id, at: one row per shingle of a prefix; own: how many rare shingles the set has."""
-    shared = docs.sparkSession.sparkContext.broadcast(order)
+def postings(docs: DataFrame, order: tuple[np.ndarray, np.ndarray, np.ndarray]) -> DataFrame:
+    """route, hash, own, n, id, at: one row per shingle of a prefix; own: how many rare shingles the set has; route: the hash,
+    or for a frequent shingle one of several, by the id."""
+    frequent = order[2] > PART
+    shared = docs.sparkSession.sparkContext.broadcast((*order[:2], order[0][frequent], order[2][frequent] // PART + 1))
 
     def run(batch):
-        common, place = shared.value
+        common, place, often, parts = shared.value
         sets = shingle_sets(texts_of(batch))
         found = [prefix(s, common, place) if len(s) else (s, 0) for s in sets]
         keys, own = [k for k, _ in found], [o for _, o in found]
         sizes = np.array([len(k) for k in keys])
-        ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
+        ids = np.repeat(batch.column("doc_id").to_numpy(zero_copy_only=False).astype(np.int64), sizes)
         at = np.arange(sizes.sum()) - np.repeat(np.r_[0, np.cumsum(sizes)[:-1]], sizes)
-        yield {"hash": np.concatenate(keys).view(np.int64), "own": np.repeat(own, sizes).astype(np.int32), "n": np.repeat([len(s) for s in sets], sizes).astype(np.int32), "id": np.repeat(ids, sizes).astype(np.int64), "at": at.astype(np.int32)}
+        hashes = np.concatenate(keys)
+        route = hashes.copy()
+        hot = np.flatnonzero(np.isin(hashes, often)) if len(often) else []
+        if len(hot):
+            route[hot] = mixed(hashes[hot] + mixed(ids[hot].view(np.uint64)) % parts[np.searchsorted(often, hashes[hot])].astype(np.uint64))
+        yield {"route": route.view(np.int64), "hash": hashes.view(np.int64), "own": np.repeat(own, sizes).astype(np.int32), "n": np.repeat([len(s) for s in sets], sizes).astype(np.int32), "id": ids, "at": at.astype(np.int32)}
 
-    return map_batches(docs.filter("doc_id is not null"), run, "hash long, own int, n int, id long, at int")
+    return map_batches(docs.filter("doc_id is not null"), run, "route long, hash long, own int, n int, id long, at int")
 
 
 def may_link(n_a, at_a, n_b, at_b):
@@ -141,77 +153,100 @@ def may_link(n_a, at_a, n_b, at_b):
     return (4 * np.maximum(n_a, n_b) <= 5 * np.minimum(n_a, n_b)) & (np.minimum(n_a - at_a, n_b - at_b) >= least)
 
 
-def listed_pairs(lists: DataFrame) -> DataFrame:
-    """Pairs to compare. Rows of long lists bear their hash: ``a`` is the list's first set, ``b`` any other.
+def band(n: np.ndarray) -> np.ndarray:
+    """Sizes that may link lie in one band or in neighbouring ones."""
+    return np.floor(np.log(n) / np.log(1.25)).astype(np.int64)
 
-    A list is walked once, keeping SHORT_LIST entries at most.
+
+def within(counts: np.ndarray) -> np.ndarray:
+    """0, 1, .. for each of some counts, one after another."""
+    return np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+
+
+def block_pairs(list_of: np.ndarray, n: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+    """Places (i, j) of entries of one list that may link, over many lists at once (``list_of`` ascends), and how many pairs were looked at.
+
+    A list's entries are ordered by size band, then by position; BLOCK of a band are a block. Block pairs go
+    as a whole if the sizes are too far apart or the first position of either leaves too little behind it.
+    """
+    order = np.lexsort((at, band(n), list_of))
+    lists, n, at, bands = list_of[order], n[order].astype(np.int64), at[order].astype(np.int64), band(n[order])
+    fresh = np.flatnonzero(np.r_[True, (lists[1:] != lists[:-1]) | (bands[1:] != bands[:-1])])
+    sizes = np.diff(np.r_[fresh, len(lists)])
+    per = -(-sizes // BLOCK)
+    start = np.repeat(fresh, per) + within(per) * BLOCK
+    end = np.minimum(start + BLOCK, np.repeat(fresh + sizes, per))
+    low, high, first = np.minimum.reduceat(n, start), np.maximum.reduceat(n, start), at[start]
+    owner = lists[start]
+    partners = np.searchsorted(owner, owner, "right") - np.arange(len(owner))
+    x = np.repeat(np.arange(len(owner)), partners)
+    y = x + within(partners)
+    keep = (4 * np.maximum(low[x], low[y]) <= 5 * np.minimum(high[x], high[y])) & (9 * first[x] <= 5 * high[x] - 4 * low[y]) & (9 * first[y] <= 5 * high[y] - 4 * low[x])
+    x, y = x[keep], y[keep]
+    width = end[y] - start[y]
+    counts = (end[x] - start[x]) * width
+    nth, width = within(counts), np.repeat(width, counts)
+    i, j = np.repeat(start[x], counts) + nth // width, np.repeat(start[y], counts) + nth % width
+    once = i < j
+    i, j = i[once], j[once]
+    ok = may_link(n[i], at[i], n[j], at[j])
+    return order[i[ok]], order[j[ok]], len(i)
+
+
+def listed_pairs(lists: DataFrame, order: tuple[np.ndarray, np.ndarray, np.ndarray]) -> DataFrame:
+    """Pairs to compare, of lists up to SHORT_LIST; the entries of longer lists, and of frequent shingles' lists, as they are.
+
+    Rows come sorted by hash; SHORT_LIST entries are held from batch to batch at most.
     """
+    often = lists.sparkSession.sparkContext.broadcast(order[0][order[2] > PART].view(np.int64))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now: int | None = None
-        held: list[tuple[int, int, int]] = []  # (n, id, at) of the list at hand
-        long = False
-
-        def short_pairs(out: list) -> None:
-            n, ids, at = (np.array(c) for c in zip(*held, strict=True))
-            i, j = np.triu_indices(len(n), 1)
-            ok = may_link(n[i], at[i], n[j], at[j]) & (ids[i] != ids[j])
-            i, j = i[ok], j[ok]
-            swap = ids[i] > ids[j]
-            a, b = np.where(swap, j, i), np.where(swap, i, j)
-            out.append((None, ids[a], ids[b], n[a], n[b], at[b]))
-
-        def grown(rows: list[tuple[int, int, int]], out: list) -> None:
-            """More entries of the list at hand."""
-            nonlocal held, long
-            if not long:
-                held += rows
-                if len(held) <= SHORT_LIST:
-                    return
-                long, rows, held = True, held[1:], held[:1]
-            n, ids, at = (np.array(c) for c in zip(*rows, strict=True))
-            own = ids != held[0][1]
-            out.append((now, np.full(own.sum(), held[0][1]), ids[own], np.full(own.sum(), held[0][0]), n[own], at[own]))
+        names = ("hash", "own", "n", "id", "at")
+        held, long = [np.empty(0, np.int64)] * len(names), None  # the last list so far, or the hash of a long one
+
+        def told(h, own, n, ids, at) -> pa.RecordBatch:
+            """Whole lists, or parts of long ones."""
+            fresh = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+            sizes = np.diff(np.r_[fresh, len(h)])
+            far = np.repeat((sizes > SHORT_LIST) | np.isin(h[fresh], often.value) | (h[fresh] == long if long is not None else False), sizes)
+            near = np.flatnonzero(~far & np.repeat(sizes > 1, sizes))
+            i, j, _ = block_pairs(h[near].view(np.uint64), n[near], at[near]) if len(near) else (near, near, 0)
+            a, b = ids[near[i]], ids[near[j]]
+            a, b = np.minimum(a, b)[a != b], np.maximum(a, b)[a != b]
+            none, far = [None] * len(a), np.flatnonzero(far)
+            cols = [*none, *h[far].tolist()], [*none, *own[far].tolist()], [*a.tolist(), *[None] * len(far)], np.r_[b, ids[far]], [*none, *n[far].tolist()], [*none, *at[far].tolist()]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int32()), strict=True)], names=[x.split()[0] for x in PAIRS.split(", ")])
 
         for batch in batches:
-            h, n, ids, at = (batch.column(c).to_numpy() for c in ("hash", "n", "id", "at"))
-            starts = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-            ends = np.r_[starts[1:], len(h)]
-            out: list = []
-            alone = ends - starts == 1
-            if h[starts[0]] == now:
-                alone[0] = False
-            alone[-1] = False  # it may go on in the next batch
-            for s, e in zip(starts[~alone], ends[~alone], strict=True):
-                if h[s] != now:
-                    if not long and len(held) > 1:
-                        short_pairs(out)
-                    now, held, long = int(h[s]), [], False
-                grown(list(zip(n[s:e].tolist(), ids[s:e].tolist(), at[s:e].tolist(), strict=True)), out)
-            yield pair_batch(out)
-        if not long and len(held) > 1:
-            last: list = []
-            short_pairs(last)
-            yield pair_batch(last)
+            cols = [np.r_[o, batch.column(c).to_numpy().astype(np.int64)] for o, c in zip(held, names, strict=True)]
+            if not len(cols[0]):
+                continue
+            last = cols[0][-1]
+            cut = int(np.flatnonzero(np.r_[True, cols[0][1:] != cols[0][:-1]])[-1])
+            if len(cols[0]) - cut > SHORT_LIST or last == long:  # a long list isn't held
+                yield told(*cols)
+                held, long = [c[:0] for c in cols], last
+            else:
+                if cut:
+                    yield told(*(c[:cut] for c in cols))
+                held, long = [c[cut:] for c in cols], None
+        if len(held[0]):
+            yield told(*held)
 
     return lists.mapInArrow(tidy(run), PAIRS)
 
 
-def pair_batch(out: list) -> pa.RecordBatch:
-    names = [x.split()[0] for x in PAIRS.split(", ")]
-    kinds = [pa.int64()] * 3 + [pa.int32()] * 3
-    hashes = [h for h, a, *_ in out for _ in range(len(a))]
-    rest = [np.concatenate([o[k] for o in out]) if out else np.empty(0, np.int64) for k in range(1, 6)]
-    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip([hashes, *rest], kinds, strict=True)], names=names)
-
-
 def some_docs(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
     """Rows of docs whose id is in ``ids`` (left_semi) or not (left_anti); ids are broadcast up to a checked size, joined beyond it."""
     return docs.join(F.broadcast(ids) if ids.count() <= MOST_BROADCAST_IDS else ids, "doc_id", how)
 
 
 def compared(docs: DataFrame, pairs: DataFrame) -> DataFrame:
-    """a, b, shared, union of each pair, from the whole texts."""
+    """a, b, shared, union of each pair, from the whole texts.
+
+    Shingles are compared by 64-bit hashes: that a pair of sets of n shingles in all is counted
+    wrongly has a chance of less than n^2 / 2^65 (3e-8 for a million shingles).
+    """
     ids = written(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "compared-ids")
     texts = some_docs(docs.select("doc_id", "text"), ids, "left_semi")
     left = pairs.join(texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
@@ -253,15 +288,18 @@ def _near_duplicates(docs: DataFrame) -> DataFrame:
     many = classes.filter("copies > 1").select("f1", "f2", "rep")
     copies = written(sets.join(many, ["f1", "f2"]).filter("id <> rep").select(F.col("id").alias("doc_id")).distinct(), "copies")
     ones = some_docs(docs, copies, "left_anti")
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    lists = postings(ones, common_order(common)).repartition(parts, "hash").sortWithinPartitions("hash", "own", "n", "id")
-    listed = written(listed_pairs(lists), "listed-pairs")
-    stars = listed.filter("hash is not null").select("a", "b").distinct()
+    order = common_order(common)
+    lists = postings(ones, order).repartition(parts_for(ones, 2.0), "route").sortWithinPartitions("hash", "own", "n", "id")
+    listed = written(listed_pairs(lists, order), "listed-pairs")
+    entry = listed.filter("hash is not null").select("hash", "own", F.col("b").alias("id"), "n", "at")
+    leader = entry.groupBy("hash").agg(F.min(F.struct("own", "n", "id")).alias("first")).select("hash", F.col("first.id").alias("a"))
+    members = written(entry.join(leader, "hash").filter("a <> id").select("hash", "a", F.col("id").alias("b"), F.col("n").alias("n_b"), F.col("at").alias("at_b")), "list-entries")
+    stars = members.select("a", "b").distinct()
     others = possible(listed.filter("hash is null").select("a", "b").distinct(), sets)
     found = compared(ones, written(stars.union(others).distinct(), "pairs"))
     edges = links(found)
     if stars.limit(1).count():
-        rest = skipped_pairs(listed, found, components(edges))
+        rest = skipped_pairs(members, found, components(edges))
         edges = edges.union(links(compared(ones, written(possible(rest, sets), "pairs"))))
     parent = written(components(edges), "components")
     own = sets.join(classes.select("f1", "f2", "rep"), ["f1", "f2"], "left").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce(F.when(F.col("n") > 0, F.col("rep")), "id").alias("rep"))
@@ -269,17 +307,24 @@ def _near_duplicates(docs: DataFrame) -> DataFrame:
     return own.join(parent, F.col("rep") == F.col("node"), "left").select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
 
 
-def skipped_pairs(listed: DataFrame, found: DataFrame, parent: DataFrame) -> DataFrame:
-    """Pairs of long lists that neither are connected yet nor are ruled out by their distances to the list's first set."""
+def skipped_pairs(members: DataFrame, found: DataFrame, parent: DataFrame) -> DataFrame:
+    """Pairs of long lists that neither are connected yet nor are ruled out by their distances to the list's first set.
+
+    Members meet by list, size band and distance band, each with its neighbouring bands, so that most of a list is skipped
+    unseen and a long list is many keys.
+    """
     parent = written(parent, "components")
     of = lambda c: parent.select(F.col("node").alias(c), F.col("component").alias(f"c_{c}"))
-    member = listed.filter("hash is not null").join(found, ["a", "b"]).join(of("a"), "a", "left").join(of("b"), "b", "left")
+    member = members.join(found, ["a", "b"]).join(of("a"), "a", "left").join(of("b"), "b", "left")
     member = written(member.select("hash", F.coalesce("c_a", "a").alias("c_a"), F.coalesce("c_b", "b").alias("c"), F.col("b").alias("id"), F.col("n_b").alias("n"), F.col("at_b").alias("at"), (1 - F.col("shared") / F.col("union")).alias("d")), "list-members")
     mixed_lists = written(member.groupBy("hash").agg(F.min(F.least("c", "c_a")).alias("low"), F.max(F.greatest("c", "c_a")).alias("high")).filter("low < high").select("hash"), "mixed-lists")
-    open_rows = written(member.join(mixed_lists, "hash", "left_semi"), "open-members")
-    x, y = (open_rows.select("hash", *(F.col(c).alias(f"{c}_{s}") for c in ("id", "c", "n", "at", "d"))) for s in "xy")
+    bands = {"s": F.floor(F.log("n") / F.log(F.lit(1.25))), "w": F.floor(F.col("d") / FAR)}
+    open_rows = written(member.join(mixed_lists, "hash", "left_semi").withColumns(bands), "open-members")
+    near = lambda c: F.explode(F.array(*[F.col(c) + k for k in (-1, 0, 1)])).alias(c)
+    x, y = (open_rows.select("hash", "s", "w", *(F.col(c).alias(f"{c}_{e}") for c in ("id", "c", "n", "at", "d"))) for e in "xy")
+    x = x.select("hash", near("s"), *x.columns[2:]).select("hash", "s", near("w"), *x.columns[3:])
     least = F.ceil(4 * (F.col("n_x") + F.col("n_y")) / 9)
     left = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y"))
     size = 4 * F.greatest("n_x", "n_y") <= 5 * F.least("n_x", "n_y")
-    pairs = x.join(y, (x["hash"] == y["hash"]) & (F.col("id_x") < F.col("id_y")) & (F.col("c_x") != F.col("c_y")) & (F.abs(F.col("d_x") - F.col("d_y")) <= 0.2 + 1e-9) & size & (left >= least))
+    pairs = x.join(y, ["hash", "s", "w"]).filter((F.col("id_x") < F.col("id_y")) & (F.col("c_x") != F.col("c_y")) & (F.abs(F.col("d_x") - F.col("d_y")) <= 0.2 + 1e-9) & size & (left >= least))
     return written(pairs.select(F.col("id_x").alias("a"), F.col("id_y").alias("b")).distinct().join(found.select("a", "b"), ["a", "b"], "left_anti"), "skipped-pairs")

@@ -70,16 +70,25 @@ def anchors(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.
     return blob, start - first[blob], np.diff(np.r_[fresh, len(s)]), at - start, h[at]
 
 
-def pieces_of(raw: list[bytes]) -> Iterator[tuple[int, list[bytes]]]:
-    """Consecutive blobs of about AT_ONCE bytes, with the number of the first."""
-    a, size = 0, 0
+def pieces_of(raw: list[bytes]) -> Iterator[tuple[list[tuple[int, int]], list[bytes]]]:
+    """Stretches of about AT_ONCE bytes, with each one's number in ``raw`` and where it starts there.
+
+    A long text is cut so that each of its strings lies in one stretch: neighbours overlap by a string less one byte.
+    """
+    where, blobs, size = [], [], 0
     for i, r in enumerate(raw):
-        size += len(r)
-        if size >= AT_ONCE:
-            yield a, raw[a : i + 1]
-            a, size = i + 1, 0
-    if a < len(raw):
-        yield a, raw[a:]
+        for at in range(0, max(len(r) - LENGTH + 1, 1), AT_ONCE):
+            blob = r[at : at + AT_ONCE + LENGTH - 1] if len(r) > AT_ONCE else r
+            where.append((i, at))
+            blobs.append(blob)
+            size += len(blob)
+            if size >= AT_ONCE:
+                yield where, blobs
+                where, blobs, size = [], [], 0
+            if blob is r:
+                break
+    if blobs:
+        yield where, blobs
 
 
 def repeated_anchors(docs: DataFrame) -> DataFrame:
@@ -108,9 +117,10 @@ def repeated_anchors(docs: DataFrame) -> DataFrame:
         for batch in batches:
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False).astype(np.int64)
             raw = [t.encode() for t in texts_of(batch)]
-            for a, blobs in pieces_of(raw):
+            for where, blobs in pieces_of(raw):
                 blob, start, count, far, key = anchors(blobs)
-                held.append((key, ids[a + blob], start << 16 | far << 8 | count))
+                number, at = np.array(where, np.int64).reshape(-1, 2).T
+                held.append((key, ids[number[blob]], at[blob] + start << 16 | far << 8 | count))
                 size += len(key)
             if size >= 4 * HELD:
                 yield sent()

@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from binsketch.llm import exact_topk, jaccard_join, quality, suffix_dedup
+from binsketch.llm import exact_topk, jaccard_join, quality, shingles, suffix_dedup
 from binsketch.llm.shingles import shingle_sets
 from binsketch.llm.suffix_order import agree, two_stage_order, words_at
 
@@ -57,9 +57,10 @@ def near_texts(n, seed):
     return dict(enumerate(texts))
 
 
-@pytest.mark.parametrize("short_list", [2, 32])
-def test_join_is_exact(spark, monkeypatch, short_list):
+@pytest.mark.parametrize("short_list,part", [(2, 8192), (32, 8192), (32, 3), (2, 3)])
+def test_join_is_exact(spark, monkeypatch, short_list, part):
     monkeypatch.setattr(jaccard_join, "SHORT_LIST", short_list)
+    monkeypatch.setattr(jaccard_join, "PART", part)
     texts = near_texts(40, short_list)
     got = {r.doc_id: r for r in jaccard_join.near_duplicates(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()}
     sets = plain_sets(texts)
@@ -68,6 +69,31 @@ def test_join_is_exact(spark, monkeypatch, short_list):
     assert len(set(want.values())) < len(want)
 
 
+def test_blocks_are_skipped_by_position():
+    """No pair that may link is lost, and most of the others are never looked at."""
+    r = np.random.default_rng(3)
+    sizes = r.integers(1, 33, 200)
+    lists = np.repeat(np.arange(200), sizes)
+    n = r.integers(5, 300, len(lists))
+    at = (r.random(len(lists)) * (n - jaccard_join.least_overlap(n) + 1)).astype(np.int64)
+    i, j, looked = jaccard_join.block_pairs(lists, n, at)
+    want, every = set(), 0
+    for k in range(200):
+        own = np.flatnonzero(lists == k)
+        for x, a in enumerate(own):
+            for b in own[:x]:
+                every += 1
+                if jaccard_join.may_link(n[a], at[a], n[b], at[b]):
+                    want.add((b, a))
+    got = [(min(a, b), max(a, b)) for a, b in zip(i.tolist(), j.tolist(), strict=True)]
+    assert len(got) == len(set(got)) and set(got) == want and want
+    assert looked < every / 4
+    # one size: position alone decides
+    n[:], at[:] = 90, np.arange(len(lists)) % 19
+    i, j, looked = jaccard_join.block_pairs(lists, n, at)
+    assert 0 < len(i) < looked < every / 2
+
+
 def test_join_edges(spark, edge, nothing):
     texts = {r.doc_id: r.text for r in edge.collect()}
     sets = plain_sets(texts)
@@ -80,6 +106,30 @@ def test_join_edges(spark, edge, nothing):
     assert [len(s) for s in shingle_sets(["", "a", "a b c d e f"])] == [0, 1, 2]
 
 
+def test_long_texts_are_hashed_in_parts(monkeypatch):
+    r = random.Random(5)
+    texts = ["".join(r.choice("ab \n") for _ in range(n)) for n in (0, 1, 6, 7, 8, 40, 300, 301)] + ["x" * 100 + " " + "y" * 50, " " * 60, "one " * 30]
+    want = shingle_sets(texts)
+    monkeypatch.setattr(shingles, "AT_ONCE", 7)
+    for a, b in zip(want, shingle_sets(texts), strict=True):
+        assert a.tolist() == b.tolist()
+
+
+@pytest.mark.parametrize("at_once", [1, 150, 1 << 19])
+def test_long_texts_have_the_same_strings_in_parts(monkeypatch, at_once):
+    monkeypatch.setattr(suffix_dedup, "AT_ONCE", at_once)
+    r = np.random.default_rng(1)
+    raw = [r.integers(97, 100, n).astype(np.uint8).tobytes() for n in (0, 99, 100, 101, 260, 700)]
+    starts = []
+    for where, blobs in suffix_dedup.pieces_of(raw):
+        blob, start, count, far, key = suffix_dedup.anchors(blobs)
+        for b, s, c, f, k in zip(blob, start, count, far, key, strict=True):
+            i, at = where[b]
+            starts += [(i, at + s + n) for n in range(c)]
+            assert suffix_dedup.gram_hashes(np.frombuffer(raw[i], np.uint8))[at + s + f] == k
+    assert sorted(starts) == [(i, s) for i, b in enumerate(raw) for s in range(len(b) - 99)]
+
+
 @pytest.mark.parametrize("letters", [1, 2, 4, 200])
 def test_two_stage_sorting(letters):
     r = np.random.default_rng(letters)
