@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..tables import fresh_path, scratch, shared_dir, written
 
-__all__ = ["as_array", "claim", "fresh_path", "map_batches", "parts_for", "scratch", "shared_dir", "table", "texts_of", "tidy", "written"]
+__all__ = ["as_array", "claim", "free_name", "fresh_path", "map_batches", "parts_for", "scratch", "shared_dir", "table", "texts_of", "tidy", "written"]
 
 MOST_BYTES = 8_000_000  # of a batch that is worked on at once; a longer text is alone in it
 
@@ -21,6 +21,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def free_name(name: str, taken: list[str]) -> str:
+    """``name``, or a longer one, that no column bears in whatever letters."""
+    low = {t.lower() for t in taken}
+    while name.lower() in low:
+        name = f"_{name}"
+    return name
+
+
 def parts_for(df: DataFrame, times: float = 1.0, each: int = 128 << 20) -> int:
     """How many partitions a shuffle of about ``times`` the bytes of ``df`` needs (by the scan's size; where that is unknown, and
     as the least, the session's number)."""

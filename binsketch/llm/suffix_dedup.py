@@ -3,12 +3,12 @@
 A byte goes if a string of 100 bytes over it also starts earlier in the corpus.
 Equal strings pick the same anchor: the least-hashed 28 bytes within them. Only
 anchors that occur twice matter; the stretch of text around each of them, with
-all strings that picked it, goes where equal anchors meet. Equal stretches
-collapse to the earliest; what differs is suffix-sorted in blocks, and
-neighbours in the order that share 100 bytes are repeats. Stretches of
-anchors too frequent for one block are cut in short parts instead; what is left
-after equal parts collapse is told apart by its full 100 bytes, which is sorting
-into buckets of full depth, summed before they are sent.
+all strings that picked it, goes where equal anchors meet. There blocks of
+stretches are suffix-sorted in two stages, and neighbours in the order whose
+common prefix has 100 bytes are repeats. Stretches of anchors too frequent for
+one block are cut in short parts instead; equal parts collapse, and what is left
+is told apart by its full 100 bytes, which is sorting into buckets of full depth,
+summed before they are sent. Whole copies of a document go beforehand.
 """
 
 from __future__ import annotations
@@ -21,14 +21,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import claim, map_batches, scratch, texts_of, tidy, written
+from .common import claim, free_name, map_batches, parts_for, scratch, texts_of, tidy, written
 from .jaccard_join import MOST_BROADCAST_IDS
 from .shingles import _table, mixed
-from .suffix_order import agree, two_stage_order, words_at
+from .suffix_order import common_prefixes, two_stage_order, words_at
 
 LENGTH, GRAM = 100, 28
 PICKS = LENGTH - GRAM + 1
-AT_ONCE, BLOCK_BYTES, HELD = 1 << 19, 1 << 20, 120_000
+AT_ONCE, BLOCK_BYTES, HELD, ROWS = 1 << 19, 1 << 20, 120_000, 20_000
 HOT_LEAST, HOT_KEYS, SUB = 1024, 4_000_000, 4
 MIX = _table(20240103, 6)
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
@@ -141,15 +141,14 @@ def repeated_anchors(docs: DataFrame) -> DataFrame:
             waiting = None if keep[-1] else batch.slice(len(route) - 1).select(["key", "doc_id", "packed"])
             yield batch.select(["key", "doc_id", "packed"]).filter(pa.array(keep))
 
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = docs.mapInArrow(tidy(run), kind).repartition(parts, "route").sortWithinPartitions("route")
+    rows = docs.mapInArrow(tidy(run), kind).repartition(parts_for(docs), "route").sortWithinPartitions("route")
     found = rows.mapInArrow(tidy(told), "key long, doc_id long, packed long")
     return written(found.withColumn("packed", F.col("packed").bitwiseAND(F.lit(SURE - 1))), "anchors")
 
 
 def stretches(docs: DataFrame, found: DataFrame, hot: np.ndarray) -> DataFrame:
     """Of each repeated anchor its stretch of text: kind 0 (key, doc_id, start, count, bytes); kind 1: a part of the stretch
-    of a hot anchor, SUB strings in step with the anchor; kind 2: what an equal stretch or part in this task comes before (no bytes)."""
+    of a hot anchor, SUB strings in step with the anchor; kind 2: what an equal part of a hot anchor in this task comes before (no bytes)."""
     shared = docs.sparkSession.sparkContext.broadcast(hot)
     lists = found.groupBy("doc_id").agg(F.collect_list(F.struct("key", "packed")).alias("found"))
     kind = "kind int, key long, doc_id long, start long, count long, bytes binary"
@@ -168,27 +167,25 @@ def stretches(docs: DataFrame, found: DataFrame, hot: np.ndarray) -> DataFrame:
                 where[content], own = own, other
             out.append((2, 0, own[0], own[1], own[2], None))
 
-        def sent() -> Iterator[pa.RecordBatch]:
-            frequent = np.isin(np.array([v[3] for v in seen.values()], np.int64), shared.value)
-            parts: dict[bytes, tuple[int, ...]] = {}
-            rows = []
-            for (content, (doc, start, count, key, far)), is_hot in zip(seen.items(), frequent, strict=True):
-                if not is_hot:
-                    rows.append((0, key, doc, start, count, content))
-                    continue
+        def parts() -> None:
+            """Stretches of frequent anchors, collapsed, in short parts that collapse again."""
+            cut: dict[bytes, tuple[int, ...]] = {}
+            for content, (doc, start, count, far) in seen.items():
                 k = 0
                 while k < count:
                     n = min(SUB - (k - far) % SUB, count - k)
                     core = k + SUB - 1 - (k - far) % SUB  # what all strings of a place in step have in common
-                    put(parts, content[k : k + n + LENGTH - 1], (doc, start + k, n, hashlib.blake2b(content[core : core + LENGTH - SUB + 1], digest_size=8).digest()))
+                    put(cut, content[k : k + n + LENGTH - 1], (doc, start + k, n, hashlib.blake2b(content[core : core + LENGTH - SUB + 1], digest_size=8).digest()))
                     k += n
-            rows += [(1, int.from_bytes(core, "little", signed=True), *own, content) for content, (*own, core) in parts.items()]
-            rows += out
-            for i in range(0, len(rows), 20_000):
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[i : i + 20_000], strict=True), (pa.int32(), *[pa.int64()] * 4, pa.binary()), strict=True)], names=["kind", "key", "doc_id", "start", "count", "bytes"])
+            out.extend((1, int.from_bytes(core, "little", signed=True), *own, content) for content, (*own, core) in cut.items())
             seen.clear()
+
+        def sent() -> Iterator[pa.RecordBatch]:
+            for i in range(0, len(out), ROWS):
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out[i : i + ROWS], strict=True), (pa.int32(), *[pa.int64()] * 4, pa.binary()), strict=True)], names=["kind", "key", "doc_id", "start", "count", "bytes"])
             out.clear()
 
+        frequent = set(shared.value.tolist())
         for batch in batches:
             for doc, text, rows in zip(batch.column("doc_id").to_pylist(), texts_of(batch), batch.column("found"), strict=True):
                 raw = text.encode()
@@ -197,11 +194,16 @@ def stretches(docs: DataFrame, found: DataFrame, hot: np.ndarray) -> DataFrame:
                 for key, p in zip(keys, packed, strict=True):
                     start, count = p >> 16, p & 255
                     content = raw[start : start + count + LENGTH - 1]
-                    put(seen, content, (doc, start, count, key, p >> 8 & 255))
+                    if key in frequent:
+                        put(seen, content, (doc, start, count, p >> 8 & 255))
+                    else:
+                        out.append((0, key, doc, start, count, content))
                 if len(seen) >= HELD:
+                    parts()
+                if len(out) >= ROWS:
                     yield from sent()
-        if seen or out:
-            yield from sent()
+        parts()
+        yield from sent()
 
     return written(docs.join(lists, "doc_id").select("doc_id", "text", "found").mapInArrow(tidy(run), kind), "stretches")
 
@@ -213,60 +215,49 @@ def sorted_repeats(rows: DataFrame) -> DataFrame:
     """Spans (doc_id, start, end) that repeat earlier ones, of stretches sorted by key: whole groups are put in blocks."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        group: dict[bytes, tuple[int, int, int]] = {}
-        block: list[tuple[bytes, tuple[int, int, int]]] = []
-        spans: list[tuple[int, int, int]] = []
-        key, size = None, 0
-
-        def closed() -> None:
-            nonlocal size
-            if len(group) > 1:
-                block.extend(group.items())
-                size += sum(map(len, group))
-            group.clear()
-
-        def sent() -> pa.RecordBatch:
-            nonlocal size
-            found = [np.array(spans, np.int64).reshape(-1, 3), block_repeats(block)]
-            block.clear()
-            spans.clear()
-            size = 0
-            return span_batch(np.concatenate(found))
-
+        names = ("key", "doc_id", "start", "count", "bytes")
+        held: list[list[pa.Array]] = []  # a block so far; it ends with the end of a group
+        size = 0
         for batch in batches:
-            for k, doc, start, count, content in zip(*(batch.column(c).to_pylist() for c in ("key", "doc_id", "start", "count", "bytes")), strict=True):
-                if k != key:
-                    closed()
-                    key = k
-                    if size >= BLOCK_BYTES:
-                        yield sent()
-                own, other = (doc, start, count), group.get(content)
-                if other is None:
-                    group[content] = own
-                else:
-                    if own < other:
-                        group[content], own = own, other
-                    spans.append((own[0], own[1], own[1] + count + LENGTH - 1))
-            if len(spans) >= HELD:
-                yield sent()
-        closed()
-        yield sent()
+            cols = [batch.column(c) for c in names]
+            key = cols[0].to_numpy()
+            weight = np.cumsum(np.asarray(cols[3]) + LENGTH - 1)
+            at = 0
+            for cut in np.flatnonzero(key[1:] != key[:-1]) + 1:
+                if size + weight[cut - 1] - (weight[at - 1] if at else 0) >= BLOCK_BYTES:
+                    held.append([c.slice(at, cut - at) for c in cols])
+                    yield span_batch(block_repeats(*gathered(held)))
+                    held, size, at = [], 0, int(cut)
+            if at == 0 and held and held[-1][0][-1] != cols[0][0] and size >= BLOCK_BYTES:
+                yield span_batch(block_repeats(*gathered(held)))
+                held, size = [], 0
+            held.append([c.slice(at) for c in cols])
+            size += int(weight[-1] - (weight[at - 1] if at else 0))
+        if held:
+            yield span_batch(block_repeats(*gathered(held)))
 
     return rows.mapInArrow(tidy(run), SPAN)
 
 
+def gathered(held: list[list[pa.Array]]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Bytes, and document, start and count of each stretch, of the groups with two or more."""
+    key, doc, start, count = (np.concatenate([h[k].to_numpy() for h in held]) for k in range(4))
+    again = np.r_[False, key[1:] == key[:-1]]
+    several = again | np.r_[again[1:], False]
+    content = pa.chunked_array([h[4] for h in held]).filter(pa.array(several)).to_pylist()
+    return np.frombuffer(b"".join(content), np.uint8), doc[several], start[several], count[several].astype(np.int64)
+
+
 def span_batch(spans: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(spans[:, k])) for k in range(3)], names=["doc_id", "start", "end"])
 
 
-def block_repeats(block: list[tuple[bytes, tuple[int, int, int]]]) -> np.ndarray:
-    """Spans of the strings of a block that occur earlier in it: suffix order, then neighbours that agree."""
-    if not block:
+def block_repeats(text: np.ndarray, doc: np.ndarray, start: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """Spans of the strings of a block that occur earlier in it: suffix order, then neighbours with a common prefix of a string."""
+    if not len(doc):
         return np.empty((0, 3), np.int64)
-    text = np.frombuffer(b"".join(c for c, _ in block), np.uint8)
     words = words_at(text, LENGTH)
-    size = np.array([len(c) for c, _ in block])
-    doc, start, count = np.array([o for _, o in block], np.int64).T
+    size = count + LENGTH - 1
     first = np.r_[0, np.cumsum(size)[:-1]]
     edge = np.zeros(len(text) + 1, np.int8)
     np.add.at(edge, first, 1)
@@ -274,7 +265,7 @@ def block_repeats(block: list[tuple[bytes, tuple[int, int, int]]]) -> np.ndarray
     counts = np.cumsum(edge[:-1], dtype=np.int8) > 0
     order = two_stage_order(text, words, LENGTH)
     order = order[counts[order]]
-    same = agree(order, words, LENGTH)
+    same = common_prefixes(order, text, words, LENGTH) >= LENGTH
     tied = same | np.r_[same[1:], False]
     order, group = order[tied], np.cumsum(~same)[tied]
     owner = np.searchsorted(first, order, "right") - 1
@@ -336,8 +327,7 @@ def repeats(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
         hot = np.array(sorted(r.key for r in counts.filter(F.col("n") > limit).collect()), np.int64)
         near = some_docs(ones, written(found.select("doc_id").distinct(), "near-ids"), "left_semi")
         rows = stretches(near, found, hot)
-        parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        cold = sorted_repeats(rows.filter("kind = 0").drop("kind").repartition(parts, "key").sortWithinPartitions("key"))
+        cold = sorted_repeats(rows.filter("kind = 0").drop("kind").repartition(parts_for(rows), "key").sortWithinPartitions("key"))
         local = rows.filter("kind = 2").select("doc_id", "start", (F.col("start") + F.col("count") + LENGTH - 1).alias("end"))
         spans = cold.unionByName(local)
         if len(hot):
@@ -417,16 +407,17 @@ def cleaned(docs: DataFrame) -> DataFrame:
     gone = written(facts.filter((F.col("copy_of").isNotNull()) & (F.col("n_bytes") >= LENGTH)).select("doc_id").distinct(), "gone-ids")
     touched = written(spans.select("doc_id").distinct(), "touched-ids")
     rest = some_docs(some_docs(docs, gone, "left_anti"), touched, "left_anti")
-    lists = spans.groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("_spans"))
-    cut = some_docs(some_docs(docs, touched, "left_semi"), gone, "left_anti").join(lists, "doc_id")
     names, kinds = docs.columns, dict(docs.dtypes)
+    own = free_name("spans", names)
+    lists = spans.groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias(own))
+    cut = some_docs(some_docs(docs, touched, "left_semi"), gone, "left_anti").join(lists, "doc_id")
 
     def run(batch):
-        texts = [kept_bytes(t.encode(), merged([(r["start"], r["end"]) for r in rows])).decode("utf-8", "ignore") for t, rows in zip(texts_of(batch), batch.column("_spans").to_pylist(), strict=True)]
+        texts = [kept_bytes(t.encode(), merged([(r["start"], r["end"]) for r in rows])).decode("utf-8", "ignore") for t, rows in zip(texts_of(batch), batch.column(own).to_pylist(), strict=True)]
         new = {c: batch.column(c) for c in names} | {"text": texts}
         if "n_chars" in new:
             new["n_chars"] = [len(t) for t in texts]
         yield new
 
-    shorter = map_batches(cut.select(*names, "_spans"), run, ", ".join(f"`{c}` {kinds[c]}" for c in names))
+    shorter = map_batches(cut.select(*names, own), run, ", ".join(f"`{c}` {kinds[c]}" for c in names))
     return rest.select(*names).unionByName(shorter.filter("text <> ''"))

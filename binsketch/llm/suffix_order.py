@@ -1,4 +1,4 @@
-"""Two-stage suffix sorting in numpy, to a fixed depth, and where neighbours agree so far.
+"""Two-stage suffix sorting in numpy, to a fixed depth, and the common prefixes of neighbours.
 
 Stage one sorts the suffixes that are smaller than their successors, word by
 word. Stage two scans the buckets of first bytes upward: each suffix that is
@@ -95,11 +95,21 @@ def two_stage_order(text: np.ndarray, words: np.ndarray, depth: int) -> np.ndarr
     return np.concatenate(out)
 
 
-def agree(order: np.ndarray, words: np.ndarray, depth: int) -> np.ndarray:
-    """Whether each suffix shares its first ``depth`` bytes with the one before it in the order."""
-    same = np.zeros(len(order), bool)
+def common_prefixes(order: np.ndarray, text: np.ndarray, words: np.ndarray, depth: int) -> np.ndarray:
+    """How many bytes each suffix shares with the one before it in the order, ``depth`` at most (the first: 0).
+
+    Neighbours advance word by word as long as they agree; the byte in which they part
+    is the highest one set in the difference of the words.
+    """
+    out = np.zeros(len(order), np.int64)
     left = np.arange(1, len(order))
-    for at in [*range(0, depth - 8, 8), depth - 8]:
-        left = left[words[order[left] + at] == words[order[left - 1] + at]]
-    same[left] = True
-    return same
+    for at in range(0, depth, 8):
+        differ = words[order[left] + at] ^ words[order[left - 1] + at]
+        part = np.flatnonzero(differ)
+        bits = np.frexp((differ[part] >> np.uint64(11)).astype(np.float64))[1] + 11  # exact: 53 bits are kept
+        low = differ[part] >> np.uint64(11) == 0
+        bits[low] = np.frexp(differ[part][low].astype(np.float64))[1]
+        out[left[part]] = at + (64 - bits) // 8
+        left = left[differ == 0]
+    out[left] = depth
+    return np.minimum(out, depth)

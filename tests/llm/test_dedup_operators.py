@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from binsketch.llm import exact_topk, jaccard_join, quality, shingles, suffix_dedup
 from binsketch.llm.shingles import shingle_sets
-from binsketch.llm.suffix_order import agree, two_stage_order, words_at
+from binsketch.llm.suffix_order import common_prefixes, two_stage_order, words_at
 
 
 def plain_sets(texts):
@@ -140,9 +140,11 @@ def test_two_stage_sorting(letters):
         b = text.tobytes()
         assert sorted(order.tolist()) == list(range(n))
         assert [b[i : i + 104] for i in order] == sorted(b[i : i + 104] for i in range(n))
-        own = order[order <= n - 104] if n > 104 else order[:0]
-        same = agree(own, words, 104)
-        assert all(s == (b[x : x + 104] == b[y : y + 104]) for s, x, y in zip(same[1:], own, own[1:], strict=False))
+        shared = common_prefixes(order, text, words, 104)
+        for k, (x, y) in enumerate(zip(order, order[1:], strict=False), 1):
+            p, q = (b + b"\0" * 120)[x : x + 104], (b + b"\0" * 120)[y : y + 104]
+            assert shared[k] == next((i for i in range(104) if p[i] != q[i]), 104)
+        assert shared[0] == 0
 
 
 def plain_removal(texts):
