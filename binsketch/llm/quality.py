@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import claim, map_batches, texts_of, written
+from .common import claim, free_name, map_batches, texts_of, written
 
 BUCKETS, RESERVED = 1 << 18, 64  # hashed words; places below 64 are for shapes
 MOST_ENTRIES, MOST_CHARS, SAMPLE = 150_000, 64, 20_000
@@ -111,13 +111,13 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
 
     Rows with a null label don't count for that head. Without labels all evidence is 0.
     """
-    chosen = labels.select(F.col(id_col).alias("_id"), *HEADS).filter("_id is not null").orderBy(F.xxhash64("_id"), *HEADS).limit(sample)
-    joined = docs.select(id_col, text_col).join(F.broadcast(chosen), F.col(id_col) == F.col("_id"))
+    chosen = labels.select(F.col(id_col).alias("label_id"), *HEADS).filter("label_id is not null").orderBy(F.xxhash64("label_id"), *HEADS).limit(sample)
+    joined = docs.select(F.col(id_col).alias("own_id"), F.col(text_col).alias("text")).join(F.broadcast(chosen), F.col("own_id") == F.col("label_id"))
 
     def run(batch):
-        yield {"features": [_featurizer.features(t).tobytes() for t in texts_of(batch, text_col)]} | {h: batch.column(h) for h in HEADS}
+        yield {"features": [_featurizer.features(t).tobytes() for t in texts_of(batch)]} | {h: batch.column(h) for h in HEADS}
 
-    rows = map_batches(joined.select(text_col, *(F.col(h).cast("int").alias(h) for h in HEADS)), run, "features binary, quality int, toxic int").collect()
+    rows = map_batches(joined.select("text", *(F.col(h).cast("int").alias(h) for h in HEADS)), run, "features binary, quality int, toxic int").collect()
     rows = sorted(((np.frombuffer(r.features, np.uint32), *(r[h] for h in HEADS)) for r in rows), key=lambda r: r[0].tobytes())
     found = []
     for k in range(1, len(HEADS) + 1):
@@ -178,27 +178,47 @@ def _strength(mean: float, spread: float | None) -> float:
     return float(np.clip(mean * (1 - mean) / max(spread or 0.0, 1e-9) - 1, 1.0, 10_000.0))
 
 
+def sites(docs: DataFrame, url_col: str, host: str = "host", path: str = "path", depth: int = 1) -> DataFrame:
+    """docs with the host of a url (lower case, without user, port and leading www.) and its first ``depth`` path segments; no url: empty ones."""
+    url = F.coalesce(F.col(f"`{url_col}`"), F.lit(""))
+    rest = F.regexp_extract(url, r"^(?:[A-Za-z][A-Za-z0-9+.-]*:)?//(.*)$", 1)
+    name = F.regexp_replace(F.lower(F.regexp_extract(rest, r"^(?:[^/?#@]*@)?([^/?#:]*)", 1)), r"^www\.", "")
+    return docs.withColumns({host: name, path: F.regexp_extract(rest, rf"^[^/?#]*((?:/[^/?#]+){{0,{depth}}})", 1)})
+
+
 def judged(rows: DataFrame, shifts: DataFrame, host: str, path: str, least_quality: float = 0.5, most_toxic: float = 0.5) -> DataFrame:
-    """rows with p_quality, p_toxic and keep (p_quality >= least_quality and p_toxic < most_toxic)."""
-    s = shifts.select(F.col("host").alias("_host"), F.col("path").alias("_path"), *(F.col(f"{h}_shift").alias(f"_{h}") for h in HEADS))
-    j = rows.join(s, (F.coalesce(F.col(host), F.lit("")) == F.col("_host")) & (F.coalesce(F.col(path), F.lit("")) == F.col("_path")), "left")
+    """rows with p_quality, p_toxic and keep (p_quality >= least_quality and p_toxic < most_toxic); a site without a row has no shift."""
+    names = {c: free_name(c, rows.columns) for c in ("host", "path", *(f"{h}_shift" for h in HEADS))}
+    s = shifts.select(*(F.col(c).alias(n) for c, n in names.items()))
+    j = rows.join(s, (F.coalesce(F.col(host), F.lit("")) == F.col(names["host"])) & (F.coalesce(F.col(path), F.lit("")) == F.col(names["path"])), "left")
     for h in HEADS:
-        j = j.withColumn(f"p_{h}", sigmoid(F.col(f"{h}_evidence") + F.coalesce(f"_{h}", F.lit(0.0))))
-    return j.withColumn("keep", (F.col("p_quality") >= least_quality) & (F.col("p_toxic") < most_toxic)).drop("_host", "_path", *(f"_{h}" for h in HEADS))
+        j = j.withColumn(f"p_{h}", sigmoid(F.col(f"{h}_evidence") + F.coalesce(names[f"{h}_shift"], F.lit(0.0))))
+    return j.withColumn("keep", (F.col("p_quality") >= least_quality) & (F.col("p_toxic") < most_toxic)).drop(*names.values())
+
+
+VERDICT = ("quality_evidence", "toxic_evidence", "p_quality", "p_toxic", "keep")
 
 
 def classified(docs: DataFrame, labels: DataFrame, keep: list[str], host: str = "source", path: str = "lang", sample: int = SAMPLE) -> DataFrame:
     """``keep`` columns of every row of docs with its evidence, posteriors and ``keep``.
 
-    The corpus is read for training (labelled rows of the sample), for the
-    evidence by site, and, if ``keep`` holds texts, once more for the verdicts.
-    Null or empty texts have shape features only; a null host or path is the empty
-    one; repeated rows stay; an empty table gives no rows.
+    Texts are read for training (labelled rows of the sample) and once for the
+    evidence, which is written with the kept columns; sites and verdicts come from
+    that table. Null or empty texts have shape features only; a null host or path is
+    the empty one; repeated rows stay; an empty table gives no rows. Any names may be
+    kept: where one is also the name of a verdict's column, the latter is preceded by
+    underscores.
     """
-    docs = docs.select(*(c for c in docs.columns if not re.fullmatch(r"(p_)?(quality|toxic)(_evidence)?|keep", c)))
     model = train(docs, labels, sample)
-    rows = scored(docs, model, list(dict.fromkeys([*keep, host, path])))
-    if "text" not in keep:
-        rows = written(rows, "evidence")
-    sites = rows if "text" not in keep else scored(docs, model, [host, path])
-    return judged(rows, site_shifts(sites, host, path), host, path)
+    inner = {f"c{i}": c for i, c in enumerate(keep)}
+    own = docs.select(*(F.col(f"`{c}`").alias(i) for i, c in inner.items()), F.col(f"`{host}`").alias("host"), F.col(f"`{path}`").alias("path"), *([] if "text" in keep else [F.col("text").alias("text")]))
+    text = next((i for i, c in inner.items() if c == "text"), "text")
+    rows = written(scored(own, model, [*inner, "host", "path"], text), "evidence")
+    done = judged(rows, site_shifts(rows, "host", "path"), "host", "path")
+    return done.select(*(F.col(i).alias(c) for i, c in inner.items()), *(F.col(c).alias(free_name(c, keep)) for c in VERDICT))
+
+
+def accepted(docs: DataFrame, labels: DataFrame, **named) -> DataFrame:
+    """The rows of docs that the classifier keeps, in the same columns."""
+    rows = classified(docs, labels, docs.columns, **named)
+    return rows.filter(F.col(free_name("keep", docs.columns))).select(*(F.col(f"`{c}`") for c in docs.columns))

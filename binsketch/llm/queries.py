@@ -39,7 +39,7 @@ def op4_site_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The documents that the classifier keeps, with their posteriors."""
     from .quality import classified
 
-    rows = classified(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), ["doc_id"])
+    rows = classified(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), ["doc_id", "source", "lang"])
     return rows.filter("keep").select("doc_id", "source", "lang", "quality_evidence", "toxic_evidence", "p_quality", "p_toxic", "keep")
 
 

@@ -412,12 +412,16 @@ def cleaned(docs: DataFrame) -> DataFrame:
     lists = spans.groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias(own))
     cut = some_docs(some_docs(docs, touched, "left_semi"), gone, "left_anti").join(lists, "doc_id")
 
+    inner = {f"c{i}": c for i, c in enumerate(names)}  # Arrow functions take no dots in names
+    at = {c: i for i, c in inner.items()}
+
     def run(batch):
-        texts = [kept_bytes(t.encode(), merged([(r["start"], r["end"]) for r in rows])).decode("utf-8", "ignore") for t, rows in zip(texts_of(batch), batch.column(own).to_pylist(), strict=True)]
-        new = {c: batch.column(c) for c in names} | {"text": texts}
-        if "n_chars" in new:
-            new["n_chars"] = [len(t) for t in texts]
+        texts = [kept_bytes(t.encode(), merged([(r["start"], r["end"]) for r in rows])).decode("utf-8", "ignore") for t, rows in zip(texts_of(batch, at["text"]), batch.column("spans").to_pylist(), strict=True)]
+        new = {i: batch.column(i) for i in inner} | {at["text"]: texts}
+        if "n_chars" in at:
+            new[at["n_chars"]] = [len(t) for t in texts]
         yield new
 
-    shorter = map_batches(cut.select(*names, own), run, ", ".join(f"`{c}` {kinds[c]}" for c in names))
-    return rest.select(*names).unionByName(shorter.filter("text <> ''"))
+    kept = cut.select(*(F.col(f"`{c}`").alias(i) for i, c in inner.items()), F.col(own).alias("spans"))
+    shorter = map_batches(kept, run, ", ".join(f"{i} {kinds[c]}" for i, c in inner.items())).filter(F.col(at["text"]) != "")
+    return rest.select(*(f"`{c}`" for c in names)).union(shorter.select(*(F.col(i).alias(c) for i, c in inner.items())))

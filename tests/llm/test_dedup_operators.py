@@ -200,6 +200,12 @@ def test_classifier_edges(spark, edge, nothing):
     labels = spark.createDataFrame([(5, 1, 0), (7, None, 1), (8, 0, None), (None, 1, 0)], "doc_id long, quality int, toxic int")
     rows = quality.classified(edge, labels, ["doc_id", "text"]).collect()
     assert len(rows) == edge.count() and all(0 <= r.p_quality <= 1 and r.keep is not None for r in rows)
+    clash = edge.withColumns({c: F.lit(c) for c in ("quality", "toxic", "p_quality", "_host", "_path", "host", "path", "c0", "label_id", "quality_shift", "_spans", "spans", "odd.name")})
+    kept = quality.accepted(clash, labels)
+    want = {r.doc_id for r in rows if r.keep}
+    assert kept.columns == clash.columns and {r.doc_id for r in kept.collect()} == want and {r.p_quality for r in kept.collect()} <= {"p_quality"}
+    assert quality.classified(clash, labels, clash.columns).columns[-5:] == ["quality_evidence", "toxic_evidence", "_p_quality", "p_toxic", "_keep"]
+    assert suffix_dedup.cleaned(clash).columns == clash.columns and suffix_dedup.cleaned(clash).count() == suffix_dedup.cleaned(edge).count()
     assert quality.classified(nothing, labels, ["doc_id"]).count() == 0
     free = quality.classified(edge, labels.limit(0), ["doc_id"]).collect()
     assert len(free) == len(rows)
@@ -212,6 +218,49 @@ def test_sparse_sites_shrink(spark):
     assert s["bad"].toxic_shift > s["big"].toxic_shift
 
 
+def test_site_posteriors_equal_a_plain_computation(spark):
+    r = np.random.default_rng(8)
+    rows = [(str(r.choice(["a", "b", "c", "d"], p=[0.7, 0.2, 0.09, 0.01])), str(r.choice(["x", "y", "z"])), float(r.normal()), float(r.normal())) for _ in range(500)] + [(None, None, 1.0, -1.0)]
+    df = spark.createDataFrame(rows, "source string, lang string, quality_evidence double, toxic_evidence double")
+    shifts = quality.site_shifts(df, "source", "lang")
+    got = {(x.host, x.path): (x.n, x.quality_shift, x.toxic_shift) for x in shifts.collect()}
+    odds = lambda p: np.log(p / (1 - p))
+    want = {}
+    for head in (2, 3):
+        p = [((x[0] or "", x[1] or ""), 1 / (1 + np.exp(-x[head]))) for x in rows]
+        mean = np.mean([v for _, v in p])
+
+        def groups(key):
+            out = {}
+            for k, v in p:  # noqa: B023
+                out.setdefault(key(k), []).append(v)
+            return out
+
+        def strength(g):
+            spread = sum(len(v) * (np.mean(v) - mean) ** 2 for v in g.values()) / len(rows)  # noqa: B023
+            return np.clip(mean * (1 - mean) / spread - 1, 1, 10_000)  # noqa: B023
+
+        hosts, paths = groups(lambda k: k[0]), groups(lambda k: k)
+        for k, v in paths.items():
+            h = hosts[k[0]]
+            of_host = (sum(h) + strength(hosts) * mean) / (len(h) + strength(hosts))
+            of_path = (sum(v) + strength(paths) * of_host) / (len(v) + strength(paths))
+            want.setdefault(k, [len(v)]).append(odds(of_path) - odds(mean))
+    assert set(got) == set(want)
+    for k, v in want.items():
+        assert got[k] == pytest.approx(tuple(v), abs=1e-9)
+    for x in quality.judged(df, shifts, "source", "lang", 0.6, 0.4).collect():
+        own = want[x.source or "", x.lang or ""]
+        p, q = (1 / (1 + np.exp(-(e + o))) for e, o in zip((x.quality_evidence, x.toxic_evidence), own[1:], strict=True))
+        assert (x.p_quality, x.p_toxic) == pytest.approx((p, q)) and x.keep == (p >= 0.6 and q < 0.4)
+
+
+def test_sites_of_urls(spark):
+    urls = {"http://www.A.example:80/x/y?q#f": ("a.example", "/x"), "https://u:p@b.example": ("b.example", ""), "//c.example/z": ("c.example", "/z"), None: ("", ""), "no url": ("", ""), "http://d.example/?x": ("d.example", "")}
+    rows = quality.sites(spark.createDataFrame([(u,) for u in urls], "url string"), "url").collect()
+    assert {r.url: (r.host, r.path) for r in rows} == urls
+
+
 def plain_top(rows, k):
     v = {i: [int(np.floor(256 * float(x))) for x in e] for i, e in rows if e is not None and all(x is not None and np.isfinite(x) for x in e)}
     out = set()
