@@ -36,24 +36,29 @@ def smaller_than_next(text: np.ndarray) -> np.ndarray:
 
 
 def direct_order(starts: np.ndarray, words: np.ndarray, depth: int) -> np.ndarray:
-    """``starts`` by the bytes that follow them, ``depth`` at most; only ties look at further words."""
-    order = np.argsort(words[starts], kind="stable")
-    starts = starts[order]
+    """``starts`` by the bytes that follow them, ``depth`` at most.
+
+    Only ties look at further words, and of them only groups in which a word differs are sorted again.
+    """
+    starts = starts[np.argsort(words[starts], kind="stable")]
     key = words[starts]
-    group = np.cumsum(np.r_[0, key[1:] != key[:-1]]) if len(starts) else starts
+    same = np.r_[False, key[1:] == key[:-1]][: len(starts)]  # as the one before, so far
+    tied = np.flatnonzero(same | np.r_[same[1:], False][: len(starts)])
     for at in range(8, depth, 8):
-        tied = np.flatnonzero(np.r_[False, group[1:] == group[:-1]] | np.r_[group[1:] == group[:-1], False]) if len(starts) > 1 else ()
         if not len(tied):
             break
-        own, g = starts[tied], group[tied]
-        key = words[own + min(at, depth - 8)]
-        order = np.lexsort((key, g))
-        starts[tied] = own[order]
-        g, key = g[order], key[order]
-        # tied places keep their group's first place as its number, so that numbers stay apart
-        fresh = np.r_[True, (g[1:] != g[:-1]) | (key[1:] != key[:-1])]
-        group = np.arange(len(starts)) * 2 + 1
-        group[tied] = 2 * tied[np.flatnonzero(fresh)][np.cumsum(fresh) - 1]
+        own, head = starts[tied], ~same[tied]
+        key, group = words[own + min(at, depth - 8)], np.cumsum(head) - 1
+        open_ = np.zeros(group[-1] + 1, bool)
+        open_[group[1:][(key[1:] != key[:-1]) & ~head[1:]]] = True
+        some = np.flatnonzero(open_[group])
+        if len(some):
+            order = some[np.lexsort((key[some], group[some]))]
+            starts[tied[some]] = own[order]
+            g, k = group[order], key[order]
+            same[tied[some]] = np.r_[False, (g[1:] == g[:-1]) & (k[1:] == k[:-1])]
+        still = same[tied]
+        tied = tied[still | np.r_[still[1:], False]]
     return starts
 
 
