@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.ml.classification import LinearSVC, LogisticRegression
 from pyspark.ml.feature import HashingTF
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..tables import written
@@ -47,13 +47,20 @@ def evaluate(scored: DataFrame) -> DataFrame:
     return t.select("n", "accuracy", ((F.coalesce("p", "q") + F.coalesce("q", "p")) / 2).alias("balanced"), F.greatest("ones", 1 - F.col("ones")).alias("majority"))
 
 
-def auc(scored: DataFrame, margin: Column) -> DataFrame:
-    """One row: area under the curve, from summed ranks of the positives (ties share theirs)."""
-    at = scored.select("label", margin.alias("m")).groupBy("m").agg(F.sum("label").alias("pos"), F.count(F.lit(1)).alias("n"))
-    from pyspark.sql import Window
+def auc(scored: DataFrame, margin: Column, steps: int = 4096) -> DataFrame:
+    """One row: area under the curve, from summed ranks of the positives (ties share theirs).
 
-    before = F.coalesce(F.sum("n").over(Window.orderBy("m").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    ranked = at.withColumn("rank", before + (F.col("n") + 1) / 2)
+    Margins are counted first; ranges of them (``steps``, by approximate quantiles) get their first rank from the
+    ranges' sums, so that no task sees more than a range.
+    """
+    at = written(scored.select("label", margin.cast("double").alias("m")).groupBy("m").agg(F.sum("label").alias("pos"), F.count(F.lit(1)).alias("n")), "margins")
+    cuts = at.agg(F.percentile_approx("m", F.array(*[F.lit(i / steps) for i in range(1, steps)]), 10 * steps)).first()[0] if at.count() > steps else []
+    edges = F.array(*[F.lit(c) for c in sorted(set(cuts or []))]) if cuts else F.array().cast("array<double>")
+    ranged = written(at.withColumn("part", F.size(F.filter(edges, lambda c: c <= F.col("m")))), "ranges")
+    first = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    before = ranged.groupBy("part").agg(F.sum("n").alias("n")).select("part", F.coalesce(F.sum("n").over(first), F.lit(0)).alias("before"))
+    within = F.coalesce(F.sum("n").over(Window.partitionBy("part").orderBy("m").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = ranged.join(F.broadcast(before), "part").withColumn("rank", F.col("before") + within + (F.col("n") + 1) / 2)
     t = ranked.agg(F.sum(F.col("rank") * F.col("pos")).alias("s"), F.sum("pos").alias("p"), F.sum("n").alias("n"))
     return t.select(F.try_divide(F.col("s") - F.col("p") * (F.col("p") + 1) / 2, F.col("p") * (F.col("n") - F.col("p"))).alias("auc"))
 

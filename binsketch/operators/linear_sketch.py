@@ -41,3 +41,23 @@ def random_projection(sets: DataFrame, sign_hash_seed: int, k: int) -> DataFrame
 def projected_intersection(sums: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
     """i, j, a_hat: the mean product of projections."""
     return dots(sums, pairs).select("i", "j", (F.col("dot") / F.lit(float(k))).alias("a_hat"))
+
+
+def projection_sums(sets: DataFrame, permuters: list) -> DataFrame:
+    """The same with one permutation's upper half a sign: any engine computes them alike."""
+    sums = [F.sum(F.lit(1) - 2 * F.floor(p.pos(F.col("elem")) / F.lit(p.size // 2))).cast("long").alias(f"s{j}") for j, p in enumerate(permuters)]
+    wide = sets.distinct().groupBy("set_id").agg(*sums)
+    return wide.select("set_id", F.posexplode(F.array(*[F.col(f"s{j}") for j in range(len(permuters))])).alias("bin", "val"))
+
+
+def frequency_counters(elements: DataFrame, hashes: list, cells: int) -> DataFrame:
+    """r, cell, n: how many elements fall in each cell of each row; len(hashes) * cells rows at most, after partial sums."""
+    places = F.explode(F.array(*[F.struct(F.lit(j).alias("r"), (h.pos(F.col("elem")) % F.lit(cells)).alias("cell")) for j, h in enumerate(hashes)]))
+    return elements.select(places.alias("p")).groupBy("p.r", "p.cell").agg(F.count(F.lit(1)).alias("n"))
+
+
+def frequency_estimates(counters: DataFrame, asked: DataFrame, hashes: list, cells: int) -> DataFrame:
+    """``asked`` (elem and more) with the least of its cells' counts: never below the true count."""
+    places = F.explode(F.array(*[F.struct(F.lit(j).alias("r"), (h.pos(F.col("elem")) % F.lit(cells)).alias("cell")) for j, h in enumerate(hashes)]))
+    rows = asked.withColumn("p", places).select(*asked.columns, "p.r", "p.cell")
+    return rows.join(counters.withColumnRenamed("n", "in_cell"), ["r", "cell"]).groupBy(*asked.columns).agg(F.min("in_cell").alias("estimate"))

@@ -36,6 +36,16 @@ def build_index(sketch: DataFrame, b: int, k: int, L: int, hole_policy: str = "s
     return signatures(codes, b, k, L, hole_policy).select("table_no", "bucket", "set_id")
 
 
+def signatures_by(sketch: DataFrame, settings: DataFrame, hole_policy: str = "skip_band") -> DataFrame:
+    """b, k, tables, set_id, table_no, bucket for all ``settings`` (b, k, tables; few rows) at once, each from the first k * tables bins."""
+    extra = 0 if hole_policy == "skip_band" else 1
+    rows = sketch.join(F.broadcast(settings), F.col("bin") < F.col("k") * F.col("tables"))
+    code = F.col("offset").bitwiseAND((F.pow(F.lit(2), F.col("b")) - 1).cast("long")) + extra
+    weight = F.pow(F.lit(2.0), (F.col("b") + extra) * (F.col("bin") % F.col("k"))).cast("long")
+    grouped = rows.groupBy("b", "k", "tables", "set_id", F.expr("bin div k").cast("int").alias("table_no")).agg(F.sum(code * weight).alias("bucket"), F.count(F.lit(1)).alias("n"))
+    return (grouped.filter(F.col("n") == F.col("k")) if not extra else grouped).drop("n")
+
+
 def skipped_share(index: DataFrame, sketch: DataFrame, L: int) -> DataFrame:
     """One row: share of (set, table) places that holes left out."""
     n = sketch.select("set_id").distinct().agg((F.count(F.lit(1)) * L).alias("places"))

@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..functions.permute import Digest
+from ..functions.permute import Affine, Digest
 from ..operators import estimate, linear_sketch, lsh, sets, sketch
 from ..sources.tables import table
 from ..tables import written
-from .base import BAND, DIGEST, K, TABLES, B, D, band_sql, counters_sql, doc_shingles, exact_sql, near_sql, query, r6, shingle_sql, sketch_sql
+from .base import BAND, DIGEST, K, TABLES, WORD_SETS, B, D, band_sql, counters_sql, doc_shingles, doc_words, exact_sql, near_sql, query, r6, shingle_sql, sketch_sql
 from .sketches import CLASSIC_SH, NEAR, POS, SHINGLES3, near_docs, shingle_sketch
 
 INDEX = f"{SHINGLES3}, {sketch_sql('sh', POS, K)}, {band_sql('sk', B, BAND)}"
@@ -81,7 +81,14 @@ def lsh_top5(spark, sf_dir):
     return lsh.top_k(both, 5).select("query_id", "set_id", "score", F.col("rank").cast("int").alias("rank"))
 
 
-@query()
+CLUSTERS = f"""WITH RECURSIVE {INDEX}, {TRUTH.format(s='sh')}, n AS (SELECT set_id, count(*) AS c FROM idx GROUP BY 1),
+near AS (SELECT DISTINCT x.set_id AS i, y.set_id AS j FROM idx x JOIN idx y ON x.table_no = y.table_no AND x.bucket = y.bucket AND x.set_id < y.set_id),
+l AS (SELECT t.i, t.j FROM truth t LEFT JOIN near USING (i, j) LEFT JOIN n x ON x.set_id = t.i LEFT JOIN n y ON y.set_id = t.j WHERE t.r >= 0.5 AND (near.i IS NOT NULL OR t.r = 1 OR least(coalesce(x.c, 0), coalesce(y.c, 0)) < {TABLES})),
+e AS (SELECT i AS a, j AS b FROM l UNION ALL SELECT j, i FROM l), reach AS (SELECT a AS root, a AS node FROM e UNION SELECT root, b FROM reach JOIN e ON node = a)
+SELECT root AS set_id, min(node) AS cluster FROM reach GROUP BY 1"""
+
+
+@query(CLUSTERS)
 def lsh_clusters(spark, sf_dir):
     """Near-duplicate clusters: components of the pairs with a resemblance of 0.5 or more that share a bucket, or one of which lacks a band."""
     sh = written(doc_shingles(spark, sf_dir).distinct(), "shingles")
@@ -195,33 +202,84 @@ def signed_dot(spark, sf_dir):
     return linear_sketch.dots(linear_sketch.signed_sums(doc_shingles(spark, sf_dir), BINS, SIGNS, 256), near)
 
 
-@query()
+PROJECTIONS = [Affine(D, 2 * (7_919 * (j + 3)) + 1, 104_729 * (j + 1) % D) for j in range(64)]
+
+
+def _signed(p: Affine) -> str:
+    return f"1 - 2 * (({p.sql('elem')}) // {D // 2})"
+
+
+@query(f"WITH {NEAR_ONLY}, s0 AS (SELECT DISTINCT set_id, elem FROM sh), w AS (SELECT set_id, " + ", ".join(f"sum({_signed(p)})::BIGINT AS s{j}" for j, p in enumerate(PROJECTIONS)) + " FROM s0 GROUP BY 1) SELECT near.i, near.j, round((" + " + ".join(f"x.s{j} * y.s{j}" for j in range(len(PROJECTIONS))) + f") / {len(PROJECTIONS)}.0::DOUBLE, 6) AS a_hat FROM near JOIN w x ON x.set_id = near.i JOIN w y ON y.set_id = near.j")
 def random_projections(spark, sf_dir):
     _, near = near_docs(spark, sf_dir)
-    return linear_sketch.projected_intersection(linear_sketch.random_projection(doc_shingles(spark, sf_dir), 5, 128), near, 128)
+    return linear_sketch.projected_intersection(linear_sketch.projection_sums(doc_shingles(spark, sf_dir), PROJECTIONS), near, len(PROJECTIONS)).select("i", "j", r6("a_hat", "a_hat"))
 
 
-@query()
+COUNTERS = [Digest(1 << 28, 61 + j) for j in range(4)]
+CELLS = 2048
+
+
+@query(f"""WITH {WORD_SETS}, c AS (SELECT 0 AS r, 0 AS cell, 0 AS n WHERE false""" + "".join(f" UNION ALL SELECT {j}, ({p.sql('elem')}) % {CELLS}, count(*) FROM words GROUP BY 2" for j, p in enumerate(COUNTERS)) + """), top AS (SELECT elem, count(*) AS n FROM words GROUP BY 1 ORDER BY n DESC, elem LIMIT 10)
+SELECT elem, top.n, min(c.n)::BIGINT AS estimate FROM top JOIN c ON """ + " OR ".join(f"(r = {j} AND cell = ({p.sql('elem')}) % {CELLS})" for j, p in enumerate(COUNTERS)) + " GROUP BY 1, 2")
 def element_frequencies(spark, sf_dir):
-    """The classical counting structure over all words (bounded in size): estimates beside the ten largest counts."""
-    words = doc_words_of(spark, sf_dir)
+    """The classical counting structure over all words (4 rows of 2048 counters): estimates beside the ten largest counts."""
+    words = doc_words(spark, sf_dir)
     top = words.groupBy("elem").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "elem").limit(10)
-    sketched = words.agg(F.count_min_sketch(F.col("elem"), F.lit(0.001), F.lit(0.99), F.lit(7)).alias("s")).select(F.length("s").alias("sketch_bytes"))
-    return top.crossJoin(F.broadcast(sketched))
+    counters = linear_sketch.frequency_counters(words, COUNTERS, CELLS)
+    return linear_sketch.frequency_estimates(counters, top, COUNTERS, CELLS).select("elem", "n", "estimate")
 
 
-@query()
+@query(f"WITH {SHINGLES3}, {sketch_sql('sh', POS, K)}, n AS (SELECT set_id, CAST(bin // {BAND} AS INTEGER) AS t, count(*) AS c FROM sk GROUP BY 1, 2), p AS (SELECT count(DISTINCT set_id) * {TABLES} AS places FROM sk) SELECT round(1 - count(*) FILTER (c = {BAND}) / any_value(places)::DOUBLE, 6) AS skipped, 'skip_band' AS policy FROM n, p UNION ALL SELECT round(1 - count(*) / any_value(places)::DOUBLE, 6), 'sentinel' FROM n, p")
 def skipped_bands(spark, sf_dir):
     """Share of (document, table) places that holes leave out of the index, by hole policy."""
     sk = written(shingle_sketch(spark, sf_dir), "sketch")
     out = None
     for policy in ("skip_band", "sentinel"):
-        one = lsh.skipped_share(lsh.build_index(sk, B, BAND, TABLES, policy), sk, TABLES).withColumn("policy", F.lit(policy))
+        one = lsh.skipped_share(lsh.build_index(sk, B, BAND, TABLES, policy), sk, TABLES).select(r6("skipped", "skipped"), F.lit(policy).alias("policy"))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-def doc_words_of(spark, sf_dir):
-    from .base import doc_words
+#: Every (b, k, L) of the search experiment that fits 128 bins of one sketch; 64 permutations of the classic one.
+SETTINGS = [(b, k, L) for b in (1, 2, 4) for k in (4, 8) for L in (1, 4, 16)]
+CLASSIC64 = [Affine(D, 2 * (15_485_863 * (j + 1) % (1 << 22)) + 1, 32_452_843 * (j + 1) % D) for j in range(64)]
+
 
-    return doc_words(spark, sf_dir)
+def _grid_sql() -> str:
+    values = ", ".join(f"({b}, {k}, {L})" for b, k, L in SETTINGS)
+    index = lambda sk, source, policy, width, plus, keep: f"SELECT '{source}' AS source, '{policy}' AS policy, s.b, s.k, s.l, set_id, CAST(bin // s.k AS INTEGER) AS t, sum(((\"offset\" & ((1 << s.b) - 1)) + {plus}) * CAST(pow(2, {width} * (bin % s.k)) AS BIGINT))::HUGEINT AS bucket FROM {sk} JOIN settings s ON bin < s.k * s.l{keep[0]} GROUP BY ALL{keep[1]}"
+    return f"""WITH {SHINGLES3}, {sketch_sql('sh', POS, K)}, settings(b, k, l) AS (VALUES {values}),
+cl AS (SELECT set_id, CAST(bin AS INTEGER) AS bin, min(p) AS "offset" FROM ({' UNION ALL '.join(f"SELECT set_id, {j} AS bin, {p.sql('elem')} AS p FROM sh" for j, p in enumerate(CLASSIC64))}) GROUP BY 1, 2),
+ix AS MATERIALIZED (SELECT * EXCLUDE (n) FROM ({index('sk', 'one permutation', 'skip_band', 's.b', 0, ('', '')).replace('::HUGEINT AS bucket', '::HUGEINT AS bucket, count(*) AS n')}) WHERE n = k UNION ALL {index('sk', 'one permutation', 'sentinel', '(s.b + 1)', 1, ('', ''))} UNION ALL {index('cl', 'classic', 'none', 's.b', 0, (' AND s.k * s.l <= 64', ''))}),
+{TRUTH.format(s='sh')}, t8 AS (SELECT i, j FROM truth WHERE r >= 0.8), ways AS (SELECT DISTINCT source, policy, b, k, l FROM ix),
+hit AS (SELECT source, policy, b, k, l, count(*) AS hits FROM (SELECT DISTINCT x.source, x.policy, x.b, x.k, x.l, i, j FROM t8 JOIN ix x ON x.set_id = i JOIN ix y ON y.set_id = j AND x.source = y.source AND x.policy = y.policy AND x.b = y.b AND x.k = y.k AND x.l = y.l AND x.t = y.t AND x.bucket = y.bucket) GROUP BY ALL),
+cand AS (SELECT source, policy, b, k, l, count(*) AS candidates FROM (SELECT DISTINCT x.source, x.policy, x.b, x.k, x.l, x.set_id AS i, y.set_id AS j FROM ix x JOIN ix y ON x.source = y.source AND x.policy = y.policy AND x.b = y.b AND x.k = y.k AND x.l = y.l AND x.t = y.t AND x.bucket = y.bucket AND x.set_id <> y.set_id WHERE x.set_id % 100 = 0) GROUP BY ALL)
+SELECT w.source, w.policy, w.b, w.k, w.l AS tables, (SELECT count(*) FROM t8) AS n_true, coalesce(hits, 0) AS hits, round(coalesce(hits, 0) / (SELECT count(*) FROM t8)::DOUBLE, 6) AS recall, coalesce(candidates, 0) AS candidates,
+ round(coalesce(candidates, 0) / ((SELECT count(DISTINCT set_id) FROM sk WHERE set_id % 100 = 0) * ((SELECT count(DISTINCT set_id) FROM sk) - 1))::DOUBLE, 6) AS fraction
+FROM ways w LEFT JOIN hit h ON h.source = w.source AND h.policy = w.policy AND h.b = w.b AND h.k = w.k AND h.l = w.l LEFT JOIN cand c ON c.source = w.source AND c.policy = w.policy AND c.b = w.b AND c.k = w.k AND c.l = w.l"""
+
+
+@query(_grid_sql())
+def search_grid(spark, sf_dir):
+    """Recall of all pairs with a resemblance of 0.8 or more, and the share of the table that a query meets, by b, k, L, hole policy
+    and sketch. Queries of the second are the rows whose id is divisible by 100. All settings read one sketch of each kind."""
+    sh = written(doc_shingles(spark, sf_dir).distinct(), "shingles")
+    binned, classic = written(sketch.bin_minima(sh, DIGEST, K), "sketch"), written(sketch.classic(sh, CLASSIC64), "classic")
+    settings = F.broadcast(spark.createDataFrame(SETTINGS, "b int, k int, tables int"))
+    ways = (("one permutation", "skip_band", binned, K), ("one permutation", "sentinel", binned, K), ("classic", "none", classic, len(CLASSIC64)))
+    index = None
+    for source, policy, sk, most in ways:
+        one = lsh.signatures_by(sk, settings.filter(F.col("k") * F.col("tables") <= most), "sentinel" if policy == "sentinel" else "skip_band")
+        one = one.select(F.lit(source).alias("source"), F.lit(policy).alias("policy"), *one.columns)
+        index = one if index is None else index.unionByName(one)
+    index = written(index, "index")
+    way = ["source", "policy", "b", "k", "tables"]
+    at = [*way, "table_no", "bucket"]
+    truth = written(estimate.all_pairs(sh, 0.8).select("i", "j"), "truth")
+    mine = index.join(F.broadcast(truth), F.col("set_id") == F.col("i"))
+    hits = mine.select("i", "j", *at).join(index.withColumnRenamed("set_id", "j"), ["j", *at]).select(*way, "i", "j").distinct().groupBy(*way).agg(F.count(F.lit(1)).alias("hits"))
+    asked = index.filter("set_id % 100 = 0").withColumnRenamed("set_id", "i")
+    met = asked.join(index.withColumnRenamed("set_id", "j"), at).filter("i <> j").select(*way, "i", "j").distinct().groupBy(*way).agg(F.count(F.lit(1)).alias("candidates"))
+    facts = binned.select("set_id").distinct().agg(F.count(F.lit(1)).alias("sets"), F.count_if(F.col("set_id") % 100 == 0).alias("asked")).crossJoin(truth.agg(F.count(F.lit(1)).alias("n_true")))
+    t = index.select(*way).distinct().join(hits, way, "left").join(met, way, "left").fillna(0).crossJoin(F.broadcast(facts))
+    return t.select(*way, "n_true", "hits", r6(F.try_divide("hits", "n_true"), "recall"), "candidates", r6(F.try_divide("candidates", F.col("asked") * (F.col("sets") - 1)), "fraction"))

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from .plans import base, generic, laws, learning, search, sketches, streams, surfaces, toy
+from .plans import base, generic, grids, laws, learning, search, sketches, streams, surfaces, toy
 
-__all__ = ["generic", "laws", "learning", "oracles", "queries", "search", "sketches", "streams", "surfaces", "toy"]
+__all__ = ["generic", "grids", "laws", "learning", "oracles", "queries", "search", "sketches", "streams", "surfaces", "toy"]
 
 
 def queries() -> dict:
