@@ -110,14 +110,15 @@ class PieceCodec:
         """The library's own spans, in bytes of the text."""
         return self.lib.encode(text, return_type="proto").pieces
 
-    def encode(self, text: str) -> tuple[np.ndarray, np.ndarray]:
-        """ids, and the byte offsets in the original text where pieces end.
+    def encode(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """ids, and the byte offsets in the original text where pieces begin and end.
 
         The offsets are those of the text; the mark that the model puts before a
-        text counts for no byte, each other mark for its space.
+        text counts for no byte, each other mark for its space. Spaces that the
+        normalisation drops at either end of the text belong to no piece.
         """
         if not text:
-            return np.empty(0, self.kind), np.empty(0, np.int64)
+            return np.empty(0, self.kind), np.empty(0, np.int64), np.empty(0, np.int64)
         if not self.local or MARK in text:
             return self.general(text)
         if "  " in text or text[0] == " " or text[-1] == " ":  # runs of marks belong to what follows them
@@ -128,32 +129,33 @@ class PieceCodec:
         found = [memo.get(c) or stretch(c) for c in chunks]
         ids = np.frombuffer(b"".join([f[0] for f in found]), self.kind)
         ends = np.cumsum(np.frombuffer(b"".join([f[1] for f in found]), "<u4"), dtype=np.int64) - 1
-        return ids, ends
+        return ids, np.r_[0, ends[:-1]], ends
 
-    def general(self, text: str) -> tuple[np.ndarray, np.ndarray]:
+    def general(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Any model and text: the library's pieces over the mapped text, projected through the alignment."""
         proto = self.lib.encode(text, return_type="proto")
         ids = np.array([p.id for p in proto.pieces], self.kind)
         if not len(self.chars.units) and not self.trims:
-            return ids, np.array([p.end for p in proto.pieces], np.int64)
+            return ids, np.array([p.begin for p in proto.pieces], np.int64), np.array([p.end for p in proto.pieces], np.int64)
         mapped, source = self.chars.normalise(text.encode())
-        return ids, self.projected(proto.pieces, mapped, source)
+        return ids, *self.projected(proto.pieces, mapped, source)
 
-    def projected(self, pieces, mapped: bytes, source: np.ndarray) -> np.ndarray:
-        """Ends of pieces in original bytes: walk the mapped bytes, spaces that the model drops belong to no piece."""
-        ends, at, byte_run = [], 0, 0
+    def projected(self, pieces, mapped: bytes, source: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Begins and ends of pieces in original bytes: walk the mapped bytes; spaces dropped at the ends belong to no piece."""
+        begins, ends, at = [], [], 0
         for n, p in enumerate(pieces):
-            surface = p.piece.replace(MARK, " ").encode()
+            surface, before = p.piece.replace(MARK, " ").encode(), at
             if self.pieces[p.id] != p.piece and p.id != self.unknown or p.piece.startswith("<0x"):
                 surface = mapped[at : at + 1]
             if self.trims:
                 while at < len(mapped) and mapped[at : at + 1] == b" " and (n == 0 or not surface.startswith(b" ") or mapped[at + 1 : at + 2] == b" "):
                     at += 1
-            if n == 0 and self.prefix and surface.startswith(b" ") and not mapped.startswith(surface):
+            if n == 0 and self.prefix and surface.startswith(b" "):  # the mark before a text is no byte of it
                 surface = surface[1:]
+            begins.append(source[before if n else at])  # a run of spaces goes to the piece that follows it
             at = min(at + len(surface), len(mapped))
             ends.append(source[at])
-        return np.array(ends, np.int64)
+        return np.array(begins, np.int64), np.array(ends, np.int64)
 
     def decode(self, ids: list[int]) -> str:
         return self.lib.decode(ids)
@@ -165,20 +167,23 @@ def piece_codec(path: str) -> PieceCodec:
 
 
 def piece_encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", begin: bool = True, end: bool = True) -> DataFrame:
-    """One row per document: id, ids array<int>, ends array<long> (byte offsets in the original text where each piece ends; begin id 0, end id the length).
+    """One row per document: id, ids array<int>, begins and ends array<long> (byte offsets of each piece in the original text; begin id 0 to 0, end id
+    from the length to the length).
 
     Null or empty text gives the begin and end ids only. Repeated rows stay, other columns are ignored.
     """
 
     def run(batch):
-        codec, ids, ends = piece_codec(path), [], []
+        codec, ids, begins, ends = piece_codec(path), [], [], []
         for t in texts_of(batch, text_col):
-            i, e = codec.encode(t)
+            i, b, e = codec.encode(t)
+            size = len(t.encode())
             ids.append([codec.lib.bos_id()] * begin + i.tolist() + [codec.lib.eos_id()] * end)
-            ends.append([0] * begin + e.tolist() + [len(t.encode())] * end)
-        yield {id_col: batch.column(id_col), "ids": ids, "ends": ends}
+            begins.append([0] * begin + b.tolist() + [size] * end)
+            ends.append([0] * begin + e.tolist() + [size] * end)
+        yield {id_col: batch.column(id_col), "ids": ids, "begins": begins, "ends": ends}
 
-    return map_batches(docs.select(id_col, text_col), run, f"{id_col} long, ids array<int>, ends array<long>")
+    return map_batches(docs.select(id_col, text_col), run, f"{id_col} long, ids array<int>, begins array<long>, ends array<long>")
 
 
 def piece_decode(coded: DataFrame, path: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -203,7 +208,7 @@ def piece_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col:
         codec, out = piece_codec(path), {k: [] for k in ("n_tokens", "ids_sha256", "decoded_sha256", "n_span_bytes")}
         bos, eos = codec.lib.bos_id(), codec.lib.eos_id()
         for t in texts_of(batch, text_col):
-            ids, ends = codec.encode(t)
+            ids, _, ends = codec.encode(t)
             full = np.empty(len(ids) + 2, "<u4")
             full[0], full[1:-1], full[-1] = bos, ids, eos
             out["n_tokens"].append(len(full))

@@ -14,8 +14,9 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from .common import as_array, fresh_path, texts_of, tidy, written
+from .common import as_array, parts_for, texts_of, tidy, written
 from .memo import json_encoder
 
 #: Fixed values of the word format: ids in a word by selector (0 and 1: runs of the id 0); 60 bits are shared out evenly.
@@ -133,24 +134,24 @@ def write_token_files(docs: DataFrame, vocabulary: str, id_col: str = "doc_id",
 
     Documents are dealt by ranges of their id, so that files follow each other in
     ascending id (ties: by text). Rows: part, seq (files of a part in order),
-    n_ids, first_doc, blob. They are Parquet rows in the shared folder, whose
+    n_ids, before (ids of the part's earlier files), first_doc, blob. They are Parquet rows in the shared folder, whose
     committer makes retried or doubled tasks harmless. Null text counts as empty:
     it holds the end id only. An empty table gives no files. A file holds at most
     ``file_ids`` ids and the rest of its last document.
     """
-    kind = "part int, seq int, n_ids long, first_doc long, blob binary"
+    kind = "part int, seq int, n_ids long, before long, first_doc long, blob binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         enc, part, seq = json_encoder(vocabulary), TaskContext.get().partitionId(), 0
-        doc_ids, rows, held = [], [], 0
+        doc_ids, rows, held, before = [], [], 0, 0
 
         def flushed():
             lengths = [len(r) for r in rows]
             blob = file_bytes(doc_ids, lengths, np.concatenate(rows))
-            cols = ([part], pa.int32()), ([seq], pa.int32()), ([sum(lengths)], pa.int64()), ([doc_ids[0]], pa.int64()), ([blob], pa.binary())
-            return pa.RecordBatch.from_arrays([as_array(*c) for c in cols], names=["part", "seq", "n_ids", "first_doc", "blob"])
+            cols = ([part], pa.int32()), ([seq], pa.int32()), ([sum(lengths)], pa.int64()), ([before], pa.int64()), ([doc_ids[0]], pa.int64()), ([blob], pa.binary())
+            return pa.RecordBatch.from_arrays([as_array(*c) for c in cols], names=["part", "seq", "n_ids", "before", "first_doc", "blob"])
 
         for batch in batches:
             for doc, text in zip(batch.column(id_col).to_pylist(), texts_of(batch, text_col), strict=True):
@@ -160,40 +161,35 @@ def write_token_files(docs: DataFrame, vocabulary: str, id_col: str = "doc_id",
                 held += len(rows[-1])
                 if held >= file_ids:
                     yield flushed()
-                    doc_ids, rows, held, seq = [], [], 0, seq + 1
+                    doc_ids, rows, held, before, seq = [], [], 0, before + held, seq + 1
         if rows:
             yield flushed()
 
-    spark = docs.sparkSession
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
-    dealt = docs.select(id_col, text_col).repartitionByRange(parts, id_col).sortWithinPartitions(id_col, text_col)
+    dealt = docs.select(id_col, text_col).repartitionByRange(parts_for(docs.select(id_col, text_col)), id_col).sortWithinPartitions(id_col, text_col)
     return written(dealt.mapInArrow(tidy(run), kind), "token-files")
 
 
 def read_token_files(files: DataFrame) -> DataFrame:
     """One row per document, from the files alone: doc_id, start, n_tokens, ids_crc32.
 
-    start counts the ids of all documents before it: a file's own start is the sum
-    over earlier files, one row for each file, which a broadcast of its size allows
-    (files hold millions of ids).
+    start counts the ids of all documents before it: a file knows those of its part, and the parts' sums (a row for each
+    partition that the driver has scheduled) are added up on the driver.
     """
-    sizes = sorted((r.part, r.seq, r.n_ids) for r in files.select("part", "seq", "n_ids").collect())
-    starts, total = {}, 0
-    for part, seq, n in sizes:
-        starts[part, seq] = total
-        total += n
-    shared = files.sparkSession.sparkContext.broadcast(starts)
+    sums = files.groupBy("part").agg(F.sum("n_ids").alias("n")).orderBy("part").toArrow()
+    part_of, n = sums.column("part").to_numpy(), sums.column("n").to_numpy()
+    shared = files.sparkSession.sparkContext.broadcast((part_of, np.cumsum(n) - n))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, starts = shared.value
         for batch in batches:
-            for part, seq, blob in zip(*(batch.column(c).to_pylist() for c in ("part", "seq", "blob")), strict=True):
+            for part, before, blob in zip(*(batch.column(c).to_pylist() for c in ("part", "before", "blob")), strict=True):
                 docs, lengths, _, words = opened(blob)
                 ids, ends = unpacked(words), np.cumsum(lengths)
                 crc = [zlib.crc32(ids[e - n : e].tobytes()) for e, n in zip(ends, lengths, strict=True)]
-                cols = docs, shared.value[part, seq] + ends - lengths, lengths, crc
+                cols = docs, int(starts[np.searchsorted(known, part)]) + before + ends - lengths, lengths, crc
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return files.select("part", "seq", "blob").mapInArrow(tidy(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.select("part", "before", "blob").mapInArrow(tidy(run), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def token_digests(docs: DataFrame, vocabulary: str, end_id: int = 0) -> DataFrame:

@@ -119,14 +119,46 @@ def test_pieces(spark, sf, edge, nothing):
 
 def test_piece_spans_are_the_librarys(edge):
     codec = piece_codec.piece_codec(PIECE)
-    for t in (r.text for r in edge.collect()):
-        if not t or len(t) > 10_000 or "▁" in t:
+    for t in [r.text for r in edge.collect()] + ["▁ a▁b ▁▁", " ▁"]:
+        if not t:
             continue
-        ids, ends = codec.encode(t)
+        ids, begins, ends = codec.encode(t)
         pieces = codec.spans_of(t)
         assert ids.tolist() == [p.id for p in pieces]
         # the library gives all bytes of a character to the last of its byte pieces
-        assert [e for e, p in zip(ends, pieces, strict=True) if not p.piece.startswith("<0x")] == [p.end for p in pieces if not p.piece.startswith("<0x")]
+        plain = [k for k, p in enumerate(pieces) if not p.piece.startswith("<0x")]
+        assert [ends[k] for k in plain] == [pieces[k].end for k in plain]
+        assert [begins[k] for k in plain if k == 0 or k - 1 in set(plain[:1]) or not pieces[k - 1].piece.startswith("<0x")] == [pieces[k].begin for k in plain if k == 0 or k - 1 in set(plain[:1]) or not pieces[k - 1].piece.startswith("<0x")]
+
+
+def mapped_model(folder, trims):
+    """The given model with the library's compiled character map in place of its empty one (nothing is trained)."""
+    from sentencepiece import sentencepiece_model_pb2
+
+    norm = sentencepiece.SentencePieceNormalizer(rule_name="nmt_nfkc")
+    rules, spec = sentencepiece_model_pb2.ModelProto(), sentencepiece_model_pb2.ModelProto()
+    rules.ParseFromString(norm.serialized_model_proto())
+    spec.ParseFromString(open(PIECE, "rb").read())
+    spec.normalizer_spec.precompiled_charsmap = rules.normalizer_spec.precompiled_charsmap
+    spec.normalizer_spec.remove_extra_whitespaces = trims
+    path = str(folder / f"mapped-{trims}.model")
+    open(path, "wb").write(spec.SerializeToString())
+    return path
+
+
+@pytest.mark.parametrize("trims", [False, True])
+def test_spans_through_a_compiled_map(spark, tmp_path, trims):
+    path = mapped_model(tmp_path, trims)
+    codec, lib = piece_codec.PieceCodec(path), sentencepiece.SentencePieceProcessor(model_file=path)
+    assert len(codec.chars.units) and not codec.local
+    rows = ["plain words", "ﬁne ＡＢＣ ①② and so on", "ｶﾞ ㍿ é Å", "tab\tnew\nline", "  two   spaces ", "½ cup ﬃ", "Ⅻ x"]
+    got = {r.doc_id: r for r in piece_codec.piece_encode(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string"), path, begin=False, end=False).collect()}
+    for i, t in enumerate(rows):
+        pieces = lib.encode(t, return_type="proto").pieces
+        assert got[i].ids == [p.id for p in pieces], t
+        plain = [k for k, p in enumerate(pieces) if not p.piece.startswith("<0x")]
+        assert [got[i].begins[k] for k in plain if k == 0 or k - 1 in plain] == [pieces[k].begin for k in plain if k == 0 or k - 1 in plain], t
+        assert [got[i].ends[k] for k in plain] == [pieces[k].end for k in plain], t
 
 
 def test_character_map_follows_the_library():
