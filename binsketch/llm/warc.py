@@ -95,13 +95,14 @@ def write_warc(pages: DataFrame, folder: str, file_bytes: int = FILE_BYTES) -> D
     attempts that Spark's committer took are returned: what a lost or doubled attempt
     leaves in the folder is never read. An empty table writes nothing.
     """
-    key = ["page_id", "url", "hex"]
+    key = ["page", "none", "url", "hex"]  # without nulls, so that the join keeps the way that html is dealt out
     body = F.coalesce(F.col("html"), F.lit(""))
-    rows = pages.select("page_id", F.coalesce(F.col("url"), F.lit("")).alias("url"), F.sha1(body.cast("binary")).alias("hex"), body.alias("html"))
+    rows = pages.select(F.coalesce(F.col("page_id"), F.lit(0)).cast("long").alias("page"), F.isnull("page_id").alias("none"), F.coalesce(F.col("url"), F.lit("")).alias("url"), F.sha1(body.cast("binary")).alias("hex"), body.alias("html"))
     slim = rows.groupBy(*key).agg(F.count(F.lit(1)).alias("n"))
-    first = slim.groupBy("hex").agg(F.max(F.struct("page_id", "url")).alias("first"), F.sum("n").alias("all")).filter("`all` > 1").select(F.col("hex").alias("of"), "first")
-    facts = slim.join(first, F.col("hex") == F.col("of"), "left").select(F.struct(*key).alias("key"), "n", "first")
-    whole = rows.groupBy(*key).agg(F.first("html").alias("html")).select(F.struct(*key).alias("key"), "html")
+    own = F.struct(F.when(~F.col("none"), F.col("page")).alias("page_id"), "url")
+    first = slim.groupBy("hex").agg(F.max(own).alias("first"), F.sum("n").alias("all")).filter("`all` > 1").select(F.col("hex").alias("of"), "first")
+    facts = slim.join(first, F.col("hex") == F.col("of"), "left").select(*key, "n", "first")
+    whole = rows.groupBy(*key).agg(F.first("html").alias("html"))
     kind = "name string, pages long, bytes long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -120,9 +121,9 @@ def write_warc(pages: DataFrame, folder: str, file_bytes: int = FILE_BYTES) -> D
         for batch in batches:
             for r in batch.to_pylist():
                 best = r["first"] and (r["first"]["page_id"], one_line(r["first"]["url"]))
-                page, url, payload = r["key"]["page_id"], one_line(r["key"]["url"]), r["html"].encode()
+                page, url, payload = None if r["none"] else r["page"], one_line(r["url"]), r["html"].encode()
                 for copy in range(r["n"]):
-                    held.append(capture(page, url, payload, r["key"]["hex"], None if not best or best == (page, url) and not copy else best, copy))
+                    held.append(capture(page, url, payload, r["hex"], None if not best or best == (page, url) and not copy else best, copy))
                     pages_in, size = pages_in + 1, size + len(held[-1])
                     if size >= file_bytes:
                         close()
@@ -130,7 +131,7 @@ def write_warc(pages: DataFrame, folder: str, file_bytes: int = FILE_BYTES) -> D
             close()
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*done, strict=True) if done else ([], [], []), (pa.string(), pa.int64(), pa.int64()), strict=True)], names=["name", "pages", "bytes"])
 
-    return written(whole.join(facts, "key").mapInArrow(tidy(run), kind), "warc-names")
+    return written(whole.join(facts, key).select(*key, "html", "n", "first").mapInArrow(tidy(run), kind), "warc-names")
 
 
 def members(archive) -> Iterator[bytes]:
