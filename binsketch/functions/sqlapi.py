@@ -1,13 +1,8 @@
-"""The methods from SQL: functions and a table function registered in a session."""
+"""The methods from SQL: functions and a table function registered in a session, all native."""
 
 from __future__ import annotations
 
-import hashlib
-import re
-from collections.abc import Iterator
-
-import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -18,26 +13,14 @@ def register(spark: SparkSession) -> None:
         "CREATE OR REPLACE TEMPORARY FUNCTION bms_bin(pos BIGINT, d BIGINT, k BIGINT) RETURNS BIGINT RETURN pos DIV (d DIV k)",
         "CREATE OR REPLACE TEMPORARY FUNCTION bms_offset(pos BIGINT, d BIGINT, k BIGINT) RETURNS BIGINT RETURN pos % (d DIV k)",
         "CREATE OR REPLACE TEMPORARY FUNCTION bms_unbiased(n_mat BIGINT, n_emp BIGINT, k BIGINT) RETURNS DOUBLE RETURN try_divide(CAST(n_mat AS DOUBLE), k - n_emp)",
+        r"""CREATE OR REPLACE TEMPORARY FUNCTION bms_words(text STRING, size BIGINT) RETURNS TABLE (word STRING, elem BIGINT)
+            RETURN SELECT w, CAST(conv(substring(md5(concat('e:', w)), 1, 7), 16, 10) AS BIGINT) % bms_words.size FROM (SELECT explode(regexp_extract_all(lower(bms_words.text), '([\\p{L}\\p{N}]+)', 1)) AS w)""",
     ):
         spark.sql(text)
-    spark.udtf.register("bms_words", F.udtf(Words, returnType="word string, elem bigint"))
-
-
-class Words:
-    """One row per word of a text, with its element id."""
 
-    def eval(self, text: str, size: int) -> Iterator[tuple[str, int]]:
-        for w in re.findall(r"[^\W_]+", (text or "").lower()):
-            yield w, int(hashlib.md5(b"e:" + w.encode()).hexdigest()[:7], 16) % size
 
-
-def sketch_agg(size: int = 1 << 24, k: int = 64):
-    """A sketch as one aggregate over positions: an array of k minima, -1 for a hole."""
+def sketch_agg(pos: str, size: int = 1 << 24, k: int = 64) -> Column:
+    """A sketch as one aggregate over positions: an array of k minima, -1 for a hole. Partial minima, no Python."""
     width = size // k
-
-    def least(pos: pd.Series) -> list[int]:
-        found = pos.groupby(pos // width).min() % width
-        return [int(found.get(j, -1)) for j in range(k)]
-
-    least.__annotations__ = {"pos": pd.Series, "return": list[int]}
-    return F.pandas_udf(least, "array<bigint>", F.PandasUDFType.GROUPED_AGG)
+    own = F.expr(f"{pos} div {width}")
+    return F.array(*[F.coalesce(F.min(F.when(own == j, F.col(pos) % F.lit(width))), F.lit(-1)) for j in range(k)])

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark import keyword_only
 from pyspark.ml import Transformer
-from pyspark.ml.linalg import SparseVector, VectorUDT
+from pyspark.ml.feature import CountVectorizerModel, Normalizer
 from pyspark.ml.param import Param, Params, TypeConverters
 from pyspark.ml.param.shared import HasInputCol, HasOutputCol
 from pyspark.ml.util import DefaultParamsReadable, DefaultParamsWritable
@@ -31,11 +31,11 @@ class BinMinTransformer(Transformer, HasInputCol, HasOutputCol, DefaultParamsRea
         k, b, size, a, shift = (self.getOrDefault(p) for p in (self.k, self.b, self.size, self.a, self.shift))
         width = size // k
 
-        @F.udf(VectorUDT())
-        def vector(values):
-            return SparseVector(k << b, values or [], [len(values) ** -0.5] * len(values) if values else [])
-
         pos = F.transform(F.coalesce(F.col(self.getInputCol()), F.array().cast("array<bigint>")), lambda e: (e * F.lit(a) + F.lit(shift)) % F.lit(size))
         least = F.aggregate(F.array_sort(pos), F.array().cast("array<bigint>"), lambda acc, p: F.when((F.size(acc) > 0) & (F.floor(F.try_element_at(acc, F.lit(-1)) / F.lit(width)) == F.floor(p / F.lit(width))), acc).otherwise(F.concat(acc, F.array(p))))
         index = F.transform(least, lambda p: (F.floor(p / F.lit(width)) * F.lit(1 << b) + F.lit((1 << b) - 1) - (p % F.lit(width)).bitwiseAND(F.lit((1 << b) - 1))).cast("int"))
-        return dataset.withColumn(self.getOutputCol(), vector(index))
+        out = self.getOutputCol()
+        names, counts = (next(f"{out}_{w}{'_' * n}" for n in range(9) if f"{out}_{w}{'_' * n}" not in dataset.columns) for w in ("names", "counts"))
+        model = CountVectorizerModel.from_vocabulary([str(i) for i in range(k << b)], names, counts)  # each name once: ones
+        coded = model.transform(dataset.withColumn(names, index.cast("array<string>")))
+        return Normalizer(p=2.0, inputCol=counts, outputCol=out).transform(coded).drop(names, counts)

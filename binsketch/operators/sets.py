@@ -37,6 +37,16 @@ def word_sets(docs: DataFrame, id_col: str, text_col: str, size: int, w: int = 1
     return docs.select(F.col(id_col).alias("set_id"), F.explode(parts).alias("word")).select("set_id", ident(F.col("word"), size).alias("elem"))
 
 
+def window_sets(docs: DataFrame, id_col: str, text_col: str, size: int, w: int, strides: tuple[int, ...], ident=digest_id) -> DataFrame:
+    """set_id, elem of windows of a text: at each stride, windows of twice so many shingles, one from each multiple on.
+
+    set_id is id * 4,000,000 + (number of the stride) * 1,000,000 + (number of the window), for texts of less than a million strides.
+    """
+    parts = docs.select(F.col(id_col).alias("id"), F.posexplode(shingles(tokens(F.col(text_col)), w)).alias("p", "word")).select("id", "p", ident(F.col("word"), size).alias("elem"))
+    number = F.array(*[F.when(F.expr(f"p div {s}") >= back, F.lit(n * 1_000_000) + F.expr(f"p div {s}") - F.lit(back)) for n, s in enumerate(strides) for back in (0, 1)])
+    return parts.select("id", "elem", F.explode(F.array_compact(number)).alias("win")).select((F.col("id") * F.lit(4_000_000) + F.col("win")).alias("set_id"), "elem")
+
+
 def html_text(html: Column) -> Column:
     """Text of a page: scripts and styles out, then tags, then entities as spaces."""
     bare = F.regexp_replace(html, r"(?is)<(script|style)[^>]*>.*?</(script|style)>", " ")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from ..functions.permute import Digest
 from ..sources.tables import table, write_rows
 from ..tables import fresh_path
 from .base import ORACLES, QUERIES, query
@@ -57,7 +58,7 @@ sql_query("op_join_broadcast", "SELECT /*+ BROADCAST(nation) */ n_name, count(*)
 sql_query("op_join_full", "SELECT count(*) AS n, count(o_orderkey) AS orders, count(c_custkey) AS customers FROM customer FULL OUTER JOIN orders ON c_custkey = o_custkey", tables=(C, O))
 sql_query("op_join_left", "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON c_custkey = o_custkey GROUP BY c_custkey", tables=(C, O))
 sql_query("op_join_semi", "SELECT c_custkey FROM customer LEFT SEMI JOIN orders ON c_custkey = o_custkey", "SELECT c_custkey FROM customer SEMI JOIN orders ON c_custkey = o_custkey", (C, O))
-sql_query("op_join_anti", "SELECT c_custkey FROM customer LEFT ANTI JOIN orders ON c_custkey = o_custkey", "SELECT c_custkey FROM customer ANTI JOIN orders ON c_custkey = o_custkey", (C, O))
+sql_query("op_join_anti", "SELECT o_orderkey FROM orders LEFT ANTI JOIN lineitem ON o_orderkey = l_orderkey AND l_returnflag = 'R'", "SELECT o_orderkey FROM orders ANTI JOIN (SELECT * FROM lineitem WHERE l_returnflag = 'R') ON o_orderkey = l_orderkey", (O, L))
 sql_query("op_join_theta", "SELECT count(*) AS n FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey", tables=(N,))
 sql_query("op_join_self", "SELECT count(*) AS n FROM supplier a JOIN supplier b ON a.s_nationkey = b.s_nationkey AND a.s_suppkey < b.s_suppkey", tables=(S,))
 sql_query("op_agg_statistics", "SELECT l_returnflag, round(avg(l_quantity), 6) AS m, round(var_pop(l_quantity), 4) AS v, round(stddev_samp(l_quantity), 4) AS s, round(covar_pop(l_quantity, l_discount), 6) AS c, round(corr(l_quantity, l_extendedprice), 6) AS r FROM lineitem GROUP BY l_returnflag", tables=(L,))
@@ -111,12 +112,13 @@ def op_join_asof(spark, sf_dir):
     return e.select("event_id", F.max(F.when(F.col("event_type") == "purchase", F.col("ts"))).over(w).alias("before"))
 
 
-@query()
+@query("SELECT CASE WHEN ('0x' || substring(md5('1:' || o_orderkey), 1, 7))::BIGINT % 100 < 80 THEN 'train' ELSE 'test' END AS part, count(*) AS n, count(DISTINCT o_custkey) AS customers, true AS near FROM orders GROUP BY 1")
 def op_sample_split(spark, sf_dir):
-    """A replayable split, and an approximate distinct count beside the exact one."""
+    """A replayable split, and whether the approximate distinct count is within a tenth of the exact one."""
     o = table(spark, sf_dir, "orders")
-    part = F.when(F.pmod(F.xxhash64("o_orderkey", F.lit(1)), F.lit(100)) < 80, "train").otherwise("test")
-    return o.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n"), F.approx_count_distinct("o_custkey").alias("customers"))
+    part = F.when(Digest(1 << 28, 1).pos(F.col("o_orderkey")) % 100 < 80, "train").otherwise("test")
+    t = o.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("o_custkey").alias("customers"), F.approx_count_distinct("o_custkey", 0.02).alias("about"))
+    return t.select("part", "n", "customers", (F.abs(F.col("about") - F.col("customers")) <= 0.1 * F.col("customers")).alias("near"))
 
 
 @query(f"SELECT doc_id AS set_id, len(regexp_extract_all(lower(text), '[\\p{{L}}\\p{{N}}]+'))::INTEGER AS words, list_sum(list_transform(regexp_extract_all(lower(text), '[\\p{{L}}\\p{{N}}]+'), lambda w: ('0x' || substring(md5('e:' || w), 1, 7))::BIGINT % 1024))::BIGINT AS total FROM documents")

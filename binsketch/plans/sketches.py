@@ -264,12 +264,51 @@ def hole_rate_by_k(spark, sf_dir):
     return out
 
 
-@query(f"WITH {WORD_SETS}, n AS (" + " UNION ALL ".join(f"SELECT {m} AS m, set_id, sum(c) AS c FROM (" + " UNION ALL ".join(f"SELECT set_id, count(DISTINCT ({Digest(D, 11 + j).sql('elem')}) * {256 // m} // {D}) AS c FROM words GROUP BY 1" for j in range(m)) + ") GROUP BY set_id" for m in (1, 2, 4)) + ") SELECT CAST(m AS INTEGER) AS m, round(avg(256 - c) / 256, 6) AS hole_rate FROM n GROUP BY m")
+MS, MK = (1, 2, 3, 4, 8), (240, 480)
+MANY = [Digest(D, 11 + j) for j in range(max(MS))]
+
+
+def _stripes_sql(m: int, k: int, source: str = "words") -> str:
+    return " UNION ALL ".join(f"SELECT set_id, {j * (k // m)} + ({MANY[j].sql('elem')}) * {k // m} // {D} AS bin, min({MANY[j].sql('elem')}) AS p FROM {source} GROUP BY 1, 2" for j in range(m))
+
+
+@query(f"WITH {WORD_SETS}, n AS (" + " UNION ALL ".join(f"SELECT {m} AS m, {k} AS k, set_id, count(*) AS c FROM ({_stripes_sql(m, k)}) GROUP BY set_id" for m in MS for k in MK) + ") SELECT CAST(m AS INTEGER) AS m, CAST(k AS INTEGER) AS k, round(avg(k - c) / k, 6) AS hole_rate FROM n GROUP BY m, k")
 def hole_rate_by_m(spark, sf_dir):
-    out = None
-    for m in (1, 2, 4):
-        h = sketch.holes(sketch.striped(doc_words(spark, sf_dir), [Digest(D, 11 + j) for j in range(m)], 256), 256).agg(F.lit(m).alias("m"), F.round(F.avg("holes") / 256, 6).alias("hole_rate"))
-        out = h if out is None else out.unionByName(h)
+    """Share of holes with m permutations of k / m bins each."""
+    from ..tables import written
+
+    words, out = written(doc_words(spark, sf_dir), "words"), None
+    for m in MS:
+        for k in MK:
+            h = sketch.holes(sketch.striped(words, MANY[:m], k), k).agg(F.lit(m).alias("m"), F.lit(k).alias("k"), F.round(F.avg("holes") / k, 6).alias("hole_rate"))
+            out = h if out is None else out.unionByName(h)
+    return out
+
+
+TRUE_PAIRS = """d0 AS (SELECT DISTINCT set_id, elem FROM sh), f0 AS (SELECT set_id, count(*) AS f FROM d0 GROUP BY 1),
+tp AS (SELECT i, j, a, x.f AS f1, y.f AS f2, a::DOUBLE / (x.f + y.f - a) AS r FROM (SELECT x.set_id AS i, y.set_id AS j, count(*) AS a FROM d0 x JOIN d0 y ON x.elem = y.elem AND x.set_id < y.set_id GROUP BY 1, 2) p JOIN f0 x ON x.set_id = i JOIN f0 y ON y.set_id = j WHERE a::DOUBLE / (x.f + y.f - a) >= 0.5)"""
+
+
+def _striped_errors_sql() -> str:
+    parts = []
+    for m in MS:
+        parts.append(f"s{m} AS MATERIALIZED ({_stripes_sql(m, 240, 'd0')}), n{m} AS (SELECT set_id, count(*) AS c FROM s{m} GROUP BY 1), m{m} AS (SELECT i, j, count(*) FILTER (x.p = y.p) AS n_mat, count(*) AS n_both FROM tp JOIN s{m} x ON x.set_id = i JOIN s{m} y ON y.set_id = j AND y.bin = x.bin GROUP BY 1, 2)")
+    rows = " UNION ALL ".join(f"SELECT {m} AS m, tp.r, coalesce(n_mat, 0)::DOUBLE / (a.c + b.c - coalesce(n_both, 0)) AS v, coalesce(n_mat, 0) / sqrt(a.c::DOUBLE * b.c) AS u FROM tp JOIN n{m} a ON a.set_id = tp.i JOIN n{m} b ON b.set_id = tp.j LEFT JOIN m{m} q ON q.i = tp.i AND q.j = tp.j" for m in MS)
+    return f"WITH {SHINGLES3}, {TRUE_PAIRS}, {', '.join(parts)}, e AS ({rows}) SELECT CAST(m AS INTEGER) AS m, count(*) AS pairs, round(avg(v - r), 6) AS bias, round(avg((v - r) * (v - r)), 6) AS mse, round(avg(u - r), 6) AS separable_bias FROM e GROUP BY 1"
+
+
+@query(_striped_errors_sql())
+def errors_by_m(spark, sf_dir):
+    """Errors of the estimators at 240 bins by m, over all pairs of documents with a resemblance of 0.5 or more."""
+    from ..tables import written
+
+    sh = written(doc_shingles(spark, sf_dir).distinct(), "shingles")
+    truth, out = written(estimate.all_pairs(sh, 0.5).select("i", "j", "r_exact"), "truth"), None
+    for m in MS:
+        t = estimate.pair_counters(written(sketch.striped(sh, MANY[:m], 240), "striped"), truth.select("i", "j"), 240).join(truth, ["i", "j"])
+        off, far = estimate.unbiased(240) - F.col("r_exact"), estimate.separable(240) - F.col("r_exact")
+        one = t.agg(F.lit(m).alias("m"), F.count(F.lit(1)).alias("pairs"), F.round(F.avg(off), 6).alias("bias"), F.round(F.avg(off * off), 6).alias("mse"), F.round(F.avg(far), 6).alias("separable_bias"))
+        out = one if out is None else out.unionByName(one)
     return out
 
 

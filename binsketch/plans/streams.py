@@ -9,8 +9,7 @@ from ..operators import lsh, sets, sketch
 from ..sources.tables import table
 from ..streaming import sketches as st
 from ..tables import fresh_path, written
-from .base import BAND, DIGEST, K, TABLES, B, D, band_sql, query, shingle_sql, sketch_sql
-from .sketches import POS
+from .base import D, band_sql, query, r6, shingle_sql, sketch_sql
 
 SIZE, BINS = 1 << 10, 16
 USER = Digest(SIZE, 41)
@@ -54,11 +53,21 @@ def stream_window_sketches(spark, sf_dir):
     return rows.groupBy(F.col("day").cast("timestamp_ntz").alias("day"), "set_id", "bin").agg(F.min("offset").alias("offset"))
 
 
-@query()
+@query(f"WITH {ELEMS}, t AS (SELECT max(ts) - INTERVAL 2 DAY AS mark FROM ev) SELECT date_trunc('day', ts) AS day, set_id, {CELL} FROM p, t WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= mark GROUP BY 1, 2, 3")
 def stream_watermarked(spark, sf_dir):
     """Windows that the watermark has closed, in append mode."""
     stream = st.events_stream(spark, _as_files(spark, sf_dir))
-    return st.drained(st.windowed_sketch(st.event_elements(stream, SIZE), USER, BINS, "1 day", watermark="2 days"), "windows")
+    rows = st.drained(st.windowed_sketch(st.event_elements(stream, SIZE), USER, BINS, "1 day", watermark="2 days"), "windows")
+    return rows.select(F.col("window_start").cast("timestamp_ntz").alias("day"), "set_id", "bin", "offset")
+
+
+@query(f"WITH {ELEMS}, b AS (SELECT ts, set_id, elem FROM ev WHERE set_id % 5 = 0), c AS (SELECT ts, set_id, elem FROM ev WHERE set_id % 5 = 1) SELECT b.set_id AS a, c.set_id AS b, count(*) AS n FROM b JOIN c ON b.elem = c.elem AND c.ts BETWEEN b.ts - INTERVAL 1 HOUR AND b.ts + INTERVAL 1 HOUR GROUP BY 1, 2")
+def stream_pairs(spark, sf_dir):
+    """Two streams of users' elements: who did the same within an hour of each other (stream-stream join)."""
+    folder = _as_files(spark, sf_dir)
+    of = lambda r: st.event_elements(st.events_stream(spark, folder), SIZE).filter(F.col("set_id") % 5 == r)
+    rows = st.drained(st.met(of(0), of(1), ["elem"], "1 hour"), "met")
+    return rows.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(f"WITH {ELEMS} SELECT set_id, CAST(count(DISTINCT pos // {SIZE // BINS}) AS INTEGER) AS filled FROM p GROUP BY 1")
@@ -78,23 +87,70 @@ def stream_deduplicated(spark, sf_dir):
 
 
 BN = shingle_sql("benchmark", "item_id", "text", 3, "bn")
-SH = shingle_sql("documents", "doc_id", "text", 3, "sh")
+#: Windows of twice so many shingles, one starting at each multiple; bins, bits and tables of their index.
+STRIDES, WK, WB = (8, 16, 32), 16, 16
+FEW = Digest(D, 7)
+WINDOWS = f"""wd AS (SELECT doc_id, regexp_extract_all(lower(text), '[\\p{{L}}\\p{{N}}]+') AS ws FROM documents),
+sp AS (SELECT doc_id, i - 1 AS p, ('0x' || substring(md5('e:' || array_to_string(ws[i:i + 2], ' ')), 1, 7))::BIGINT % {D} AS elem FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 1)) AS i FROM wd WHERE len(ws) >= 3)),
+win AS (""" + " UNION ALL ".join(f"SELECT doc_id * 4000000 + {n * 1_000_000} + p // {s} - {back} AS set_id, elem FROM sp WHERE p // {s} >= {back}" for n, s in enumerate(STRIDES) for back in (0, 1)) + ")"
+WINDEX = f"{WINDOWS}, {sketch_sql('win', FEW.sql('elem'), WK, name='wk')}, {band_sql('wk', WB, 1, 'wi')}, {BN}, {sketch_sql('bn', FEW.sql('elem'), WK, name='bk')}, {band_sql('bk', WB, 1, 'qi')}"
+HELD = f"""{WINDEX}, cand AS (SELECT DISTINCT qi.set_id AS query_id, wi.set_id // 4000000 AS set_id FROM qi JOIN wi USING (table_no, bucket)),
+b AS (SELECT DISTINCT set_id, elem FROM bn), n AS (SELECT set_id, count(*) AS f FROM b GROUP BY 1), d AS (SELECT DISTINCT doc_id, elem FROM sp),
+hit AS (SELECT query_id, cand.set_id, count(*) AS a FROM cand JOIN b ON b.set_id = query_id JOIN d ON d.doc_id = cand.set_id AND d.elem = b.elem GROUP BY 1, 2)"""
+
 
+def window_index(docs):
+    """Index rows of windows of the documents at three sizes; set_id is doc_id * 4,000,000 plus the window's number."""
+    return lsh.build_index(sketch.bin_minima(sets.window_sets(docs, "doc_id", "text", D, 3, STRIDES), FEW, WK), WB, 1, WK)
 
-@query(f"WITH {BN}, {sketch_sql('bn', POS, K, name='bk')}, {band_sql('bk', B, BAND, 'qi')}, {SH}, {sketch_sql('sh', POS, K)}, {band_sql('sk', B, BAND)} SELECT DISTINCT qi.set_id AS query_id, idx.set_id FROM qi JOIN idx USING (table_no, bucket)")
+
+@query(f"WITH {HELD} SELECT query_id, hit.set_id, round(a / f::DOUBLE, 6) AS contained FROM hit JOIN n ON n.set_id = query_id WHERE a >= 0.5 * f")
 def stream_new_points(spark, sf_dir):
-    """Benchmark items arrive as a stream; each batch is sketched and looked up in the stored index (foreachBatch, as an item's bins are grouped)."""
-    index = written(lsh.build_index(sketch.bin_minima(sets.word_sets(table(spark, sf_dir, "documents"), "doc_id", "text", D, 3), DIGEST, K), B, BAND, TABLES), "index")
+    """Benchmark items arrive as a stream; each batch is sketched and looked up in the stored index of the documents' windows
+    (an item is alike to a window that holds it, not to a long document), and what is found is counted exactly."""
+    docs = table(spark, sf_dir, "documents")
+    index = written(window_index(docs), "index")
     items, path, check = fresh_path(spark, "items"), fresh_path(spark, "found"), fresh_path(spark, "found-state")
     table(spark, sf_dir, "benchmark").select("item_id", "text").repartition(3, "item_id").write.parquet(items)
 
     def look_up(batch, n):
-        q = lsh.build_index(sketch.bin_minima(sets.word_sets(batch, "item_id", "text", D, 3), DIGEST, K), B, BAND, TABLES)
-        lsh.candidates(index, q).write.mode("overwrite").parquet(f"{path}/batch={n}")
+        shingles = written(sets.word_sets(batch, "item_id", "text", D, 3).distinct(), "item-shingles")
+        q = lsh.build_index(sketch.bin_minima(shingles, FEW, WK), WB, 1, WK)
+        found = written(st.matched(q, index).select("query_id", F.expr("set_id div 4000000").alias("set_id")).distinct(), "candidates")
+        near = docs.join(found.select(F.col("set_id").alias("doc_id")).distinct(), "doc_id", "left_semi")
+        own = sets.word_sets(near, "doc_id", "text", D, 3).distinct()
+        asked = found.join(shingles.select(F.col("set_id").alias("query_id"), "elem"), "query_id")
+        shared = asked.join(own, ["set_id", "elem"]).groupBy("query_id", "set_id").agg(F.count(F.lit(1)).alias("a"))
+        f = shingles.groupBy(F.col("set_id").alias("query_id")).agg(F.count(F.lit(1)).alias("f"))
+        shared.join(f, "query_id").filter("a >= 0.5 * f").select("query_id", "set_id", r6(F.col("a") / F.col("f"), "contained")).write.mode("overwrite").parquet(f"{path}/batch={n}")
 
     stream = spark.readStream.schema("item_id long, text string").option("maxFilesPerTrigger", 1).parquet(items)
     stream.writeStream.option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(look_up).start().awaitTermination()
-    return spark.read.schema("query_id long, set_id long").parquet(path).select("query_id", "set_id").distinct()
+    return spark.read.schema("query_id long, set_id long, contained double").parquet(path).select("query_id", "set_id", "contained")
+
+
+@query()
+def new_point_cost(spark, sf_dir):
+    """Seconds for each newly arrived document to be sketched at k = 512 and coded, by batches of a stream: one permutation and k permutations."""
+    import time
+
+    from ..functions.permute import Affine
+
+    folder = fresh_path(spark, "arrivals")
+    table(spark, sf_dir, "documents").select("doc_id", "text").repartition(3, "doc_id").write.parquet(folder)
+    many = [Affine(D, 2 * (1_000_003 * (j + 1) % (1 << 22)) + 1, 12_345 + j) for j in range(512)]
+    rows: list[tuple] = []
+    for name, of in (("one permutation", lambda w: sketch.bin_minima(w, many[0], 512)), ("k permutations", lambda w: sketch.classic(w, many))):
+
+        def step(batch, n, name=name, of=of):
+            points, t = batch.count(), time.perf_counter()
+            of(sets.word_sets(batch, "doc_id", "text", D)).select("set_id", "bin", F.col("offset").bitwiseAND(F.lit(255)).alias("code")).write.format("noop").mode("overwrite").save()
+            rows.append((name, int(n), points, time.perf_counter() - t))
+
+        stream = spark.readStream.schema("doc_id long, text string").option("maxFilesPerTrigger", 1).parquet(folder)
+        stream.writeStream.option("checkpointLocation", fresh_path(spark, "arrivals-state")).trigger(availableNow=True).foreachBatch(step).start().awaitTermination()
+    t = spark.createDataFrame(rows, "method string, batch int, points long, seconds double")
+    return t.withColumn("ms_per_point", F.try_divide(F.col("seconds") * 1000, "points"))
 
 
 @query(f"""WITH {ELEMS}, d AS (SELECT date_trunc('day', ts) AS day, CAST(pos // {SIZE // 64} AS INTEGER) AS bin, min(pos) AS p FROM p GROUP BY 1, 2), n AS (SELECT day, count(*) AS c FROM d GROUP BY 1),

@@ -57,7 +57,7 @@ def running_sketch(elements: DataFrame, permuter, k: int, ttl_ms: int | None = N
         bins, offsets, updates = state.get if state.exists else ([], [], 0)
         now = dict(zip(bins, offsets, strict=True))
         for rows in batches:
-            for b, o in zip(rows["bin"], rows["offset"], strict=True):
+            for b, o in rows.groupby("bin")["offset"].min().items():  # k at most
                 if b not in now or o < now[b]:
                     now[int(b)] = int(o)
                     updates += 1
@@ -96,3 +96,17 @@ def matched(sketches: DataFrame, index: DataFrame) -> DataFrame:
     """A stream of index rows of new sets against a stored index: stream-static join; the batch's pairs may repeat across tables."""
     q = sketches.select("table_no", "bucket", F.col("set_id").alias("query_id"))
     return q.join(index, ["table_no", "bucket"]).select("query_id", "set_id")
+
+
+def met(left: DataFrame, right: DataFrame, key: list[str], within: str = "1 day", watermark: str = "2 days") -> DataFrame:
+    """Two streams of rows (ts, set_id, key): pairs that agree on the key no more than ``within`` apart (stream-stream interval join).
+
+    State is what the watermark keeps of either side.
+    """
+    a = left.withWatermark("ts", watermark).select(F.col("ts").alias("ts_a"), F.col("set_id").alias("a"), *(F.col(c).alias(f"{c}_a") for c in key))
+    b = right.withWatermark("ts", watermark).select(F.col("ts").alias("ts_b"), F.col("set_id").alias("b"), *(F.col(c).alias(f"{c}_b") for c in key))
+    near = F.expr(f"ts_b >= ts_a - interval {within} AND ts_b <= ts_a + interval {within}")
+    same = near
+    for c in key:
+        same = same & (F.col(f"{c}_a") == F.col(f"{c}_b"))
+    return a.join(b, same).select("a", "b", "ts_a", "ts_b")
