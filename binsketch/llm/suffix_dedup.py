@@ -263,7 +263,7 @@ def block_repeats(text: np.ndarray, doc: np.ndarray, start: np.ndarray, count: n
     np.add.at(edge, first, 1)
     np.add.at(edge, first + count, -1)
     counts = np.cumsum(edge[:-1], dtype=np.int8) > 0
-    order = two_stage_order(text, words, LENGTH)
+    order = two_stage_order(text, words, LENGTH, first, first + count - 1)
     order = order[counts[order]]
     same = common_prefixes(order, text, words, LENGTH) >= LENGTH
     tied = same | np.r_[same[1:], False]

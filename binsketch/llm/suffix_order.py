@@ -62,22 +62,35 @@ def direct_order(starts: np.ndarray, words: np.ndarray, depth: int) -> np.ndarra
     return starts
 
 
-def two_stage_order(text: np.ndarray, words: np.ndarray, depth: int) -> np.ndarray:
-    """All suffixes of ``text`` in order of their first ``depth`` bytes (more where that comes by itself)."""
+def two_stage_order(text: np.ndarray, words: np.ndarray, depth: int, first: np.ndarray | None = None, last: np.ndarray | None = None) -> np.ndarray:
+    """All suffixes of ``text`` in order of their first ``depth`` bytes (more where that comes by itself).
+
+    With ``first`` and ``last``, only suffixes from each first to its last place, and those from which these are
+    induced: up to the next place whose suffix is smaller than its successor.
+    """
     n = len(text)
     if not n:
         return np.empty(0, np.int64)
     small = smaller_than_next(text)
-    direct = direct_order(np.flatnonzero(small), words, depth)
+    starts, need = np.flatnonzero(small), np.ones(n, bool)
+    if first is not None:
+        end = np.r_[starts, n - 1][np.searchsorted(starts, last)]
+        edge = np.zeros(n + 1, np.int32)
+        np.add.at(edge, first, 1)
+        np.add.at(edge, end + 1, -1)
+        need = np.cumsum(edge[:-1]) > 0
+        starts = starts[need[starts]]
+    direct = direct_order(starts, words, depth)
     bounds = np.searchsorted(text[direct], np.arange(257))
     induced: list[list[np.ndarray]] = [[] for _ in range(256)]
-    induced[text[-1]].append(np.array([n - 1]))
+    if need[-1]:
+        induced[text[-1]].append(np.array([n - 1]))
     out = []
 
     def push(placed: np.ndarray, byte: int) -> np.ndarray:
         """Hand on the predecessors of placed suffixes; those of the same bucket come back."""
         before = placed[placed > 0] - 1
-        before = before[~small[before]]
+        before = before[~small[before] & need[before]]
         first = text[before]
         other = first != byte
         for_others, keys = before[other], first[other]
@@ -97,7 +110,7 @@ def two_stage_order(text: np.ndarray, words: np.ndarray, depth: int) -> np.ndarr
         if len(own):
             out.append(own)
             push(own, byte)
-    return np.concatenate(out)
+    return np.concatenate([np.empty(0, np.int64), *out])
 
 
 def common_prefixes(order: np.ndarray, text: np.ndarray, words: np.ndarray, depth: int) -> np.ndarray:

@@ -140,6 +140,12 @@ def test_two_stage_sorting(letters):
         b = text.tobytes()
         assert sorted(order.tolist()) == list(range(n))
         assert [b[i : i + 104] for i in order] == sorted(b[i : i + 104] for i in range(n))
+        first = np.unique(r.integers(0, n, 5))
+        last = np.minimum(first + r.integers(0, 9, len(first)), n - 1)
+        wanted = {i for x, y in zip(first, last, strict=True) for i in range(x, y + 1)}
+        some = two_stage_order(text, words, 104, first, last).tolist()
+        assert len(set(some)) == len(some) and wanted <= set(some)
+        assert [b[i : i + 104] for i in some] == sorted(b[i : i + 104] for i in some)
         shared = common_prefixes(order, text, words, 104)
         for k, (x, y) in enumerate(zip(order, order[1:], strict=False), 1):
             p, q = (b + b"\0" * 120)[x : x + 104], (b + b"\0" * 120)[y : y + 104]
