@@ -87,6 +87,7 @@ def debiased_matches(b: int) -> Column:
 
 
 def union_size(f1: Column, f2: Column, r: Column) -> Column:
+    """Size of the union, from the resemblance and both sizes."""
     return (f1 + f2) / (1 + r)
 
 

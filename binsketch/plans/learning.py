@@ -134,3 +134,18 @@ def loading_times(spark, sf_dir):
     """Seconds to load the same expanded vectors from the sparse text format and from Parquet."""
     v = sketched(spark, sf_dir, 128, 8).join(labelled(spark, sf_dir), "set_id").select("label", "features")
     return load_times(spark, written(v, "vectors"), fresh_path(spark, "loads"), 128 << 8)
+
+
+@query()
+def preprocessing_ratio(spark, sf_dir):
+    """Seconds to sketch all documents at k = 512 (one permutation, four, k), to load the coded result from text and from Parquet, and their ratios."""
+    from ..functions.permute import Affine
+    from ..sources.tables import timed
+
+    words = written(doc_words(spark, sf_dir), "words")
+    many = [Affine(D, 2 * (1_000_003 * (j + 1) % (1 << 22)) + 1, 12_345 + j) for j in range(512)]
+    v = codes.to_vectors(codes.low_bits(sketch.bin_minima(words, many[0], 512), 8), 512, 8).join(labelled(spark, sf_dir), "set_id").select("label", "features")
+    load = load_times(spark, written(v, "vectors"), fresh_path(spark, "loads"), 512 << 8).first()
+    rows = [(m, p, timed(df)) for m, p, df in (("one permutation", 1, sketch.bin_minima(words, many[0], 512)), ("four permutations", 4, sketch.striped(words, many[:4], 512)), ("k permutations", 512, sketch.classic(words, many)))]
+    one = rows[0][2]
+    return spark.createDataFrame([(m, p, s, s / one, load.text_s, load.binary_s, s / load.text_s, s / load.binary_s) for m, p, s in rows], "method string, perms int, seconds double, over_one double, text_load_s double, binary_load_s double, over_text_load double, over_binary_load double")

@@ -9,7 +9,7 @@ from ..operators import estimate, linear_sketch, lsh, sets, sketch
 from ..sources.tables import table
 from ..tables import written
 from .base import BAND, DIGEST, K, TABLES, WORD_SETS, B, D, band_sql, counters_sql, doc_shingles, doc_words, exact_sql, near_sql, query, r6, shingle_sql, sketch_sql
-from .sketches import CLASSIC_SH, NEAR, POS, SHINGLES3, near_docs, shingle_sketch
+from .sketches import CLASSIC_SH, NEAR, POS, SHINGLES3, TRUE_PAIRS, near_docs, shingle_sketch
 
 INDEX = f"{SHINGLES3}, {sketch_sql('sh', POS, K)}, {band_sql('sk', B, BAND)}"
 
@@ -215,6 +215,40 @@ def random_projections(spark, sf_dir):
     return linear_sketch.projected_intersection(linear_sketch.projection_sums(doc_shingles(spark, sf_dir), PROJECTIONS), near, len(PROJECTIONS)).select("i", "j", r6("a_hat", "a_hat"))
 
 
+CK = 256
+
+
+def _comparators_sql() -> str:
+    sums = lambda value: f"SELECT set_id, ({BINS.sql('elem')}) % {CK} AS bin, sum({value})::BIGINT AS val FROM d0 GROUP BY 1, 2"
+    dot = lambda t: f"SELECT tp.i, tp.j, sum(x.val * y.val)::DOUBLE AS dot FROM tp JOIN {t} x ON x.set_id = tp.i JOIN {t} y ON y.set_id = tp.j AND y.bin = x.bin GROUP BY 1, 2"
+    return f"""WITH {SHINGLES3}, {TRUE_PAIRS}, s1 AS ({sums('1')}), s2 AS ({sums(f'1 - 2 * (({SIGNED}) % 2)')}), d1 AS ({dot('s1')}), d2 AS ({dot('s2')}),
+w AS (SELECT set_id, {', '.join(f"sum({_signed(p)})::BIGINT AS s{j}" for j, p in enumerate(PROJECTIONS))} FROM d0 GROUP BY 1),
+{sketch_sql('d0', POS, CK, name='bm')}, {counters_sql('bm', 'tp', CK)},
+e AS (SELECT 'bin sums' AS method, i, j, dot AS v FROM d1 UNION ALL SELECT 'debiased bin sums', i, j, (dot - f1 * f2 / {CK}.0::DOUBLE) * {CK} / {CK - 1} FROM d1 JOIN tp USING (i, j) UNION ALL SELECT 'signed bin sums', i, j, dot FROM d2
+ UNION ALL SELECT 'projections', tp.i, tp.j, ({' + '.join(f"x.s{j} * y.s{j}" for j in range(len(PROJECTIONS)))}) / {len(PROJECTIONS)}.0::DOUBLE FROM tp JOIN w x ON x.set_id = tp.i JOIN w y ON y.set_id = tp.j
+ UNION ALL SELECT 'bin minima', tp.i, tp.j, (n_mat::DOUBLE / ({CK} - n_emp)) * (f1 + f2) / (1 + n_mat::DOUBLE / ({CK} - n_emp)) FROM tp JOIN counters c USING (i, j))
+SELECT method, count(*) AS pairs, round(avg((v - a) / a), 5) AS bias, round(avg(((v - a) / a) * ((v - a) / a)), 5) AS mse FROM e JOIN tp USING (i, j) GROUP BY 1"""
+
+
+@query(_comparators_sql())
+def comparator_errors(spark, sf_dir):
+    """Relative bias and squared error of the intersection's size by sums of bins (plain, debiased, signed), projections and bin minima,
+    over all pairs of documents with a resemblance of 0.5 or more; 256 values a set (projections: 64)."""
+    sh = written(doc_shingles(spark, sf_dir).distinct(), "shingles")
+    truth = written(estimate.all_pairs(sh, 0.5), "truth")
+    pairs, f1, f2, a = truth.select("i", "j"), F.col("f1"), F.col("f2"), F.col("a")
+    plain = written(linear_sketch.dots(linear_sketch.bin_sums(sh, BINS, CK), pairs), "dots").join(truth, ["i", "j"])
+    signed = linear_sketch.dots(linear_sketch.signed_sums(sh, BINS, SIGNS, CK), pairs).join(truth, ["i", "j"])
+    thrown = linear_sketch.projected_intersection(linear_sketch.projection_sums(sh, PROJECTIONS), pairs, len(PROJECTIONS)).join(truth, ["i", "j"])
+    r = estimate.unbiased(CK)
+    least = estimate.pair_counters(written(sketch.bin_minima(sh, DIGEST, CK), "sketch"), pairs, CK).join(truth, ["i", "j"])
+    out = None
+    for name, rows, v in (("bin sums", plain, F.col("dot").cast("double")), ("debiased bin sums", plain, linear_sketch.debiased(F.col("dot"), f1, f2, CK)), ("signed bin sums", signed, F.col("dot").cast("double")), ("projections", thrown, F.col("a_hat")), ("bin minima", least, estimate.union_size(f1, f2, r) * r)):
+        one = rows.select(F.lit(name).alias("method"), ((v - a) / a).alias("off"))
+        out = one if out is None else out.unionByName(one)
+    return out.groupBy("method").agg(F.count(F.lit(1)).alias("pairs"), F.round(F.avg("off"), 5).alias("bias"), F.round(F.avg(F.col("off") * F.col("off")), 5).alias("mse"))
+
+
 COUNTERS = [Digest(1 << 28, 61 + j) for j in range(4)]
 CELLS = 2048
 

@@ -10,7 +10,7 @@ import pytest
 from binsketch import registry
 from binsketch.session import ship
 
-SLOW = {"accuracy_by_coding", "accuracy_by_method", "accuracy_grid", "quality_labels", "sql_learner", "loading_times", "training_times", "sketching_times", "stream_scored_points"}
+SLOW = {"accuracy_by_coding", "accuracy_by_method", "accuracy_grid", "quality_labels", "sql_learner", "loading_times", "training_times", "sketching_times", "stream_scored_points", "accuracy_news_grid", "accuracy_cost_grid", "preprocessing_ratio", "new_point_cost"}
 
 
 @pytest.fixture(scope="module")
