@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..tables import written
+
 
 def pair_resemblance(sets: DataFrame, pairs: DataFrame) -> DataFrame:
     """i, j, f1, f2, a, r_exact of given pairs; both empty: null."""
@@ -25,9 +27,10 @@ def all_pairs(sets: DataFrame, min_r: float = 0.0) -> DataFrame:
 
     With min_r above 0 the elements of a set are ranked from rare to common and
     only the first f - ceil(min_r f) + 1 join, with a bound on sizes; every
-    survivor is counted exactly. With 0 all elements join.
+    survivor is counted exactly. With 0 all elements join: the exhaustive baseline, whose
+    output is all pairs that share anything.
     """
-    own = sets.distinct()
+    own = written(sets.distinct(), "own")
     n = own.groupBy("set_id").agg(F.count(F.lit(1)).alias("f"))
     if min_r <= 0:
         x, y = own.select(F.col("set_id").alias("i"), "elem"), own.select(F.col("set_id").alias("j"), "elem")
@@ -39,7 +42,7 @@ def all_pairs(sets: DataFrame, min_r: float = 0.0) -> DataFrame:
     ranked = ranked.select("set_id", F.size("e").alias("f"), F.transform("e", lambda s: s["elem"]).alias("e"))
     head = ranked.select("set_id", "f", F.explode(F.slice("e", F.lit(1), (F.col("f") - F.ceil(F.lit(min_r) * F.col("f") - 1e-9) + 1).cast("int"))).alias("elem"))
     x, y = (head.select(F.col("set_id").alias(s), F.col("f").alias(f"f{s}"), "elem") for s in "ij")
-    pairs = x.join(y, "elem").filter((F.col("i") < F.col("j")) & (F.least("fi", "fj") >= F.lit(min_r) * F.greatest("fi", "fj"))).select("i", "j").distinct()
+    pairs = written(x.join(y, "elem").filter((F.col("i") < F.col("j")) & (F.least("fi", "fj") >= F.lit(min_r) * F.greatest("fi", "fj"))).select("i", "j").distinct(), "prefix-pairs")
     return pair_resemblance(own, pairs).filter(F.col("r_exact") >= min_r)
 
 

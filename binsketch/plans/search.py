@@ -44,8 +44,8 @@ def lsh_near_pairs(spark, sf_dir):
 
 @query(f"WITH {NEAR}, {exact_sql('sh', 'near')}, e AS (SELECT i, j FROM ex WHERE r_exact >= 0.5) SELECT count(*) AS pairs, count(DISTINCT i) AS heads FROM e")
 def lsh_verified_pairs(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    e = estimate.pair_resemblance(doc_shingles(spark, sf_dir), near).filter("r_exact >= 0.5")
+    _, near, sh = near_docs(spark, sf_dir)
+    e = estimate.pair_resemblance(sh, near).filter("r_exact >= 0.5")
     return e.agg(F.count(F.lit(1)).alias("pairs"), F.countDistinct("i").alias("heads"))
 
 
@@ -68,14 +68,14 @@ def exact_pairs_parts(spark, sf_dir):
 
 @query(f"WITH {NEAR}, {TRUTH.format(s='sh')}, t AS (SELECT i, j FROM truth WHERE r >= 0.8), h AS (SELECT t.* FROM t JOIN near USING (i, j)) SELECT (SELECT count(*) FROM t) AS n_true, (SELECT count(*) FROM near) AS n_found, (SELECT count(*) FROM h) AS hits, round((SELECT count(*) FROM h)::DOUBLE / (SELECT count(*) FROM t), 6) AS recall, round((SELECT count(*) FROM h)::DOUBLE / (SELECT count(*) FROM near), 6) AS precision")
 def lsh_recall(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    t = lsh.recall(estimate.all_pairs(doc_shingles(spark, sf_dir), 0.8), near)
+    _, near, sh = near_docs(spark, sf_dir)
+    t = lsh.recall(estimate.all_pairs(sh, 0.8), near)
     return t.select("n_true", "n_found", "hits", r6("recall", "recall"), r6("precision", "precision"))
 
 
 @query(f"WITH {NEAR}, {counters_sql('sk', 'near', K)}, s AS (SELECT i AS query_id, j AS set_id, round(n_mat::DOUBLE / nullif({K} - n_emp, 0), 6) AS score FROM counters UNION ALL SELECT j, i, round(n_mat::DOUBLE / nullif({K} - n_emp, 0), 6) FROM counters), r AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, set_id) AS INTEGER) AS rank FROM s) SELECT * FROM r WHERE rank <= 5")
 def lsh_top5(spark, sf_dir):
-    sk, near = near_docs(spark, sf_dir)
+    sk, near, _ = near_docs(spark, sf_dir)
     c = estimate.pair_counters(sk, near, K).select("i", "j", r6(estimate.unbiased(K), "score"))
     both = c.select(F.col("i").alias("query_id"), F.col("j").alias("set_id"), "score").union(c.select("j", "i", "score"))
     return lsh.top_k(both, 5).select("query_id", "set_id", "score", F.col("rank").cast("int").alias("rank"))
@@ -184,22 +184,21 @@ NEAR_ONLY = f"near AS MATERIALIZED (WITH {NEAR} SELECT * FROM near), {SHINGLES3}
 
 @query(f"WITH {NEAR_ONLY}, {_sums_sql('1')} SELECT * FROM dots")
 def binsum_dot(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    return linear_sketch.dots(linear_sketch.bin_sums(doc_shingles(spark, sf_dir), BINS, 256), near)
+    _, near, sh = near_docs(spark, sf_dir)
+    return linear_sketch.dots(linear_sketch.bin_sums(sh, BINS, 256), near)
 
 
 @query(f"WITH {NEAR_ONLY}, {_sums_sql('1')}, {exact_sql('sh', 'near')} SELECT ex.i, ex.j, a, round((dot - f1 * f2 / 256.0::DOUBLE) * 256 / 255, 4) AS a_hat FROM dots JOIN ex USING (i, j)")
 def debiased_dot(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    sh = doc_shingles(spark, sf_dir)
+    _, near, sh = near_docs(spark, sf_dir)
     t = linear_sketch.dots(linear_sketch.bin_sums(sh, BINS, 256), near).join(estimate.pair_resemblance(sh, near), ["i", "j"])
     return t.select("i", "j", "a", F.round(linear_sketch.debiased(F.col("dot"), F.col("f1"), F.col("f2"), 256), 4).alias("a_hat"))
 
 
 @query(f"WITH {NEAR_ONLY}, {_sums_sql(f'1 - 2 * (({SIGNED}) % 2)')} SELECT * FROM dots")
 def signed_dot(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    return linear_sketch.dots(linear_sketch.signed_sums(doc_shingles(spark, sf_dir), BINS, SIGNS, 256), near)
+    _, near, sh = near_docs(spark, sf_dir)
+    return linear_sketch.dots(linear_sketch.signed_sums(sh, BINS, SIGNS, 256), near)
 
 
 PROJECTIONS = [Affine(D, 2 * (7_919 * (j + 3)) + 1, 104_729 * (j + 1) % D) for j in range(64)]
@@ -211,8 +210,8 @@ def _signed(p: Affine) -> str:
 
 @query(f"WITH {NEAR_ONLY}, s0 AS (SELECT DISTINCT set_id, elem FROM sh), w AS (SELECT set_id, " + ", ".join(f"sum({_signed(p)})::BIGINT AS s{j}" for j, p in enumerate(PROJECTIONS)) + " FROM s0 GROUP BY 1) SELECT near.i, near.j, round((" + " + ".join(f"x.s{j} * y.s{j}" for j in range(len(PROJECTIONS))) + f") / {len(PROJECTIONS)}.0::DOUBLE, 6) AS a_hat FROM near JOIN w x ON x.set_id = near.i JOIN w y ON y.set_id = near.j")
 def random_projections(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    return linear_sketch.projected_intersection(linear_sketch.projection_sums(doc_shingles(spark, sf_dir), PROJECTIONS), near, len(PROJECTIONS)).select("i", "j", r6("a_hat", "a_hat"))
+    _, near, sh = near_docs(spark, sf_dir)
+    return linear_sketch.projected_intersection(linear_sketch.projection_sums(sh, PROJECTIONS), near, len(PROJECTIONS)).select("i", "j", r6("a_hat", "a_hat"))
 
 
 CK = 256

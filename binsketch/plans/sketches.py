@@ -29,12 +29,13 @@ def shingle_sketch(spark: SparkSession, sf_dir: str, k: int = K) -> DataFrame:
     return sketch.bin_minima(doc_shingles(spark, sf_dir), DIGEST, k)
 
 
-def near_docs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    """The sketch, and the pairs that share a bucket."""
+def near_docs(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The sketch, the pairs that share a bucket, and the distinct shingles, each written once."""
     from ..tables import written
 
-    sk = written(shingle_sketch(spark, sf_dir), "sketch")
-    return sk, written(lsh.near_pairs(lsh.build_index(sk, B, BAND, TABLES)), "near")
+    sh = written(doc_shingles(spark, sf_dir).distinct(), "shingles")
+    sk = written(sketch.bin_minima(sh, DIGEST, K), "sketch")
+    return sk, written(lsh.near_pairs(lsh.build_index(sk, B, BAND, TABLES)), "near"), sh
 
 
 @query(f"WITH {WORD_SETS} SELECT set_id, count(DISTINCT elem) AS f FROM words GROUP BY 1")
@@ -140,20 +141,20 @@ def row_local_sketch(spark, sf_dir):
 
 @query(f"WITH {NEAR}, {counters_sql('sk', 'near', K)} SELECT * FROM counters")
 def pair_counters_docs(spark, sf_dir):
-    sk, near = near_docs(spark, sf_dir)
+    sk, near, _ = near_docs(spark, sf_dir)
     return estimate.pair_counters(sk, near, K)
 
 
 @query(f"WITH {NEAR}, {counters_sql('sk', 'near', K)}, {exact_sql('sh', 'near')} SELECT c.i, c.j, round(n_mat::DOUBLE / nullif({K} - n_emp, 0), 6) AS r_unbiased, round(r_exact, 6) AS r_exact FROM counters c JOIN ex ON ex.i = c.i AND ex.j = c.j")
 def unbiased_estimates(spark, sf_dir):
-    sk, near = near_docs(spark, sf_dir)
-    exact = estimate.pair_resemblance(doc_shingles(spark, sf_dir), near)
+    sk, near, sh = near_docs(spark, sf_dir)
+    exact = estimate.pair_resemblance(sh, near)
     return estimate.pair_counters(sk, near, K).join(exact, ["i", "j"]).select("i", "j", r6(estimate.unbiased(K), "r_unbiased"), r6("r_exact", "r_exact"))
 
 
 @query(f"WITH {NEAR}, {counters_sql('sk', 'near', K)} SELECT i, j, round(n_mat / sqrt(({K} - n_emp_i)::DOUBLE * ({K} - n_emp_j)), 6) AS r_separable FROM counters")
 def separable_estimates(spark, sf_dir):
-    sk, near = near_docs(spark, sf_dir)
+    sk, near, _ = near_docs(spark, sf_dir)
     return estimate.pair_counters(sk, near, K).select("i", "j", r6(estimate.separable(K), "r_separable"))
 
 
@@ -164,7 +165,7 @@ NOISE = "(('0x' || substring(md5('n9:' || g.set_id || ':' || g.bin), 1, 7))::BIG
 nz AS (SELECT g.set_id, CAST(g.bin AS INTEGER) AS bin, coalesce(sk."offset" & 255, {NOISE.format(m=255)}) AS code FROM g LEFT JOIN sk ON sk.set_id = g.set_id AND sk.bin = g.bin)
 SELECT near.i, near.j, round(count(*) FILTER (x.code = y.code) / {K}.0::DOUBLE, 6) AS r_noise FROM near JOIN nz x ON x.set_id = near.i JOIN nz y ON y.set_id = near.j AND y.bin = x.bin GROUP BY 1, 2""")
 def noise_estimates(spark, sf_dir):
-    sk, near = near_docs(spark, sf_dir)
+    sk, near, _ = near_docs(spark, sf_dir)
     filled = codes.noise(codes.low_bits(sk, 8), K, 8, 9, portable=True)
     return estimate.pair_counters(filled, near, K, "code").select("i", "j", r6(estimate.over_k(K), "r_noise"))
 
@@ -174,13 +175,13 @@ CLASSIC_SH = "cl AS (" + "SELECT set_id, CAST(bin AS INTEGER) AS bin, min(p) AS
 
 @query(f"WITH {NEAR}, {CLASSIC_SH} SELECT near.i, near.j, round(count(*) FILTER (x.\"offset\" = y.\"offset\") / 16.0::DOUBLE, 6) AS r_classic FROM near JOIN cl x ON x.set_id = near.i JOIN cl y ON y.set_id = near.j AND y.bin = x.bin GROUP BY 1, 2")
 def classic_estimates(spark, sf_dir):
-    _, near = near_docs(spark, sf_dir)
-    return estimate.classic(sketch.classic(doc_shingles(spark, sf_dir), CLASSIC), near, len(CLASSIC)).select("i", "j", r6("r_classic", "r_classic"))
+    _, near, sh = near_docs(spark, sf_dir)
+    return estimate.classic(sketch.classic(sh, CLASSIC), near, len(CLASSIC)).select("i", "j", r6("r_classic", "r_classic"))
 
 
 @query(f"WITH {NEAR}, c AS (SELECT set_id, bin, \"offset\" & 3 AS \"offset\" FROM sk), {counters_sql('c', 'near', K)} SELECT i, j, round((n_mat - 0.25 * n_both) / 0.75, 6) AS n_mat_hat FROM counters")
 def debiased_bits(spark, sf_dir):
-    sk, near = near_docs(spark, sf_dir)
+    sk, near, _ = near_docs(spark, sf_dir)
     return estimate.pair_counters(codes.low_bits(sk, 2), near, K, "code").select("i", "j", r6(estimate.debiased_matches(2), "n_mat_hat"))
 
 
@@ -189,8 +190,8 @@ h AS (SELECT i, j, r, 1.96 * sqrt(r * (1 - r) / n * greatest((f - n) / greatest(
 def hypergeom_interval(spark, sf_dir):
     from ..functions.theory import interval
 
-    sk, near = near_docs(spark, sf_dir)
-    exact = estimate.pair_resemblance(doc_shingles(spark, sf_dir), near)
+    sk, near, sh = near_docs(spark, sf_dir)
+    exact = estimate.pair_resemblance(sh, near)
     t = estimate.pair_counters(sk, near, K).join(exact, ["i", "j"]).withColumn("f", (F.col("f1") + F.col("f2") - F.col("a")).cast("double"))
     low, high = interval(F.col("n_mat").cast("double"), (F.lit(K) - F.col("n_emp")).cast("double"), F.col("f"))
     return t.select("i", "j", r6(low, "low"), r6(high, "high"))
@@ -237,7 +238,7 @@ def expanded_nnz(spark, sf_dir):
 @query(f"WITH {NEAR} SELECT near.i, near.j, count(*) AS dot FROM near JOIN sk x ON x.set_id = near.i JOIN sk y ON y.set_id = near.j AND y.bin = x.bin AND y.\"offset\" = x.\"offset\" GROUP BY 1, 2")
 def onehot_dot(spark, sf_dir):
     """Matches as inner products of one-hot minima."""
-    sk, near = near_docs(spark, sf_dir)
+    sk, near, _ = near_docs(spark, sf_dir)
     full = codes.onehot_full(sk, D // K)
     x = near.join(full.select(F.col("set_id").alias("i"), "idx"), "i")
     return x.join(full.select(F.col("set_id").alias("j"), "idx"), ["j", "idx"]).groupBy("i", "j").agg(F.count(F.lit(1)).alias("dot"))

@@ -6,6 +6,7 @@ import atexit
 import contextlib
 import shutil
 import tempfile
+import threading
 import uuid
 from collections.abc import Iterator
 
@@ -33,21 +34,51 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def fresh_path(spark: SparkSession, what: str) -> str:
-    return f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
+    """A new place in this application's part of the shared folder."""
+    return f"{shared_dir(spark)}/binsketch-{spark.sparkContext.applicationId}/{what}-{uuid.uuid4().hex}"
 
 
 def written(df: DataFrame, what: str) -> DataFrame:
-    """Cut lineage: the rows as a table in the shared folder, read again."""
+    """Cut lineage: the rows as a table in the shared folder, read again.
+
+    It goes with the ``scratch`` block that this thread is in, else when the application ends.
+    """
     spark = df.sparkSession
     path = fresh_path(spark, what)
     df.write.parquet(path)
-    if _open:
-        _open[-1].paths.append(path)
+    blocks = _blocks()
+    if blocks:
+        blocks[-1].paths.append(path)
+    else:
+        _last(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out._written_at = path
     return out
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+_ends: set[str] = set()
+
+
+def _last(spark: SparkSession) -> None:
+    """What outlives all blocks goes at the end of the process, if the session is still there."""
+    folder = f"{shared_dir(spark)}/binsketch-{spark.sparkContext.applicationId}"
+    if folder in _ends:
+        return
+    _ends.add(folder)
+
+    def end() -> None:
+        with contextlib.suppress(Exception):
+            if spark.sparkContext._jsc is not None:
+                remove(spark, folder)
+
+    atexit.register(end)
+
+
 class Scratch:
     """Tables written within a ``scratch`` block; all but those of ``keep`` go at its end."""
 
@@ -57,24 +88,32 @@ class Scratch:
     def keep(self, df: DataFrame) -> DataFrame:
         """A table made by ``written``: it belongs to the block around this one."""
         self.paths.remove(df._written_at)
-        if len(_open) > 1:
-            _open[-2].paths.append(df._written_at)
+        blocks = _blocks()
+        if len(blocks) > 1:
+            blocks[-2].paths.append(df._written_at)
+        else:
+            _last(df.sparkSession)
         return df
 
 
-_open: list[Scratch] = []
+_local = threading.local()
+
+
+def _blocks() -> list[Scratch]:
+    """The open blocks of this thread: queries that run beside each other don't touch each other's tables."""
+    if not hasattr(_local, "blocks"):
+        _local.blocks = []
+    return _local.blocks
 
 
 @contextlib.contextmanager
 def scratch(spark: SparkSession) -> Iterator[Scratch]:
     """Intermediate tables take room in the shared folder only until their consumers are written."""
     own = Scratch()
-    _open.append(own)
+    _blocks().append(own)
     try:
         yield own
     finally:
-        _open.pop()
-        conf = spark.sparkContext._jsc.hadoopConfiguration()
+        _blocks().remove(own)
         for path in own.paths:
-            at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(conf).delete(at, True)
+            remove(spark, path)
