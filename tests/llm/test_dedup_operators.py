@@ -338,3 +338,23 @@ def test_pipeline_stages(spark, sf):
             assert {i for i in texts if want[i][1] < want[i][0] or not texts[i]} == set(after)
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, sf)
     assert {r.doc_id for r in packed.select("doc_id").collect()} == {r.doc_id for r in docs.select("doc_id").collect()}
+
+
+def test_stages_take_odd_rows(spark, sf, edge, nothing):
+    """Nulls in any column, empty and long texts, ties, repeated rows and ids, extra columns with clashing names, an empty table."""
+    import corpus_pipeline
+    from binsketch.llm.common import written
+
+    extra = {c: F.lit(c) for c in ("quality", "toxic", "p_quality", "keep_", "_host", "_path", "host", "path", "component_id", "copy_of", "sha", "spans", "_spans", "start", "end", "rep", "hash", "c0", "no", "terms")}
+    odd = edge.union(edge.filter("doc_id in (5, 11)")).union(edge.filter("doc_id = 7").withColumn("doc_id", F.lit(None).cast("long"))).withColumns(extra)
+    docs = written(odd, "odd")
+    for name, stage in corpus_pipeline.STAGES:
+        after = written(stage(spark, docs, sf), name)
+        if name == "packing":
+            assert after.filter("length <= 0").count() == 0 and {r.doc_id for r in after.collect()} == {r.doc_id for r in docs.collect()}
+        else:
+            assert after.columns == docs.columns and {tuple(r[c] for c in extra) for r in after.collect()} <= {tuple(extra)}
+        assert stage(spark, docs.limit(0), sf).count() == 0
+        if name != "quality":  # a few odd rows are no corpus to judge
+            docs = after if name != "packing" else docs
+    assert stage(spark, nothing, sf).count() == 0
