@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.permute import Affine, Digest
+from ..functions.permute import Affine, Digest, Universal
 from ..operators import sets
 from ..sources.tables import table
 
@@ -30,7 +30,7 @@ D = 1 << 24
 AFFINE = Affine(D, 1140671485, 12820163)
 DIGEST = Digest(D, 7)
 STRIPES = [Digest(D, 11), Digest(D, 12), Digest(D, 13)]
-CLASSIC = [Digest(D, 100 + j) for j in range(16)]
+CLASSIC = [Universal(D, 15_485_863 * (j + 1) % 2_147_483_647, 32_452_843 * (j + 7) % 2_147_483_647) for j in range(16)]
 K, B, BAND, TABLES = 128, 4, 4, 32
 
 _WORDS = r"regexp_extract_all(lower(text), '[\p{L}\p{N}]+')"
