@@ -49,12 +49,6 @@ def empty_share_sparse(k: int, f: int) -> float:
     return (1 - 1 / k) ** f
 
 
-def empty_var_sparse(k: int, f: int) -> float:
-    """Variance of the share of holes for f far below D: what independent draws give."""
-    p1, p2 = (1 - 1 / k) ** f, (1 - 2 / k) ** f
-    return p1 * (1 - p1) / k - (1 - 1 / k) * (p1 * p1 - p2)
-
-
 def empty_pmf(d: int, k: int, f: int) -> list[Fraction]:
     """P(j holes) for j = 0..k, exactly, by inclusion and exclusion over further bins (small k)."""
     w, total = d // k, math.comb(d, f)

@@ -48,12 +48,6 @@ def onehot_full(sketch: DataFrame, width: int) -> DataFrame:
     return sketch.select("set_id", (F.col("bin").cast("long") * F.lit(width) + F.col("offset")).alias("idx"))
 
 
-def dot(a: DataFrame, b: DataFrame) -> DataFrame:
-    """i, j, dot of expanded rows, for all pairs that share a place (by an equi-join on it)."""
-    left, right = a.select(F.col("set_id").alias("i"), "idx", F.col("val").alias("x")), b.select(F.col("set_id").alias("j"), "idx", F.col("val").alias("y"))
-    return left.join(right, "idx").groupBy("i", "j").agg(F.sum(F.col("x") * F.col("y")).alias("dot"))
-
-
 def to_vectors(coded: DataFrame, k: int, b: int) -> DataFrame:
     """set_id, features: sparse vectors of 2^b * k, unit length, so that nonempty blocks weigh 1 / sqrt(k - holes).
 

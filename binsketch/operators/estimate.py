@@ -92,8 +92,3 @@ def debiased_matches(b: int) -> Column:
 def union_size(f1: Column, f2: Column, r: Column) -> Column:
     """Size of the union, from the resemblance and both sizes."""
     return (f1 + f2) / (1 + r)
-
-
-def containment(f1: Column, f2: Column, r: Column) -> Column:
-    """Share of the first set that lies in the second, from the resemblance and both sizes."""
-    return F.try_divide(r * (f1 + f2), (1 + r) * f1)

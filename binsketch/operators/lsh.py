@@ -52,9 +52,10 @@ def skipped_share(index: DataFrame, sketch: DataFrame, L: int) -> DataFrame:
     return index.agg(F.count(F.lit(1)).alias("used")).crossJoin(n).select((1 - F.try_divide("used", "places")).alias("skipped"))
 
 
-def write_index(index: DataFrame, table: str, buckets: int = 64) -> None:
-    """A bucketed table: later joins on (table_no, bucket) need no exchange of it."""
-    index.write.bucketBy(buckets, "table_no", "bucket").sortBy("table_no", "bucket").mode("overwrite").saveAsTable(table)
+def write_index(index: DataFrame, path: str) -> DataFrame:
+    """The index as a folder for each table, sorted by bucket, and read again: a query of some tables reads only their folders."""
+    index.repartition("table_no", F.col("bucket") % 16).sortWithinPartitions("table_no", "bucket").write.partitionBy("table_no").parquet(path)
+    return index.sparkSession.read.schema(index.schema).parquet(path).select(*index.columns)
 
 
 def candidates(index: DataFrame, queries: DataFrame) -> DataFrame:

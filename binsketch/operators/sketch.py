@@ -55,7 +55,7 @@ def ragged_bounds(size: int, k: int, seed: int) -> list[int]:
 
 
 def ragged(sets: DataFrame, permuter, bounds: list[int]) -> DataFrame:
-    """Bins of given starts (ascending): a binary search in an array of k bounds, no join."""
+    """Bins of given starts (ascending): counted off an array of k bounds that rides in the plan, no join."""
     starts = F.array(*[F.lit(int(b)) for b in bounds])
     p = sets.select("set_id", permuter.pos(F.col("elem")).alias("pos"))
     # the last start that is not above the position; empty bins share a start and the last of them wins

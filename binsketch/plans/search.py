@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ..functions.permute import Affine, Digest
 from ..operators import estimate, linear_sketch, lsh, sets, sketch
 from ..sources.tables import table
-from ..tables import written
+from ..tables import fresh_path, written
 from .base import BAND, DIGEST, K, TABLES, WORD_SETS, B, D, band_sql, counters_sql, doc_shingles, doc_words, exact_sql, near_sql, query, r6, shingle_sql, sketch_sql
 from .sketches import CLASSIC_SH, NEAR, POS, SHINGLES3, TRUE_PAIRS, near_docs, shingle_sketch
 
@@ -37,6 +37,13 @@ def lsh_candidates(spark, sf_dir):
     return lsh.candidates(index, index.filter("set_id % 10 = 0"))
 
 
+@query(f"WITH {INDEX}, q AS (SELECT * FROM idx WHERE set_id % 100 = 0) SELECT DISTINCT q.set_id AS query_id, idx.set_id FROM q JOIN idx USING (table_no, bucket) WHERE table_no < 8")
+def lsh_stored_index(spark, sf_dir):
+    """A stored index, a folder for each table: eight of them are asked, and only those are read."""
+    index = lsh.write_index(doc_index(spark, sf_dir), fresh_path(spark, "stored-index")).filter("table_no < 8")
+    return lsh.candidates(index, index.filter("set_id % 100 = 0"))
+
+
 @query(f"WITH {NEAR} SELECT * FROM near")
 def lsh_near_pairs(spark, sf_dir):
     return near_docs(spark, sf_dir)[1]

@@ -37,11 +37,6 @@ def load_times(spark: SparkSession, vectors: DataFrame, folder: str, dims: int)
     return spark.createDataFrame([(text, binary)], "text_s double, binary_s double")
 
 
-def write_sketch(packed: DataFrame, path: str) -> None:
-    """Packed sketches, one row a set, ready for row-local comparison."""
-    packed.write.mode("overwrite").parquet(path)
-
-
 def write_rows(df: DataFrame, path: str, kind: str = "parquet", by: list[str] | None = None) -> None:
     w = df.write.mode("overwrite").format(kind)
     (w.partitionBy(*by) if by else w).save(path)
