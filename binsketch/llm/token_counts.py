@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import functools
-
 import regex
 from pyspark.sql import DataFrame
 
@@ -41,7 +39,8 @@ class TokenCounter:
                 self[chunk] = n
             return n
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, whole: frozenset[str] | None = None):
+        """``whole`` is what ``whole_tokens`` has proved, if that was done before."""
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -50,7 +49,7 @@ class TokenCounter:
         self.tok = Tokenizer.from_file(path)
         self.tok.no_truncation()
         self.tok.no_padding()
-        self.whole, self.split = whole_tokens(path), regex.compile(SPLIT)
+        self.whole, self.split = whole_tokens(path) if whole is None else whole, regex.compile(SPLIT)
         self.added = [t.content for t in self.tok.get_added_tokens_decoder().values()]
         self.first, self.rest = self.Chunks(self, ""), self.Chunks(self, " ")
         ranks = json_encoder(path)
@@ -88,9 +87,14 @@ class PieceCounter:
         return len(self.codec.encode(text)[0])
 
 
-@functools.lru_cache(maxsize=4)
-def counter(path: str) -> TokenCounter | PieceCounter:
-    return PieceCounter(path) if path.endswith(".model") else TokenCounter(path)
+_counters: dict[str, TokenCounter | PieceCounter] = {}
+
+
+def counter(path: str, whole: frozenset[str] | None = None) -> TokenCounter | PieceCounter:
+    """One for each worker process and file."""
+    if path not in _counters:
+        _counters[path] = PieceCounter(path) if path.endswith(".model") else TokenCounter(path, whole)
+    return _counters[path]
 
 
 def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", limit: int = 1024) -> DataFrame:
@@ -98,11 +102,13 @@ def token_counts(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
 
     Null or empty text: 0 bytes, 0 tokens. Repeated ids or rows: one row for each.
     Other columns are ignored. An empty table gives no rows. No exchange: each
-    scan task counts its own texts.
+    scan task counts its own texts. Which strings are one token is proved once, on the
+    driver, and broadcast (as many strings as the vocabulary has at most).
     """
+    proved = docs.sparkSession.sparkContext.broadcast(None if path.endswith(".model") else whole_tokens(path))
 
     def run(batch):
-        c, texts = counter(path), texts_of(batch, text_col)
+        c, texts = counter(path, proved.value), texts_of(batch, text_col)
         n = [c.count(t) for t in texts]
         yield {id_col: batch.column(id_col), "n_bytes": [len(t.encode()) for t in texts], "n_tokens": n, "over_limit": [x > limit for x in n]}
 
