@@ -28,6 +28,7 @@ PLAIN = regex.compile(r"[\x00-\x7e\xa1-ȳΑ-ΡΣ-ώА-я‐-‧‰-⁞ぁ-ゖァ
 PLAIN_LATIN = re.compile(r"[\t\n\r\x20-\x7e\xa1-ÿĀ-įĲ-ȳ]*+")
 
 MOST_ENTRIES, MOST_CHARS = 350_000, 64
+WORDS_KEPT = 150_000  # of each of two generations
 
 
 class ChunkMemo(dict):
@@ -149,7 +150,7 @@ class WordEncoder(JsonEncoder):
     def kept(self, chunk: str, found: bytes) -> bytes:
         """Remembered; when the memory is full, what was used since the last time stays."""
         if len(chunk) <= MOST_CHARS:
-            if len(self.memo) >= MOST_ENTRIES:
+            if len(self.memo) >= WORDS_KEPT:
                 self.older = dict(self.memo)
                 self.memo.clear()
             self.memo[chunk] = found
