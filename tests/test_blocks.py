@@ -55,3 +55,11 @@ def test_pairs_pass_no_exchange(spark, sf, name):
     ship(spark)
     plan = registry.queries()[name](spark, sf).select(F.col("i"))._jdf.queryExecution().executedPlan().toString()
     assert "Join" not in plan and "Exchange" not in plan
+
+
+@pytest.mark.parametrize("name", ["supp_similar", "part_similar", "cust_similar"])
+def test_similar_sets_join_no_pairs(spark, sf, name):
+    """What follows the pairs is the ranking's one exchange."""
+    ship(spark)
+    plan = registry.queries()[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and plan.count("Exchange") == 1
