@@ -100,3 +100,45 @@ def test_new_points_find_what_is_contained(spark, sf):
     found = {(r.query_id, r.set_id): r.contained for r in registry.queries()["stream_new_points"](spark, sf).collect()}
     truth = {(r.item_id, r.doc_id): r.contained for r in search.contamination_bench(spark, sf).collect()}
     assert truth and set(found) <= set(truth) and len(found) >= 0.9 * len(truth) and all(truth[k] == v for k, v in found.items())
+
+
+@pytest.mark.parametrize("b", [1, 2, 4, 6, 8])
+def test_dense_rows_equal_sparse_ones(b):
+    """Bins that share a byte give the margins and gradients of single ones."""
+    r = np.random.default_rng(b)
+    code = r.integers(0, 256, (50, 24), dtype=np.uint8)
+    x, y = cells.design(code, np.ones((50, 24), bool), b), cells.Dense(np.ascontiguousarray(code.T), b)
+    w, g = r.normal(size=24 << b), r.normal(size=50)
+    assert x.dims == y.dims and np.allclose(x.margins(w), y.margins(w)) and np.allclose(x.back(g), y.back(g))
+    wide = cells.design(code, r.random((50, 24)) < 0.3, 8)
+    assert np.array_equal(wide.masked(b).index, wide.index >> 8 << b | (wide.index & 255) & ((1 << b) - 1)) and wide.masked(b).dims == 24 << b
+
+
+def test_cells_read_a_part_of_the_rows_at_a_time(spark, words, monkeypatch):
+    """Stored codes give the designs of collected ones; nothing but labels is broadcast."""
+    from binsketch.tables import written
+
+    packed = codes.to_binary(codes.low_bits(sketch.bin_minima(words, Feistel(24, 1), 512), 8), 512, 8).select("set_id", "codes", "holes")
+    top, part = cells.collected(packed, 512), cells.Stored.of(written(packed, "packed"), 512)
+    monkeypatch.setattr(cells, "READ", 7)
+    assert np.array_equal(part.ids(), top.ids)
+    want, got = cells.design(*top.at(64, True), 8), cells.blank_design(part, 64, True, top.ids)
+    order = np.lexsort((got.index, got.row))
+    assert np.array_equal(got.index[order], want.index[np.lexsort((want.index, want.row))]) and np.allclose(got.scale, want.scale) and got.index.dtype == np.int32
+    code, filled = top.at(64, True)
+    drawn = cells.filled_columns(part, 64, True, top.ids, np.random.default_rng(1))
+    assert drawn.dtype == np.uint8 and np.array_equal(drawn[filled], code[filled])
+    sent = []
+    context = type(spark.sparkContext)
+    broadcast = context.broadcast
+    monkeypatch.setattr(context, "broadcast", lambda self, value: sent.append(value) or broadcast(self, value))
+    t = cells.run_cells(spark, {("binned", 0): part}, {int(i): float(i % 2) for i in top.ids}, lambda ids: ids % 3 == 0, [("blank", "logistic", 64, 4, 0), ("noise", "svm", 64, 4, 0)], [1.0])
+    assert t.count() == 2 and sent and all(isinstance(v, dict) and len(v) == len(top.ids) for v in sent)
+
+
+def test_packing_unpacks_few_rows_at_a_time(words, monkeypatch):
+    c = codes.low_bits(sketch.bin_minima(words, Feistel(24, 1), 64), 8)
+    want = sorted(map(tuple, codes.to_binary(c, 64, 8).collect()))
+    monkeypatch.setattr(codes, "UNPACKED", 64 * 8 * 3)
+    assert sorted(map(tuple, codes.to_binary(c, 64, 8).collect())) == want
+    assert sorted(map(tuple, codes.from_binary(codes.to_binary(c, 64, 8), 64, 8).collect())) == sorted(map(tuple, c.collect()))
