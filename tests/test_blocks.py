@@ -63,3 +63,37 @@ def test_similar_sets_join_no_pairs(spark, sf, name):
     ship(spark)
     plan = registry.queries()[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "Join" not in plan and plan.count("Exchange") == 1
+
+
+@pytest.mark.parametrize("block", [60, 1000])
+@pytest.mark.parametrize("min_r", [0.3, 0.8])
+def test_alike_pairs_equal_joins(spark, docs, monkeypatch, block, min_r):
+    """Every pair above the bound, copies too, whatever the blocks are."""
+    monkeypatch.setattr(blocks, "FILE_SETS", 32)
+    monkeypatch.setattr(blocks, "BLOCK_SETS", block)
+    monkeypatch.setattr(blocks, "FOUND", 50)
+    monkeypatch.setattr(blocks, "MEASURED", 7)
+    more = docs.unionByName(docs.filter("doc_id is not null").selectExpr("doc_id + 5000 as doc_id", "text")).unionByName(docs.filter("doc_id is not null").limit(20).selectExpr("9000 - doc_id as doc_id", "text"))
+    own = blocks.packed(more, "doc_id", "text", D, 3, P, 8, elems=True)
+    got = blocks.measured(own, 8, 4, 4, [], "f1 long, f2 long, a long", find=blocks.alike(D, min_r))
+    sh = sets.word_sets(more.filter("doc_id is not null"), "doc_id", "text", D, 3).distinct().cache()
+    want = sorted(map(tuple, estimate.all_pairs(sh).filter(F.col("r_exact") >= min_r).select("i", "j", "f1", "f2", "a").collect()))
+    assert len(want) > 50 and sorted(map(tuple, got.collect())) == want
+
+
+@pytest.mark.parametrize("name, exchanges", [("exact_pairs_docs", 0), ("errors_by_m", 1), ("comparator_errors", 1)])
+def test_true_pairs_pass_no_exchange(spark, sf, name, exchanges):
+    """Sums alone are exchanged, pairs are not."""
+    ship(spark)
+    plan = registry.queries()[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and plan.count("Exchange") == exchanges
+
+
+def test_links_connect_as_pairs_do(spark, docs):
+    """A task gives a forest: fewer links than pairs, the same components."""
+    more = docs.unionByName(docs.filter("doc_id is not null").selectExpr("doc_id + 5000 as doc_id", "text"))
+    own = blocks.packed(more, "doc_id", "text", D, 3, P, 64, elems=True)
+    pairs = blocks.measured(own, 64, 4, 4, [], "a long", find=blocks.alike(D, 0.5)).cache()
+    few = blocks.measured(own, 64, 4, 4, [blocks.counters()], "n_mat int", find=blocks.linked(blocks.alike(D, 0.5), lambda x, i, y, j, known: np.ones(len(i), bool))).cache()
+    assert 0 < few.count() < pairs.count() / 2
+    assert sorted(map(tuple, lsh.clusters(few).collect())) == sorted(map(tuple, lsh.clusters(pairs).collect()))
