@@ -19,7 +19,7 @@ def labelled(spark, sf_dir):
 
 
 def measured(spark, vectors, labels, method: str, share: float = 0.8, c: float = 1.0, solver: str = "logistic"):
-    rows = written(vectors.join(labels, "set_id"), "labelled")
+    rows = written(vectors.join(labels, "set_id"), "labelled") if labels is not None else vectors
     train, test = learn.split(rows, share, SEED)
     model = learn.logistic(train, c) if solver == "logistic" else learn.linear_svm(train, c)
     e = learn.evaluate(learn.score(test, model))
@@ -52,7 +52,8 @@ def accuracy_by_coding(spark, sf_dir):
 def accuracy_by_method(spark, sf_dir):
     """One permutation against k permutations at the same k and b, with both learners."""
     y = labelled(spark, sf_dir)
-    return _union([measured(spark, sketched(spark, sf_dir, 64, 4, classic=c), y, "classic" if c else "one permutation", solver=s) for c in (False, True) for s in ("logistic", "svm")])
+    rows = {c: written(sketched(spark, sf_dir, 64, 4, classic=c).join(y, "set_id"), "labelled") for c in (False, True)}  # one sketch for both learners
+    return _union([measured(spark, rows[c], None, "classic" if c else "one permutation", solver=s) for c in (False, True) for s in ("logistic", "svm")])
 
 
 @query()

@@ -199,3 +199,17 @@ def test_lsh_clusters_hold_short_documents(spark, tmp_path):
     texts = ["one two three", "one two three", "a b c d e f g", "a b c d e f g", "x a b c d e f g", "alone in the world", None]
     spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     assert {(r.set_id, r.cluster) for r in search.lsh_clusters(spark, str(tmp_path)).collect()} == {(0, 0), (1, 0), (2, 2), (3, 2), (4, 2)}
+
+
+def test_classic_hashes_each_element_once_a_batch(spark, monkeypatch):
+    """Minima by batches equal those by columns, for numbers and names of sets, nulls and sets over several batches; no aggregate for each permutation."""
+    from binsketch.functions.permute import Affine, Universal
+    from binsketch.operators import sketch as operators
+
+    rows = spark.createDataFrame([(i % 7, (i * i * 31 + i) % 90 if i % 11 else None) for i in range(400)] + [(9, None), (None, 4)], "set_id long, elem long").repartition(3)
+    monkeypatch.setattr(operators, "ROWS", 16)
+    for permuters in ([Digest(1 << 24, j) for j in range(5)], [Affine(1 << 24, 2 * j + 1, 77 * j) for j in range(9)], [Universal(1 << 24, 15 + j, j) for j in range(3)]):
+        for sets_ in (rows, rows.selectExpr("concat('s', set_id) as set_id", "elem")):
+            got, want = operators.classic(sets_, permuters), operators.classic_columns(sets_, permuters).filter("offset is not null")
+            assert got.dtypes == want.dtypes and sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
+    assert "min(" not in got._jdf.queryExecution().executedPlan().toString()
