@@ -254,3 +254,40 @@ def test_neighbours_come_from_the_whole_table(spark):
             del score[x.doc_id]
         assert s == len(by_seq) - 1 or sum(x.length for x in pieces) == window
     assert not any(left.values())
+
+
+def test_blocks_out_of_reach_are_not_scored():
+    """Documents of other words are left out a block at a time, and lists are those of all scores."""
+    r = np.random.default_rng(5)
+    docs = [np.unique(r.integers(1000 * (i % 4), 1000 * (i % 4) + 300, 60)).astype(np.uint16) for i in range(1200)]
+    docs += docs[:3]  # copies: ties go to smaller numbers
+    n, sizes = len(docs), np.array([len(d) for d in docs])
+    terms, ends, owner, place = np.concatenate(docs), np.r_[0, np.cumsum(sizes)], np.repeat(np.arange(n), sizes), np.arange(n)
+    held = np.bincount(terms, minlength=65536)
+    idf = np.log1p((n - held + 0.5) / (held + 0.5))
+    counts = np.ones(len(terms), np.uint32)
+    weight = packing.weights(terms, counts, owner, sizes, idf, sizes.mean())
+    often = packing.frequent(held, n)
+    column = packing.columns_of(often)
+    rows = packing.matrix_of(terms, owner, weight, n, column, len(often))
+    group = packing.groups(terms, owner, weight, n, packing.centres_of(rows), column)
+    seeds = np.arange(40)[np.argsort(group[:40], kind="stable")]
+    left = np.where(place % 7, sizes, 0)
+    unused = np.flatnonzero(left)
+    scorer, best = packing.Scorer(idf, sizes.mean()), [packing.Lists(len(seeds), 900)]
+    for some in np.array_split(unused, 3):
+        at = packing.runs(ends[some], sizes[some])
+        blocks = list(scorer.blocks(some, group[some], terms[at], np.r_[0, np.cumsum(sizes[some])], counts[at], sizes[some]))
+        asked = packing.runs(ends[seeds], sizes[seeds])
+        scorer.look(best, blocks, seeds, terms[asked], np.r_[0, np.cumsum(sizes[seeds])], left)
+    assert scorer.scored < len(seeds) * len(unused) / 2
+    bounds = best[0].bounds()
+    for i, seed in enumerate(seeds):
+        score = np.array([weight[ends[d] : ends[d + 1]][np.isin(docs[d], docs[seed])].sum() if left[d] and d != seed else 0 for d in range(n)])
+        want = np.argsort(-np.round(score, 4), kind="stable")
+        want = want[: np.searchsorted(np.cumsum(left[want]), 900) + 1]
+        got = best[0].docs[bounds[i] : bounds[i + 1]]
+        assert len(got) == len(want) and score[got] == pytest.approx(score[want], abs=1e-3)
+        assert left[got[:-1]].sum() < 900 <= left[got].sum()
+    twin = np.flatnonzero(seeds == 1)[0]
+    assert best[0].docs[bounds[twin]] == 1201  # its copy is the best of all
