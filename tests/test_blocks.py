@@ -5,8 +5,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from binsketch import registry
-from binsketch.functions.permute import Digest
-from binsketch.operators import blocks, codes, estimate, linear_sketch, lsh, sets, sketch
+from binsketch.functions.permute import Affine, Digest
+from binsketch.operators import blocks, codes, estimate, linear_sketch, lsh, sets, sketch, ways
 from binsketch.session import ship
 
 D, P = 1 << 24, Digest(1 << 24, 7)
@@ -97,3 +97,39 @@ def test_links_connect_as_pairs_do(spark, docs):
     few = blocks.measured(own, 64, 4, 4, [blocks.counters()], "n_mat int", find=blocks.linked(blocks.alike(D, 0.5), lambda x, i, y, j, known: np.ones(len(i), bool))).cache()
     assert 0 < few.count() < pairs.count() / 2
     assert sorted(map(tuple, lsh.clusters(few).collect())) == sorted(map(tuple, lsh.clusters(pairs).collect()))
+
+
+@pytest.mark.parametrize("size", [10, 1000])
+def test_ways_equal_joins(spark, docs, monkeypatch, size):
+    """Candidates of queries and pairs brought together, by way, are those of joined buckets, whatever the blocks are."""
+    for module, name, n in ((blocks, "FILE_SETS", 8), (ways, "SETS", size), (ways, "QUERIES", size // 2)):
+        monkeypatch.setattr(module, name, n)
+    few = [Affine(D, 2 * (15_485_863 * (j + 1) % (1 << 22)) + 1, 32_452_843 * (j + 1) % D) for j in range(16)]
+    settings = [(b, k, L) for b in (1, 4) for k in (4, 8) for L in (1, 2, 8)]
+    grid = ways.Ways(settings, 64, len(few))
+    own = blocks.packed(docs, "doc_id", "text", D, 3, P, 64, ways.classic_minima(few), elems=True)
+    got = {grid.all[r.way]: r.candidates for r in ways.candidates(own, grid, "set_id % 3 = 0").collect() if r.used}
+    pairs = blocks.measured(own, 64, 4, 4, [grid.shared()], "ways long", "i4", blocks.alike(D, 0.5)).collect()
+    sh = sets.word_sets(docs.filter("doc_id is not null"), "doc_id", "text", D, 3).distinct().cache()
+    at = ["b", "k", "tables", "table_no", "bucket"]
+    want, hits = {}, {}
+    for source, policy, sk, most in (("one permutation", "skip_band", sketch.bin_minima(sh, P, 64), 64), ("one permutation", "sentinel", sketch.bin_minima(sh, P, 64), 64), ("classic", "none", sketch.classic(sh, few), 16)):
+        index = lsh.signatures_by(sk, spark.createDataFrame([s for s in settings if s[1] * s[2] <= most], "b int, k int, tables int"), "sentinel" if policy == "sentinel" else "skip_band")
+        members = {}
+        for r in index.collect():
+            want.setdefault((source, policy, r.b, r.k, r.tables), set())
+            members.setdefault(tuple(r[c] for c in at), []).append(r.set_id)
+        for key, some in members.items():
+            name = (source, policy, *key[:3])
+            want[name] |= {(i, j) for i in some if i % 3 == 0 for j in some if i != j}
+            hits.setdefault(name, set()).update((i, j) for i in some for j in some if i < j)
+    assert got == {name: len(x) for name, x in want.items()} and sum(got.values()) > 1000
+    assert len(pairs) > 50 and all({(r.i, r.j) in hits.get(w, ()) for r in pairs if r.ways >> n & 1} <= {True} for n, w in enumerate(grid.all))
+    assert all(sum(r.ways >> n & 1 for r in pairs) == len({(r.i, r.j) for r in pairs} & hits.get(w, set())) for n, w in enumerate(grid.all))
+
+
+def test_search_grid_joins_no_buckets(spark, sf):
+    """Counts alone are joined and exchanged."""
+    ship(spark)
+    plan = registry.queries()["search_grid"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "bucket" not in plan and "MapInArrow" in plan
