@@ -291,3 +291,51 @@ def test_blocks_out_of_reach_are_not_scored():
         assert left[got[:-1]].sum() < 900 <= left[got].sum()
     twin = np.flatnonzero(seeds == 1)[0]
     assert best[0].docs[bounds[twin]] == 1201  # its copy is the best of all
+
+
+def test_texts_at_once_have_the_ids_of_each(edge):
+    """Distinct chunks of a batch are merged in one call; ids are the library's."""
+    words = np.random.default_rng(6).integers(0, 400, 3000)
+    odd = [" a  b\n\t", "it's I'LL don't 12a-b..c", "3.5% (foo)", "a\x0bb", "\x01 a", "Ünï ÇA.", "İstanbul", " ".join(f"w{i}x{i % 7}. Ab{'c' * (i % 9)}" for i in words)]
+    some = [t or "" for t in texts(edge).values()] + odd
+    encoder = memo.json_encoder(WORD)
+    for batch in (some, [""], [t for t in some if "<|" not in t and memo.PLAIN_LATIN.fullmatch(t)]):
+        ids, sizes = encoder.many(batch)
+        for t, got in zip(batch, np.split(ids, np.cumsum(sizes)[:-1]), strict=True):
+            assert got.tolist() == library(WORD, t)
+
+
+def test_likely_blocks_hold_nine_of_ten_neighbours(monkeypatch):
+    """Recall against all scores where blocks are left out that are not likely to reach a list; near copies are found."""
+    monkeypatch.setattr(packing, "FEW", 100)
+    r = np.random.default_rng(7)
+    p = 1 / np.arange(1, 401) ** 0.7
+    bags = [1000 * (i % 4) + r.choice(400, int(r.lognormal(5, 0.8)) + 20, p=p / p.sum()) for i in range(6000)]
+    bags += [np.r_[b[3:], 1000 * (i % 4)] for i, b in enumerate(bags[:200])]  # near copies
+    found = [np.unique(b.astype(np.uint16), return_counts=True) for b in bags]
+    n, lengths, sizes = len(bags), np.array([len(b) for b in bags]), np.array([len(t) for t, _ in found])
+    terms, counts, owner, ends = np.concatenate([t for t, _ in found]), np.concatenate([c for _, c in found]), np.repeat(np.arange(n), sizes), np.r_[0, np.cumsum(sizes)]
+    held = np.bincount(terms, minlength=65536)
+    idf = np.log1p((n - held + 0.5) / (held + 0.5))
+    weight = packing.weights(terms, counts, owner, lengths, idf, lengths.mean())
+    often = packing.frequent(held, n)
+    column = packing.columns_of(often)
+    rows = packing.matrix_of(terms, owner, weight, n, column, len(often))
+    group = packing.groups(terms, owner, weight, n, packing.centres_of(rows[:2048]), column)
+    seeds = np.arange(400)[np.argsort(group[:400], kind="stable")]
+    asked = packing.runs(ends[seeds], sizes[seeds])
+    scorer, best = packing.Scorer(idf, lengths.mean(), packing.SPREAD), [packing.Lists(len(seeds), 5000)]
+    blocks = list(scorer.blocks(np.arange(n), group, terms, ends, counts, lengths))
+    scorer.look(best, blocks, seeds, terms[asked], np.r_[0, np.cumsum(sizes[seeds])], lengths, group[seeds], np.bincount(owner, weight, n)[seeds])
+    assert scorer.scored < len(seeds) * n / 4
+    full, bounds, recall, copies = np.zeros((n, 4000), np.float32), best[0].bounds(), [], []
+    full[owner, terms] = weight
+    for i, seed in enumerate(seeds):
+        score = full[:, found[seed][0]].sum(axis=1)
+        score[seed] = -1
+        got = best[0].docs[bounds[i] : bounds[i + 1]]
+        want = np.argsort(-score, kind="stable")[: min(10, len(got))]
+        recall.append(np.isin(want, got).mean())
+        if seed < 200:
+            copies.append(seed + 6000 in got)
+    assert np.mean(recall) >= 0.9 and np.mean(copies) >= 0.9
