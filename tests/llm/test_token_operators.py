@@ -339,3 +339,36 @@ def test_likely_blocks_hold_nine_of_ten_neighbours(monkeypatch):
         if seed < 200:
             copies.append(seed + 6000 in got)
     assert np.mean(recall) >= 0.9 and np.mean(copies) >= 0.9
+
+
+def test_rounds_leave_out_no_block_that_can_reach_a_list(spark, monkeypatch):
+    """The scorer that op9 and the pipeline's packing give to tasks finds each seed's best documents, all of them, on parts of any size."""
+    given, context = [], type(spark.sparkContext)
+    broadcast = context.broadcast
+    monkeypatch.setattr(context, "broadcast", lambda self, value: given.append(value) or broadcast(self, value))
+    texts = [(i, " ".join(f"word{(i * 7 + j) % 50}" for j in range(40))) for i in range(30)]
+    assert packing.packed(spark.createDataFrame(texts, "doc_id long, text string"), WORD, window=256, shard_tokens=1000).count() >= 30
+    spread = next(v.spread for v in given if isinstance(v, packing.Scorer))
+    monkeypatch.setattr(packing, "FEW", 100)
+    r = np.random.default_rng(8)
+    p = 1 / np.arange(1, 401) ** 0.7
+    found = [np.unique((1000 * (i % 4) + r.choice(400, int(r.lognormal(5, 0.8)) + 20, p=p / p.sum())).astype(np.uint16), return_counts=True) for i in range(3000)]
+    n, lengths, sizes = len(found), np.array([c.sum() for _, c in found]), np.array([len(t) for t, _ in found])
+    terms, counts, owner, ends = np.concatenate([t for t, _ in found]), np.concatenate([c for _, c in found]), np.repeat(np.arange(n), sizes), np.r_[0, np.cumsum(sizes)]
+    held = np.bincount(terms, minlength=65536)
+    idf = np.log1p((n - held + 0.5) / (held + 0.5))
+    weight = packing.weights(terms, counts, owner, lengths, idf, lengths.mean())
+    often = packing.frequent(held, n)
+    column = packing.columns_of(often)
+    group = packing.groups(terms, owner, weight, n, packing.centres_of(packing.matrix_of(terms, owner, weight, n, column, len(often))[:2048]), column)
+    seeds = np.arange(200)[np.argsort(group[:200], kind="stable")]
+    scorer, best = packing.Scorer(idf, lengths.mean(), spread), [packing.Lists(len(seeds), 5000)]
+    blocks = list(scorer.blocks(np.arange(n), group, terms, ends, counts, lengths))
+    scorer.look(best, blocks, seeds, terms[packing.runs(ends[seeds], sizes[seeds])], np.r_[0, np.cumsum(sizes[seeds])], lengths, group[seeds], np.bincount(owner, weight, n)[seeds])
+    full, bounds = np.zeros((n, 4000), np.float32), best[0].bounds()
+    full[owner, terms] = weight
+    for i, seed in enumerate(seeds):
+        score = full[:, found[seed][0]].sum(axis=1)
+        score[seed] = -1
+        got = best[0].docs[bounds[i] : bounds[i + 1]]
+        assert len(got) and score[got] == pytest.approx(np.sort(score)[::-1][: len(got)], abs=1e-2) and lengths[got].sum() >= 5000
