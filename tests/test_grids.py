@@ -142,3 +142,53 @@ def test_packing_unpacks_few_rows_at_a_time(words, monkeypatch):
     monkeypatch.setattr(codes, "UNPACKED", 64 * 8 * 3)
     assert sorted(map(tuple, codes.to_binary(c, 64, 8).collect())) == want
     assert sorted(map(tuple, codes.from_binary(codes.to_binary(c, 64, 8), 64, 8).collect())) == sorted(map(tuple, c.collect()))
+
+
+def test_grid_takes_all_labelled_rows(spark, tmp_path):
+    """Every labelled document trains or is tested, however many there are."""
+    ship(spark)
+    docs = spark.range(25_000).select(F.col("id").alias("doc_id"), F.concat(F.lit("a w"), (F.col("id") % 2).cast("string"), F.lit(" x"), (F.col("id") % 7).cast("string")).alias("text"), F.lit("en").alias("lang"))
+    docs.repartition(4).write.parquet(f"{tmp_path}/documents.parquet")
+    docs.select("doc_id", (F.col("doc_id") % 2).alias("toxic"), F.lit(1).alias("quality")).write.parquet(f"{tmp_path}/labels.parquet")
+    t = grids.grid(spark, str(tmp_path), "toxic", 0.5, [8, 16], (1, 8), (1.0,), 1, solvers=("logistic",)).collect()
+    assert len(t) == 3 * 2 * 2 + 1 and all(r.n_train + r.n == 25_000 and min(r.n_train, r.n) > 10_000 for r in t)
+    assert all(r.auc == 1 for r in t if r.method == "original")
+
+
+@pytest.mark.parametrize("method", ["blank", "noise", "classic", "original"])
+@pytest.mark.parametrize("held", [0, 1 << 26])
+def test_parts_of_the_rows_fit_as_all_rows_do(words, method, held, monkeypatch):
+    """Rows in parts, kept or read again in each round, give the weights of one matrix that holds all of them."""
+    from binsketch.tables import written
+
+    monkeypatch.setattr(cells, "HELD", held)
+    monkeypatch.setattr(cells, "PART", 64 * 40)
+    monkeypatch.setattr(cells, "READ", 16)
+    arrays = written(words.groupBy("set_id").agg(F.collect_set("elem").alias("elems")), "arrays")
+    packed = cells.classic_codes(arrays, 128, 3) if method == "classic" else codes.to_binary(codes.low_bits(sketch.bin_minima(words, Feistel(24, 1), 128), 8), 128, 8).select("set_id", "codes", "holes")
+    own = written(packed, "packed")
+    part = cells.files_of(arrays) if method == "original" else cells.Stored.of(own, 128)
+    ids, train, probe, entries, at = cells.parts_of(part, method, 64, 1, lambda ids: ids % 3 == 0)
+    top = cells.collected(own, 128)
+    assert np.array_equal(ids, top.ids) and np.array_equal(np.sort(np.r_[train, probe]), np.arange(len(ids)))
+    y = np.where(ids % 2, 1.0, -1.0)
+    for b in (2, 8):
+        a, z = at(b)
+        code, filled = top.at(64, method != "classic")
+        if method == "original":
+            rows = {int(r.set_id): np.unique(r.elems) for r in arrays.collect()}
+            values = np.unique(np.concatenate(list(rows.values())))
+            sizes = np.array([len(rows[int(i)]) for i in ids])
+            whole = cells.Design(np.concatenate([np.searchsorted(values, rows[int(i)]) for i in ids]), np.repeat(np.arange(len(ids)), sizes), 1 / np.sqrt(sizes), len(values))
+        else:
+            code = np.where(filled, code, np.random.default_rng([1, 64]).integers(0, 256, code.shape, dtype=np.uint8)) if method == "noise" else code
+            whole = cells.design(code, np.ones_like(filled) if method == "noise" else filled, b)
+        assert entries == pytest.approx(len(whole.index) / len(ids)) and len(list(a)) > 1
+        number = np.full(len(ids), -1)
+        number[train] = np.arange(len(train))
+        some = number[whole.row] >= 0
+        plain = cells.Design(whole.index[some], number[whole.row[some]], whole.scale[train], whole.dims)
+        want = cells.fit(plain, y[train], 1.0, "logistic")
+        assert np.allclose(cells.fit(a, y[train], 1.0, "logistic"), want, atol=1e-8)
+        assert np.allclose(z.margins(want), whole.margins(want)[probe])
+        assert (a.held is None) == (held == 0)
