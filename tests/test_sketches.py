@@ -213,3 +213,18 @@ def test_classic_hashes_each_element_once_a_batch(spark, monkeypatch):
             got, want = operators.classic(sets_, permuters), operators.classic_columns(sets_, permuters).filter("offset is not null")
             assert got.dtypes == want.dtypes and sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
     assert "min(" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_classic_minima_of_affine_permutations(spark):
+    """High bits of 32-bit products are the positions; no element is looked up or divided, and minima are those of plain columns."""
+    r = np.random.default_rng(3)
+    for size in (1 << 10, 1 << 24, 1 << 30):
+        many = [Affine(size, int(r.integers(0, size // 2)) * 2 + 1, int(r.integers(0, size))) for _ in range(37)]
+        elems, starts = r.integers(0, size, 500), np.array([0, 1, 7, 300])
+        want = np.stack([np.minimum.reduceat(p.numpy(elems), starts) for p in many], axis=1)
+        assert np.array_equal(sketch.affine_minima(many, elems, starts), want)
+    rows = [(i % 40, int(r.integers(0, 1 << 24))) for i in range(2000)] + [(3, None), (77, None)]
+    df = spark.createDataFrame(rows, "set_id long, elem long")
+    many = [Affine(1 << 24, 2 * j + 1, 7 * j) for j in range(1, 30)]
+    got = sorted(map(tuple, sketch.classic(df, many).collect()))
+    assert got == sorted(tuple(x) for x in sketch.classic_columns(df, many).filter("offset is not null").collect()) and len(got) == 40 * 29
