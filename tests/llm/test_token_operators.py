@@ -372,3 +372,16 @@ def test_rounds_leave_out_no_block_that_can_reach_a_list(spark, monkeypatch):
         score[seed] = -1
         got = best[0].docs[bounds[i] : bounds[i + 1]]
         assert len(got) and score[got] == pytest.approx(np.sort(score)[::-1][: len(got)], abs=1e-2) and lengths[got].sum() >= 5000
+
+
+def test_pipeline_packs_by_exact_bounds(spark, monkeypatch):
+    """The pipeline's last stage gives its tasks a scorer that leaves out no block by likelihood."""
+    import corpus_pipeline
+
+    given, context = [], type(spark.sparkContext)
+    broadcast = context.broadcast
+    monkeypatch.setattr(context, "broadcast", lambda self, value: given.append(value) or broadcast(self, value))
+    docs = spark.createDataFrame([(i, f"some words of text {i}") for i in range(5)], "doc_id long, text string")
+    assert corpus_pipeline.packing(spark, docs, "").count() >= 5
+    scorers = [v for v in given if isinstance(v, packing.Scorer)]
+    assert scorers and all(s.spread is None for s in scorers)
